@@ -27,6 +27,12 @@ def op2_feistel_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.shard_documents(table(spark, sf_dir, "documents"))
 
 
+def op3_simhash_anchors(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from . import simhash
+
+    return simhash.near_duplicates(table(spark, sf_dir, "documents"))
+
+
 def op5_llr_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     from . import quality
 
@@ -42,7 +48,7 @@ def op10_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_ogg_media, op2_feistel_shards, op5_llr_quality, op10_byte_bpe)}
+    return {f.__name__: f for f in (op1_ogg_media, op2_feistel_shards, op3_simhash_anchors, op5_llr_quality, op10_byte_bpe)}
 
 
 def oracle_sql() -> dict[str, str]:
