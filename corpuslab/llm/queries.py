@@ -41,6 +41,12 @@ def op5_llr_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judged.drop("text", "lang")
 
 
+def op6_knapsack_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from . import mixing
+
+    return mixing.mix_sizes(table(spark, sf_dir, "documents"))
+
+
 def op10_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     from . import bpe
 
@@ -48,7 +54,7 @@ def op10_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_ogg_media, op2_feistel_shards, op3_simhash_anchors, op5_llr_quality, op10_byte_bpe)}
+    return {f.__name__: f for f in (op1_ogg_media, op2_feistel_shards, op3_simhash_anchors, op5_llr_quality, op6_knapsack_mix, op10_byte_bpe)}
 
 
 def oracle_sql() -> dict[str, str]:
