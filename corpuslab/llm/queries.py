@@ -47,6 +47,19 @@ def op6_knapsack_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix_sizes(table(spark, sf_dir, "documents"))
 
 
+def op8_html_region(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from . import htmltext
+
+    pages = table(spark, sf_dir, "pages")
+    return htmltext.main_text(pages, htmltext.learn(pages))
+
+
+def op9_bloom_cascade(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from . import urlfilter
+
+    return urlfilter.judge(table(spark, sf_dir, "pages"), urlfilter.in_domains())
+
+
 def op10_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     from . import bpe
 
@@ -54,8 +67,10 @@ def op10_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_ogg_media, op2_feistel_shards, op3_simhash_anchors, op5_llr_quality, op6_knapsack_mix, op10_byte_bpe)}
+    return {f.__name__: f for f in (op1_ogg_media, op2_feistel_shards, op3_simhash_anchors, op5_llr_quality, op6_knapsack_mix, op8_html_region, op9_bloom_cascade, op10_byte_bpe)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    from . import urlfilter
+
+    return {"op9_bloom_cascade": urlfilter.SQL}
