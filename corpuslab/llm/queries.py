@@ -33,6 +33,12 @@ def op3_simhash_anchors(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_duplicates(table(spark, sf_dir, "documents"))
 
 
+def op4_bloom_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from . import lmscore
+
+    return lmscore.score(table(spark, sf_dir, "documents"))
+
+
 def op5_llr_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     from . import quality
 
@@ -67,7 +73,7 @@ def op10_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_ogg_media, op2_feistel_shards, op3_simhash_anchors, op5_llr_quality, op6_knapsack_mix, op8_html_region, op9_bloom_cascade, op10_byte_bpe)}
+    return {f.__name__: f for f in (op1_ogg_media, op2_feistel_shards, op3_simhash_anchors, op4_bloom_lm, op5_llr_quality, op6_knapsack_mix, op8_html_region, op9_bloom_cascade, op10_byte_bpe)}
 
 
 def oracle_sql() -> dict[str, str]:
