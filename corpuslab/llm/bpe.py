@@ -7,6 +7,7 @@ visible characters, where no pre-token can cross; each distinct chunk is encoded
 from __future__ import annotations
 
 import json
+import struct
 from collections.abc import Iterator
 from functools import lru_cache
 from heapq import heapify, heappop, heappush
@@ -24,7 +25,9 @@ _WS = r"\t-\r \x85\xa0  -     　"
 #: The published pre-token classes of byte-level BPE.
 _PIECES = rf"'s|'t|'re|'ve|'m|'ll|'d| ?\p{{L}}+| ?\p{{N}}+| ?[^{_WS}\p{{L}}\p{{N}}]+|[{_WS}]+(?![^{_WS}])|[{_WS}]+"
 #: Entries that a worker remembers; beyond it starts anew, which costs time only.
-MEMORY = 300_000
+MEMORY = 600_000
+#: Marks that make a pre-token of their own after a word.
+_MARKS = frozenset(".,;:!?)")
 
 
 def byte_letters() -> dict[int, str]:
@@ -34,6 +37,11 @@ def byte_letters() -> dict[int, str]:
     return {b: chr(b) for b in stay} | {b: chr(256 + i) for i, b in enumerate(moved)}
 
 
+def _pack(ids: list[int]) -> bytes:
+    """Little-endian unsigned 32-bit integers."""
+    return struct.pack(f"<{len(ids)}I", *ids)
+
+
 class _Uneven(Exception):
     """A chunk that borders on white space: the text needs the careful cut."""
 
@@ -97,7 +105,7 @@ class Bpe:
         for piece in self._find(text):
             ids = memory.get(piece)
             if ids is None:
-                ids = np.array(self.merge(piece.encode()), "<u4").tobytes()
+                ids = _pack(self.merge(piece.encode()))
                 if len(piece) < 64:
                     if len(memory) >= MEMORY:
                         memory.clear()
@@ -109,7 +117,7 @@ class Bpe:
         """Ids of a stretch of text that starts and ends where a pre-token may; special tokens are cut out first."""
         if not self._split or "<" not in text:
             return self._plain(text)
-        return b"".join(np.array([self.special[x]], "<u4").tobytes() if x in self.special else self._plain(x) for x in self._split(text) if x)
+        return b"".join(_pack([self.special[x]]) if x in self.special else self._plain(x) for x in self._split(text) if x)
 
     def encode(self, text: str) -> bytes:
         """Ids as little-endian unsigned 32-bit integers."""
@@ -139,9 +147,14 @@ class _Chunks(dict):
         self.owner, self.lead = owner, lead
 
     def __missing__(self, chunk: str) -> bytes:
-        if not self.owner._edge(chunk) or not chunk:
+        if chunk.isalpha():  # one pre-token
+            ids = _pack(self.owner.merge((self.lead + chunk).encode()))
+        elif chunk[:-1].isalpha() and chunk[-1] in _MARKS:  # a word and a mark: two
+            ids = self[chunk[:-1]] + self.owner.chunk(chunk[-1])
+        elif not self.owner._edge(chunk) or not chunk:
             raise _Uneven
-        ids = self.owner.chunk(self.lead + chunk)
+        else:
+            ids = self.owner.chunk(self.lead + chunk)
         if len(chunk) < 64:
             if len(self) >= MEMORY:
                 self.clear()
