@@ -53,6 +53,12 @@ def op6_knapsack_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix_sizes(table(spark, sf_dir, "documents"))
 
 
+def op7_range_coded_ids(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from . import tokenfiles
+
+    return tokenfiles.digest(table(spark, sf_dir, "documents"), _vocab("word_bpe_49k.json"))
+
+
 def op8_html_region(spark: SparkSession, sf_dir: str) -> DataFrame:
     from . import htmltext
 
@@ -73,7 +79,7 @@ def op10_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_ogg_media, op2_feistel_shards, op3_simhash_anchors, op4_bloom_lm, op5_llr_quality, op6_knapsack_mix, op8_html_region, op9_bloom_cascade, op10_byte_bpe)}
+    return {f.__name__: f for f in (op1_ogg_media, op2_feistel_shards, op3_simhash_anchors, op4_bloom_lm, op5_llr_quality, op6_knapsack_mix, op7_range_coded_ids, op8_html_region, op9_bloom_cascade, op10_byte_bpe)}
 
 
 def oracle_sql() -> dict[str, str]:
