@@ -2,15 +2,46 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession
+import numpy as np
+import pandas as pd
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
+from pyspark.sql.functions import pandas_udf
+
+from ..functions.arrays import grams
 
 
 def shingles(text: Column, k: int = 5) -> Column:
     """Distinct hashes of k-word shingles, lower case; a shorter text is one shingle."""
     words = F.filter(F.split(F.lower(text), r"\s+"), lambda w: w != "")
-    many = F.transform(F.sequence(F.lit(1), F.greatest(F.size(words) - (k - 1), F.lit(1))), lambda i: F.xxhash64(F.array_join(F.slice(words, i, F.lit(k)), " ")))
-    return F.array_distinct(many)
+    many = F.transform(grams(words, k), lambda g: F.xxhash64(g))
+    return F.when(F.size(words) >= k, F.array_distinct(many)).otherwise(F.array(F.xxhash64(F.array_join(words, " "))))
+
+
+def band_hashes(perms: int, bands: int):
+    """A column function: one hash for each band of MinHashes of an array of shingle hashes."""
+
+    @pandas_udf("array<bigint>")
+    def of(column: pd.Series) -> pd.Series:
+        rng = np.random.default_rng(7)
+        a, b = (rng.integers(1, 1 << 63, perms, dtype=np.uint64) | np.uint64(1)), rng.integers(0, 1 << 63, perms, dtype=np.uint64)
+        out = []
+        with np.errstate(over="ignore"):
+            for x in column:
+                x = np.asarray(x, np.int64).view(np.uint64)
+                least = np.full(perms, np.iinfo(np.uint64).max)
+                for i in range(0, len(x), 4096):  # a long text in parts
+                    z = x[i : i + 4096, None] * a + b
+                    least = np.minimum(least, (z ^ (z >> np.uint64(29))).min(axis=0))
+                mixed = least.reshape(bands, -1)
+                h = np.zeros(bands, np.uint64)
+                for k in range(mixed.shape[1]):
+                    h = (h ^ mixed[:, k]) * np.uint64(0x9E3779B97F4A7C15)
+                    h ^= h >> np.uint64(32)
+                out.append(h.view(np.int64))
+        return pd.Series(out)
+
+    return of
 
 
 def near_dup_clusters(docs: DataFrame, k: int = 5, perms: int = 64, bands: int = 16, threshold: float = 0.8, *, bucket_cap: int = 64) -> DataFrame:
@@ -22,12 +53,7 @@ def near_dup_clusters(docs: DataFrame, k: int = 5, perms: int = 64, bands: int =
     digests = docs.select("doc_id", F.md5("text").alias("d"), "text")
     nodes = digests.groupBy("d").agg(F.min("doc_id").alias("node"), F.first("text").alias("text"))
     sets = nodes.select("node", shingles(F.col("text"), k).alias("s"))
-    rows = perms // bands
-    mins = F.transform(F.sequence(F.lit(0), F.lit(perms - 1)), lambda p: F.array_min(F.transform("s", lambda x: F.xxhash64(x, p))))
-    signed = sets.withColumn("m", mins)
-    banded = signed.select("node", F.posexplode(F.transform(F.sequence(F.lit(0), F.lit(bands - 1)), lambda b: F.xxhash64(F.slice("m", b * rows + 1, F.lit(rows))))).alias("band", "h"))
-    from pyspark.sql import Window
-
+    banded = sets.select("node", F.posexplode(band_hashes(perms, bands)("s")).alias("band", "h"))
     w = Window.partitionBy("band", "h")
     told = banded.withColumns({"n": F.count(F.lit(1)).over(w), "first": F.min("node").over(w), "next": F.lead("node").over(w.orderBy("node"))}).where("n > 1")
     stars = told.select(F.col("first").alias("a"), F.col("node").alias("b")).union(told.select(F.col("node").alias("a"), F.col("next").alias("b")))

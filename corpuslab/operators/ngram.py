@@ -7,6 +7,8 @@ import math
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.arrays import grams
+
 START, END = "<s>", "</s>"
 
 
@@ -18,10 +20,12 @@ def tokens(text: Column) -> Column:
 def spans(df: DataFrame, order: int, keys: list[str], text: str = "text") -> DataFrame:
     """``keys``, ``pos``, ``context`` (the order-1 words before, joined) and ``token``: one row for each position."""
     padded = F.concat(F.array_repeat(F.lit(START), order - 1), tokens(F.col(text)))
-    told = df.select(*keys, padded.alias("t")).where(F.size("t") >= order)
-    each = told.select(*keys, "t", F.explode(F.sequence(F.lit(order), F.size("t"))).alias("pos"))
-    context = F.array_join(F.slice("t", F.col("pos") - (order - 1), F.lit(order - 1)), " ") if order > 1 else F.lit("")
-    return each.select(*keys, (F.col("pos") - order).alias("pos"), context.alias("context"), F.element_at("t", F.col("pos")).alias("token"))
+    last = F.slice(padded, F.lit(order), F.greatest(F.size(padded) - (order - 1), F.lit(0)))
+    if order == 1:
+        return df.select(*keys, F.posexplode(last).alias("pos", "token")).select(*keys, "pos", F.lit("").alias("context"), "token")
+    before = F.slice(grams(padded, order - 1), F.lit(1), F.greatest(F.size(padded) - (order - 1), F.lit(0)))
+    pairs = F.zip_with(before, last, lambda c, t: F.struct(c.alias("context"), t.alias("token")))
+    return df.select(*keys, F.posexplode(pairs).alias("pos", "p")).select(*keys, "pos", "p.context", "p.token")
 
 
 def train(df: DataFrame, order: int, by: list[str] | None = None, text: str = "text") -> DataFrame:

@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.functions import pandas_udf
 from pyspark.sql.types import DoubleType
 
+from ..functions.arrays import grams
 from ..functions.views import abugida_view, bucket
 
 LETTER, LATIN, TARGET = r"[\p{L}\p{M}]", r"\p{IsLatin}", r"\p{IsDevanagari}"
@@ -90,8 +91,7 @@ def _gram_counts(df: DataFrame, keys: list[str], text: str, name: str, chars: in
     kinds = []
     for kind, units, top, glue in (("c", bare, chars, ""), ("w", chrf_words(F.col(text)), words, " ")):
         for n in range(1, top + 1):
-            grams = F.when(F.size(units) >= n, F.transform(F.sequence(F.lit(1), F.size(units) - n + 1), lambda i, units=units, n=n, glue=glue: F.array_join(F.slice(units, i, F.lit(n)), glue))).otherwise(F.array().cast("array<string>"))
-            kinds.append(F.transform(grams, lambda g, kind=kind, n=n: F.struct(F.lit(f"{kind}{n}").alias("ord"), g.alias("g"))))
+            kinds.append(F.transform(grams(units, n, glue), lambda g, kind=kind, n=n: F.struct(F.lit(f"{kind}{n}").alias("ord"), g.alias("g"))))
     return df.select(*keys, F.inline(F.concat(*kinds))).groupBy(*keys, "ord", "g").agg(F.count(F.lit(1)).alias(name))
 
 
@@ -129,12 +129,12 @@ def chrf_row(hyp: pd.Series, ref: pd.Series) -> pd.Series:
         x = re.sub(rf"(^|\s)({PUNCT})(?=\S)", r"\1\2 ", x)
         return re.sub(rf"(?<=\S)({PUNCT})(?=\s|$)", r" \1", x).split()
 
-    def grams(x: str) -> list[Counter]:
+    def counts(x: str) -> list[Counter]:
         bare, w = "".join(x.split()), words(x)
         return [Counter(bare[i : i + n] for i in range(len(bare) - n + 1)) for n in range(1, 7)] + [Counter(" ".join(w[i : i + n]) for i in range(len(w) - n + 1)) for n in (1, 2)]
 
     def one(h: str | None, r: str | None) -> float:
-        ratios = [(sum((a & b).values()), sum(a.values()), sum(b.values())) for a, b in zip(grams(h or ""), grams(r or ""))]
+        ratios = [(sum((a & b).values()), sum(a.values()), sum(b.values())) for a, b in zip(counts(h or ""), counts(r or ""))]
         ratios = [(m / a, m / b) for m, a, b in ratios if a and b]
         if not ratios:
             return 0.0

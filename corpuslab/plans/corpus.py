@@ -32,7 +32,7 @@ def pool_unique(spark, sf_dir):
     return pools.unique_pool(_docs(spark, sf_dir))
 
 
-@query("""WITH l AS (SELECT lang, text, list_filter(string_split(text, chr(10)), x -> length(x) > 0) AS ls FROM documents)
+@query("""WITH l AS (SELECT lang, text, list_filter(string_split(text, chr(10)), lambda x: length(x) > 0) AS ls FROM documents)
 SELECT lang, count(*) AS docs, count(DISTINCT text) AS texts, sum(len(ls))::bigint AS lines, sum(len(ls) - len(list_distinct(ls)))::bigint AS repeated_lines FROM l GROUP BY lang""")
 def pool_duplication(spark, sf_dir):
     return pools.duplication_report(_docs(spark, sf_dir))
