@@ -191,8 +191,8 @@ def recognition_table(probes: DataFrame) -> DataFrame:
     """By phrasing and manifest: declined, called, guessed, and guesses that were wrong."""
     told = probes.withColumns({"phrasing": recognise(F.col("text")), "truth": arith_truth(F.col("text")), "value": F.col("answered").cast("decimal(18,4)")})
     return told.groupBy("phrasing", "manifest").agg(
-        F.count_if("called is not null").alias("called"),
-        F.count_if("called is null and value is null").alias("declined"),
-        F.count_if("value is not null").alias("guessed"),
-        F.count_if("value is not null and value <> truth").alias("wrong"),
+        F.count_if(F.expr("called is not null")).alias("called"),
+        F.count_if(F.expr("called is null and value is null")).alias("declined"),
+        F.count_if(F.expr("value is not null")).alias("guessed"),
+        F.count_if(F.expr("value is not null and value <> truth")).alias("wrong"),
     )

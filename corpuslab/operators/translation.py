@@ -85,13 +85,17 @@ def chrf_words(text: Column) -> Column:
     return F.filter(F.split(spaced, r"\s+"), lambda w: w != "")
 
 
+def _marked(found: Column, order: str) -> Column:
+    return F.transform(found, lambda g: F.struct(F.lit(order).alias("ord"), g.alias("g")))
+
+
 def _gram_counts(df: DataFrame, keys: list[str], text: str, name: str, chars: int, words: int) -> DataFrame:
     bare = F.split(F.regexp_replace(text, r"\s+", ""), "")
     bare = F.filter(bare, lambda x: x != "")
     kinds = []
     for kind, units, top, glue in (("c", bare, chars, ""), ("w", chrf_words(F.col(text)), words, " ")):
         for n in range(1, top + 1):
-            kinds.append(F.transform(grams(units, n, glue), lambda g, kind=kind, n=n: F.struct(F.lit(f"{kind}{n}").alias("ord"), g.alias("g"))))
+            kinds.append(_marked(grams(units, n, glue), f"{kind}{n}"))
     return df.select(*keys, F.inline(F.concat(*kinds))).groupBy(*keys, "ord", "g").agg(F.count(F.lit(1)).alias(name))
 
 
