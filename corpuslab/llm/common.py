@@ -13,6 +13,8 @@ from pyspark.sql import DataFrame, SparkSession
 SPACES = b" \t\n\x0b\x0c\r"
 #: Texts handled at once inside a Python worker, in bytes; one text is never cut.
 SLICE_BYTES = 6_000_000
+_LOWER = np.arange(256, dtype=np.uint8)
+_LOWER[65:91] += 32
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -67,9 +69,13 @@ class Words:
     def __init__(self, texts: pa.Array, lower: bool = False):
         import pyarrow.compute as pc
 
-        strings = texts.cast(pa.large_string()) if not pa.types.is_large_string(texts.type) else texts
-        strings = strings.fill_null("")
-        lists = pc.ascii_split_whitespace(pc.ascii_lower(strings) if lower else strings)
+        raw = utf8(texts)
+        bounds = np.asarray(raw.buffers()[1]).view("<i8")[raw.offset : raw.offset + len(raw) + 1]
+        data = np.frombuffer(raw.buffers()[2] or b"", np.uint8)[bounds[0] : bounds[-1]]
+        if lower:  # by a table: pyarrow's own ascii_lower goes wrong on slices
+            data = _LOWER[data]
+        strings = pa.Array.from_buffers(pa.large_string(), len(raw), [None, pa.py_buffer((bounds - bounds[0]).astype("<i8")), pa.py_buffer(np.ascontiguousarray(data))])
+        lists = pc.ascii_split_whitespace(strings)
         flat, offsets = lists.values, np.asarray(lists.offsets, dtype=np.int64)
         flat, offsets = flat.slice(offsets[0], offsets[-1] - offsets[0]), offsets - offsets[0]
         full = np.asarray(pc.binary_length(flat)) > 0
