@@ -38,7 +38,7 @@ def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     taken.where(f"{COPY} > 0").write.parquet(path)
     plan = spark.read.parquet(path).withColumnsRenamed({"doc_id": "_id", "source": "_source", "size": "_size"})
     same = docs.withColumn("_words", mixing.n_words(F.col("text")))
-    met = same.join(plan, F.col("doc_id").eqNullSafe(F.col("_id")) & F.col("source").eqNullSafe(F.col("_source")) & (F.col("_words") == F.col("_size")))
+    met = same.join(plan.hint("merge"), F.col("doc_id").eqNullSafe(F.col("_id")) & F.col("source").eqNullSafe(F.col("_source")) & (F.col("_words") == F.col("_size")))
     each = F.col(COPY).cast("int")
     if plan.where("_rows > 1").limit(1).count():  # rows that share id, source and size: copies are dealt among them in order
         met = met.withColumn("_n", F.row_number().over(Window.partitionBy("_id", "_source", "_size").orderBy(F.xxhash64(*docs.columns))))

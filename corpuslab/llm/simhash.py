@@ -200,7 +200,7 @@ def keep_one(docs: DataFrame) -> DataFrame:
     kept = rows.join(classes, "fp").groupBy(F.coalesce("component_id", "fp").alias("c"), F.col("component_id").isNull().alias("u")).agg(F.min(place).alias("p"))
     kept = _written(kept.select(F.col("p.doc_id").alias("_id"), F.col("p.h").alias("_h")), "simhash-kept")
     same = docs.withColumn("_hash", F.xxhash64("text"))
-    left = same.join(kept, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_hash") == F.col("_h")), "left_semi")
+    left = same.join(kept.hint("merge"), F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_hash") == F.col("_h")), "left_semi")
     twice = rows.join(kept, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("h") == F.col("_h")), "left_semi").groupBy("doc_id", "h").count().where("count > 1")
     if twice.limit(1).count():  # rows repeated as a whole, or but for other columns
         order = Window.partitionBy("doc_id", "_hash").orderBy(*[F.col(f"`{c}`").cast("string") for c in docs.columns if c not in ("doc_id", "text")] or [F.lit(1)])
