@@ -24,7 +24,9 @@ BLOCK_IDS = 1 << 21
 END_ID = 2
 SCHEMA = "part int, block bigint, ids bigint, data binary"
 #: Words that a worker remembers the ids of; beyond it starts anew, which costs time only.
-MEMORY = 700_000
+MEMORY = 1_400_000
+#: A mark after an ASCII letter or digit is a pre-token of its own, so such words are not remembered with it.
+_MARKS, _PLAIN = frozenset(b".,;:!?"), frozenset(b"abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789")
 
 
 class WordCoder:
@@ -44,18 +46,30 @@ class WordCoder:
         self.alphabet = self.tokenizer.get_vocab_size()
         self.known: dict[bytes, bytes] = {}
 
+    def _missing(self, words: list[bytes]) -> list[bytes]:
+        """What has to be encoded for these words: each unknown word, or its stem and mark."""
+        found: set[bytes] = set()
+        for w in words:
+            if w not in self.known:
+                if len(w) > 1 and w[-1] in _MARKS and w[-2] in _PLAIN:
+                    found.update(x for x in (w[:-1], w[-1:]) if x not in self.known)
+                else:
+                    found.add(w)
+        return sorted(found)
+
     def encode(self, texts: pa.Array, end: int = END_ID) -> tuple[np.ndarray, np.ndarray]:
         """Ids of all texts in order, an end id after each, and the number of ids of each text."""
         words = Words(texts)
-        missing = [w for w in words.distinct if w not in self.known]
+        missing = self._missing(words.distinct)
         if len(self.known) + len(missing) > MEMORY:
             self.known.clear()
-            missing = words.distinct
+            missing = self._missing(words.distinct)
         for i in range(0, len(missing), 20_000):
             part = missing[i : i + 20_000]
             found = self.tokenizer.encode_batch_fast([w.decode() for w in part], add_special_tokens=False)
             self.known.update((w, np.array(e.ids, "<u4").tobytes()) for w, e in zip(part, found))
-        coded = [self.known[w] for w in words.distinct]
+        known = self.known
+        coded = [known[w] if w in known else known[w[:-1]] + known[w[-1:]] for w in words.distinct]
         size = np.fromiter(map(len, coded), np.int64, len(coded)) // 4
         table = np.frombuffer(b"".join(coded), "<u4")
         first, counts = np.cumsum(size) - size, size[words.codes]
