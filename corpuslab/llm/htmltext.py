@@ -37,10 +37,10 @@ _HIDDEN = re.compile(r"(?:^|\s)hidden(?:\s|=|$)|aria-hidden\s*=\s*[\"']?true|dis
 
 
 def _kind(tag: str, attributes: str, inside: str) -> str:
-    """The container's feature: its element, marked with - where its names speak of boilerplate and + where of a main part."""
+    """The container's feature: its element, marked with - where its names speak of boilerplate (-~ inside a main part) and + where of a main part."""
     names = " ".join(x for m in _NAMED.finditer(attributes) for x in m.groups() if x) if "=" in attributes else ""
     if tag in OUTSIDE or tag == "header" and not inside.startswith("+") or names and NOT_MAIN.search(names) or attributes and _HIDDEN.search(attributes):
-        return f"-{tag}"
+        return inside if inside.startswith("-") else f"-~{tag}" if inside.startswith("+") else f"-{tag}"
     if inside.startswith("-"):
         return inside
     if tag in ("article", "main") or names and MAIN.search(names):
@@ -62,7 +62,8 @@ def parse(page: str) -> list[tuple[str, str | None, bool]]:
             if raw and raw.lower() in BLOCK:
                 out.append((f"<{raw.lower()}", None, True))
             continue
-        out.append((f"<{closing}{tag}", None, tag in BLOCK))
+        at_tag, place = len(out), where
+        out.append(("", None, tag in BLOCK))
         if tag in CONTAINERS:
             if not closing:
                 stack.append((tag, where))
@@ -73,6 +74,8 @@ def parse(page: str) -> list[tuple[str, str | None, bool]]:
                         where = stack[i][1]
                         del stack[i:]
                         break
+        place = place if closing else where
+        out[at_tag] = (f"<{'+' if place.startswith(('+', '-~')) else '-' if place[0] == '-' else ''}{closing}{tag}", None, tag in BLOCK)
     if at < len(page):
         out.append((where, page[at:], False))
     return out
@@ -90,15 +93,23 @@ def labels(tokens: list[tuple[str, str | None, bool]]) -> list[bool] | None:
     return out
 
 
+#: Weight of a word of boilerplate that stands inside a main part: it is left out in any case, and shall not end the region.
+NESTED = -0.1
+
+
 def default_weight(feature: str) -> float:
     """The weight before any page is seen."""
     if feature[0] == "<":
-        return -0.3
+        return {"+": -0.05, "-": -0.5}.get(feature[1:2], -0.3)
+    if feature.startswith("-~"):
+        return NESTED
     return {"-": -2.0, "+": 1.0}.get(feature[0], 0.5)
 
 
 def weight(feature: str, main: float, other: float) -> float:
     """Log odds of the main part, drawn to the default while rarely seen; words of main parts stay above 0 and tags below."""
+    if feature.startswith(("-~", "<+")):
+        return default_weight(feature)
     odds = max(-2.0, min(1.0, math.log((main + 1) / (other + 1))))
     n = main + other
     mixed = (n * odds + PRIOR * default_weight(feature)) / (n + PRIOR)

@@ -149,8 +149,9 @@ def links(fps: DataFrame, *, split: bool = False) -> DataFrame:
     two = reached.select(*on, F.col("fp").alias("b"))
     differs, block = F.col("a").bitwiseXOR(F.col("b")), F.shiftright("anchor", LENGTH)
     first = F.lit(True)
-    for k, (start, width) in enumerate(BLOCKS[:-1]):
-        first = first & ((block <= k) | (F.bit_count(_bits(differs, start, width)) > SLACK))
+    for k, (start, width) in enumerate(BLOCKS):
+        near = F.bit_count(_bits(differs, start, width)) <= SLACK
+        first = first & F.when(block == k, near).when(block > k, ~near).otherwise(True)
     if split:
         for i, (start, width) in enumerate(PARTS[:-1]):
             first = first & ((F.col("part") <= i) | (_bits(differs, start, width) != 0))
