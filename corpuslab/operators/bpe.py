@@ -132,6 +132,23 @@ def train_bpe(hist: DataFrame, vocab_size: int, mode: str = "exact", *, head: in
     return train_on({r["piece"].encode(): r["cnt"] for r in rows}, vocab_size - BASE)
 
 
+def _rewriter(pairs: tuple[tuple[int, int], ...], first: int):
+    """A column function that joins the pairs, in order, into ids from ``first`` on."""
+
+    @pandas_udf("array<int>")
+    def rewrite(ids: pd.Series) -> pd.Series:
+        def one(x):
+            x = list(x)
+            for i, p in enumerate(pairs):
+                if p[0] in x:
+                    x = _join(x, p, first + i)
+            return x
+
+        return ids.map(one)
+
+    return rewrite
+
+
 def _train_batched(hist: DataFrame, merges: int, k: int) -> Merges:
     """Each round counts adjacent pairs in the cluster, brings its ``k`` heaviest to the driver and rewrites all pieces.
 
@@ -162,18 +179,7 @@ def _train_batched(hist: DataFrame, merges: int, k: int) -> Merges:
             now.append((a, b))
         first = BASE + len(done)
 
-        @pandas_udf("array<int>")
-        def rewrite(ids: pd.Series, now=tuple(now), first=first) -> pd.Series:
-            def one(x):
-                x = list(x)
-                for i, p in enumerate(now):
-                    if p[0] in x:
-                        x = _join(x, p, first + i)
-                return x
-
-            return ids.map(one)
-
-        words = words.select(rewrite("ids").alias("ids"), "cnt").where(F.size("ids") > 1)
+        words = words.select(_rewriter(tuple(now), first)("ids").alias("ids"), "cnt").where(F.size("ids") > 1)
         done += now
         rounds += 1
         if rounds % 8 == 0:
