@@ -25,7 +25,7 @@ _WS = r"\t-\r \x85\xa0  -     　"
 #: The published pre-token classes of byte-level BPE.
 _PIECES = rf"'s|'t|'re|'ve|'m|'ll|'d| ?\p{{L}}+| ?\p{{N}}+| ?[^{_WS}\p{{L}}\p{{N}}]+|[{_WS}]+(?![^{_WS}])|[{_WS}]+"
 #: Entries that a worker remembers; beyond it starts anew, which costs time only.
-MEMORY = 600_000
+MEMORY = 300_000
 #: Marks that make a pre-token of their own after a word.
 _MARKS = frozenset(".,;:!?)")
 

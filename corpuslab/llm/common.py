@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame, SparkSession
 #: Bytes that separate words: 0x20 and 0x09-0x0D, which is also what ``bytes.split()`` takes.
 SPACES = b" \t\n\x0b\x0c\r"
 #: Texts handled at once inside a Python worker, in bytes; one text is never cut.
-SLICE_BYTES = 6_000_000
+SLICE_BYTES = 3_000_000
 _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[65:91] += 32
 
