@@ -3,8 +3,9 @@
 Counts of words and word pairs over all training documents are quantised on a logarithmic scale; an
 n-gram of quantised count q is put into the filter as (n-gram, 1) to (n-gram, q). Asking (n-gram, 1), (n-gram, 2), ...
 until one is refused gives its count back, within the scale's step and the filter's error. The filter is
-blocked: an n-gram's bits lie in one segment, which one task builds. Its size is fixed by its number of
-entries and bounded by ``MAX_BITS`` (beyond it the error rate rises, not the size), so it can be broadcast.
+blocked: an n-gram's bits lie in one segment, which one task builds. Its size follows its number of entries at
+a fixed error rate. Up to ``MAX_BITS`` it is broadcast; a larger one stays a table of segments, the n-grams that
+chunks of texts ask for are shuffled to their segments and the counts joined back.
 
 A token's probability is interpolated: L * c(v, w) / c(v) + (1 - L) * P(w), with P(w) add-one over quantised counts and
 a weight L for each quantised count of v, fitted by deleted interpolation (every token left out of its own
@@ -16,17 +17,18 @@ from __future__ import annotations
 
 import math
 from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Words, mix, row_sums, scratch, slices
+from .common import Words, mix, row_sums, scratch, slices, utf8
 
-#: Step of the count scale; false positives of one question; largest filter; smallest count of a pair that is kept.
+#: Step of the count scale; false positives of one question; largest filter that is broadcast; smallest count of a pair that is kept.
 STEP, RATE, MAX_BITS, MIN_PAIR = 1.5, 1 / 128, 1 << 30, 2
 #: Words whose exact counts are broadcast; most training documents that the weights are fitted on, those of smallest id hash.
 HEAD, TUNED = 1 << 20, 2_000
@@ -35,6 +37,8 @@ _BINS, _WIDTH = 200, 0.05
 SEGMENT = 1 << 22
 _END, _START = np.uint64(0x656E64206F662074), np.uint64(0x7374617274206F66)
 TRAIN_SLICE = 12_000_000
+#: Tokens whose stored counts are handled at once.
+LEVELS_SLICE = 500_000
 
 
 def is_held_out(doc_id: Column) -> Column:
@@ -116,6 +120,34 @@ class Filter:
         return q
 
 
+@dataclass(frozen=True)
+class Spread:
+    """A filter too large to broadcast: its segments lie in a stored table."""
+
+    segments: int
+    hashes: int
+    path: str
+
+
+@dataclass(frozen=True)
+class Answers:
+    """What a spread filter answered to one chunk of texts: sorted keys and their quantised counts."""
+
+    key: np.ndarray
+    level: np.ndarray
+
+    @classmethod
+    def of(cls, key: np.ndarray, level: np.ndarray) -> Answers:
+        key, first = np.unique(key, return_index=True)
+        return cls(key, level[first])
+
+    def counts(self, key: np.ndarray) -> np.ndarray:
+        if not len(self.key):
+            return np.zeros(len(key), np.int64)
+        at = np.minimum(np.searchsorted(self.key, key), len(self.key) - 1)
+        return np.where(self.key[at] == key, self.level[at], 0)
+
+
 def segment(key: np.ndarray, segments: int) -> np.ndarray:
     return (key >> np.uint64(40)) % np.uint64(segments)
 
@@ -125,13 +157,13 @@ def spot(key: np.ndarray, level: np.ndarray | int, j: int) -> np.ndarray:
     return mix(key + np.uint64(j), np.asarray(level, np.uint64)) & np.uint64(SEGMENT - 1)
 
 
-def build_filter(counts: DataFrame, *, rate: float = RATE, max_bits: int = MAX_BITS, min_pair: int = MIN_PAIR) -> Filter:
-    """The filter of a stored count table; its packed segments, ``max_bits`` in all at most, come to the driver."""
+def build_filter(counts: DataFrame, *, rate: float = RATE, max_bits: int = MAX_BITS, min_pair: int = MIN_PAIR) -> Filter | Spread:
+    """The filter of a stored count table; up to ``max_bits`` its packed segments come to the driver, else they are stored."""
     kept = counts.where((F.col("key") % 2 == 0) | (F.col("c") >= min_pair))
     q = F.floor(F.log(F.col("c").cast("double")) / math.log(STEP) + 1e-9) + 1
     entries = kept.agg(F.sum(q)).first()[0] or 0
-    bits = min(max_bits, max(SEGMENT, math.ceil(entries * math.log2(1 / rate) / math.log(2))))
-    segments, hashes = -(-bits // SEGMENT), max(1, round(min(math.log2(1 / rate), math.log(2) * bits / max(entries, 1))))
+    bits = max(SEGMENT, math.ceil(entries * math.log2(1 / rate) / math.log(2)))
+    segments, hashes = -(-bits // SEGMENT), max(1, round(math.log2(1 / rate)))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         maps: dict[int, np.ndarray] = {}
@@ -151,6 +183,10 @@ def build_filter(counts: DataFrame, *, rate: float = RATE, max_bits: int = MAX_B
 
     place = F.pmod(F.shiftrightunsigned("key", 40), F.lit(segments))
     built = kept.repartition(segments, place).select("key", "c").mapInArrow(run, "segment bigint, data binary")
+    if bits > max_bits:
+        path = scratch(counts.sparkSession, "lm-filter")
+        built.write.parquet(path)
+        return Spread(segments, hashes, path)
     data = np.zeros(segments * SEGMENT // 8, np.uint8)
     for s, part in built.groupBy("segment").agg(F.max("data")).toLocalIterator():
         data[s * SEGMENT // 8 : (s + 1) * SEGMENT // 8] = np.frombuffer(part, np.uint8)
@@ -161,7 +197,7 @@ def build_filter(counts: DataFrame, *, rate: float = RATE, max_bits: int = MAX_B
 class Model:
     """What workers need: the filter, exact counts of the most frequent words by hash, and totals."""
 
-    filter: Filter
+    filter: Filter | Spread | Answers
     head: np.ndarray
     head_counts: np.ndarray
     tokens: int
@@ -190,46 +226,151 @@ def train(docs: DataFrame, *, head: int = HEAD) -> tuple[Model, DataFrame]:
     return Model(build_filter(counts), key[order], c[order], n or 0, v or 0, texts or 0), words
 
 
-def _probabilities(tokens: Tokens, model: Model):
-    """Codes and distinct keys of tokens, and for each token P(w), its pair's count, and the quantised and restored count of v."""
+def read_slice(texts: pa.Array, model: Model) -> dict[str, np.ndarray | pa.Array]:
+    """For each text: counts, base score of head words, the tokens whose exact count is still to be asked, and a byte for each token's and each pair's quantised count."""
+    tokens = Tokens.of(texts)
     code, distinct = pd.factorize(tokens.one)
-    levels = model.filter.counts(distinct)
-    q, word = levels[code], restore(levels)[code]
+    pair_code, pairs = pd.factorize(tokens.pairs())
+    unknown = model.tokens + model.words + 1
+    exact = model.exact(distinct)
+    base = np.where(exact >= 0, np.log10((np.maximum(exact, 0) + 1) / unknown), 0.0)
+    rare = exact[code] < 0
+    if model.words <= len(model.head):  # the head is the whole vocabulary: other tokens are unknown
+        base = np.where(exact >= 0, base, np.log10(1 / unknown))
+        rare[:] = False
+    at = np.concatenate([[0], np.cumsum(rare)])[tokens.starts]
+    offsets = pa.py_buffer(tokens.starts.astype("<i4"))
+    packed = lambda q: pa.Array.from_buffers(pa.binary(), len(texts), [None, offsets, pa.py_buffer(q.astype(np.uint8))])
+    return {
+        "n_tokens": np.diff(tokens.starts),
+        "known": row_sums((exact > 0)[code], tokens.starts),
+        "base": row_sums(base[code], tokens.starts),
+        "rare": pa.ListArray.from_arrays(pa.array(at.astype(np.int32)), pa.array(tokens.one[rare].view(np.int64))),
+        "levels": packed(model.filter.counts(distinct)[code]),
+        "pair_levels": packed(model.filter.counts(pairs)[pair_code]),
+    }
+
+
+_READ = "n_tokens bigint, known bigint, base double, rare array<bigint>, levels binary, pair_levels binary"
+
+
+def read(docs: DataFrame, model: Model, shared) -> DataFrame:
+    """``read_slice`` of all ``docs(doc_id, text, held_out)``, stored, with a number ``row`` for each row."""
+    spark, path = docs.sparkSession, scratch(docs.sparkSession, "lm-levels")
+    schema = f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, held_out boolean, {_READ}"
+
+    def told(ids, texts, held_out, model: Model) -> tuple[list[pa.Array], list[str]]:
+        got = read_slice(texts, model)
+        return [ids, held_out, *(pa.array(x) if isinstance(x, np.ndarray) else x for x in got.values())], ["doc_id", "held_out", *got]
+
+    if isinstance(model.filter, Filter):
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in slices(batches, 1):
+                yield pa.RecordBatch.from_arrays(*told(b.column(0), b.column(1), b.column(2), shared.value))
+
+        rows = docs.select("doc_id", "text", "held_out").mapInArrow(run, schema)
+    else:
+
+        def joined(texts: pa.Table, answers: pa.Table) -> pa.Table:
+            flat = [texts.column(c).combine_chunks() for c in ("doc_id", "text", "held_out")]
+            key, level = answers.column("key").to_numpy().view(np.uint64), answers.column("level").to_numpy()
+            return pa.Table.from_arrays(*told(*flat, replace(shared.value, filter=Answers.of(key, level))))
+
+        texts = _chunks(docs)
+        rows = texts.groupBy("chunk").cogroup(ask(texts, model.filter).groupBy("chunk")).applyInArrow(joined, schema)
+    rows.withColumn("row", F.monotonically_increasing_id()).write.parquet(path)
+    return spark.read.schema(f"{schema}, row bigint").parquet(path)
+
+
+def _chunks(docs: DataFrame) -> DataFrame:
+    """``docs`` stored with the number of a chunk of about a slice's bytes."""
+    path, schema = scratch(docs.sparkSession, "lm-chunks"), f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, text string, held_out boolean, chunk bigint"
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        first = TaskContext.get().partitionId() << 33
+        for n, b in enumerate(slices(batches, 1)):
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(np.full(b.num_rows, first + n))], ["doc_id", "text", "held_out", "chunk"])
+
+    docs.select("doc_id", "text", "held_out").mapInArrow(run, schema).write.parquet(path)
+    return docs.sparkSession.read.schema(schema).parquet(path)
+
+
+def ask(texts: DataFrame, filter: Spread) -> DataFrame:
+    """``chunk``, ``key`` and ``level`` of the n-grams of ``texts(chunk, text)`` that the filter knows; each segment meets the keys asked of it in one task."""
+
+    def keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in slices(batches, 1):
+            chunk = np.asarray(b.column(0))
+            for c in np.unique(chunk):
+                tokens = Tokens.of(b.column(1).filter(pa.array(chunk == c)))
+                key = np.unique(np.concatenate([tokens.one, tokens.pairs()]))
+                for i in range(0, len(key), 100_000):
+                    part = key[i : i + 100_000]
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(part), c)), pa.array(part.view(np.int64)), pa.array(segment(part, filter.segments).astype(np.int64))], ["chunk", "key", "segment"])
+
+    def answer(asked: pa.Table, held: pa.Table) -> pa.Table:
+        chunk, key = asked.column("chunk").to_numpy(), asked.column("key").to_numpy().view(np.uint64)
+        level = np.zeros(len(key), np.int64)
+        one, code = np.unique(key, return_inverse=True)
+        for part in held.column("data"):
+            level = np.maximum(level, Filter(1, filter.hashes, np.frombuffer(part.as_py(), np.uint8)).counts(one)[code])
+        known = level > 0
+        return pa.table({"chunk": chunk[known], "key": key[known].view(np.int64), "level": level[known]})
+
+    asked = texts.select("chunk", "text").mapInArrow(keys, "chunk bigint, key bigint, segment bigint")
+    held = texts.sparkSession.read.schema("segment bigint, data binary").parquet(filter.path)
+    return asked.groupBy("segment").cogroup(held.groupBy("segment")).applyInArrow(answer, "chunk bigint, key bigint, level bigint")
+
+
+def _counts(b: pa.RecordBatch, model: Model):
+    """Where texts start in a batch of ``levels, pair_levels``, and for each token its count, its pair's count, and the quantised and restored count of v."""
+    words, pairs = utf8(b.column(0)), utf8(b.column(1))
+    bounds = np.asarray(words.buffers()[1]).view("<i8")[words.offset : words.offset + len(words) + 1]
+    starts, n = bounds - bounds[0], bounds[-1] - bounds[0]
+    begin = np.asarray(pairs.buffers()[1]).view("<i8")[pairs.offset]
+    q, pair_q = np.frombuffer(words.buffers()[2], np.uint8)[bounds[0] : bounds[-1]].astype(np.int64), np.frombuffer(pairs.buffers()[2], np.uint8)[begin : begin + n]
+    word = restore(q)
     before_q, before = np.empty_like(q), np.empty_like(word)
     before_q[1:], before[1:] = q[:-1], word[:-1]
-    before_q[tokens.starts[:-1]], before[tokens.starts[:-1]] = quantise(np.array([max(model.texts, 1)]))[0], model.texts
-    pair_code, pairs = pd.factorize(tokens.pairs())
-    both = np.minimum(restore(model.filter.counts(pairs))[pair_code], np.minimum(word, before))
-    return code, distinct, word, both, before_q, before
+    before_q[starts[:-1]], before[starts[:-1]] = quantise(np.array([max(model.texts, 1)]))[0], model.texts
+    return starts, word, np.minimum(restore(pair_q), np.minimum(word, before)), before_q, before
 
 
-def tune(docs: DataFrame, model: Model, shared, limit: int = TUNED) -> np.ndarray:
-    """Weights by quantised count of the word before, from ``limit`` training documents at most.
+def ratios(rows: DataFrame, model: Model, shared, limit: int = TUNED) -> np.ndarray:
+    """Tokens of ``limit`` training documents at most, by quantised count of the word before and log ratio of pair to word probability.
 
-    Each token's own occurrence is taken off its counts; workers sum up a histogram of log ratios, whose
-    size is fixed, and the driver finds each weight by expectation maximisation over it.
+    Each token's own occurrence is taken off its counts; workers sum up, and the size of the result is fixed.
     """
-    ids = [r[0] for r in docs.where("not held_out and doc_id is not null").select("doc_id").distinct().orderBy(F.xxhash64("doc_id"), "doc_id").limit(limit).collect()]
+    ids = [r[0] for r in rows.where("not held_out and doc_id is not null").select("doc_id").distinct().orderBy(F.xxhash64("doc_id"), "doc_id").limit(limit).collect()]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in slices(batches, 0):
+        seen = np.zeros(160 * _BINS, np.int64)
+        for b in slices(batches, 0, LEVELS_SLICE):
             m = shared.value
-            tokens = Tokens.of(b.column(0))
-            _, _, word, both, q, before = _probabilities(tokens, m)
+            _, word, both, q, before = _counts(b, m)
             pair = np.maximum(both - 1, 0) / np.maximum(before - 1, 1)
             uni = np.maximum(word, 1) / (m.tokens + m.words + 1)
             with np.errstate(divide="ignore"):
                 at = np.clip(np.round(np.log10(pair / uni) / _WIDTH) + _BINS // 2, 0, _BINS - 1)
-            cell, n = np.unique(q * _BINS + np.where(pair > 0, at, 0).astype(np.int64), return_counts=True)
-            yield pa.RecordBatch.from_arrays([pa.array(cell), pa.array(n)], ["cell", "n"])
+            seen += np.bincount(q * _BINS + np.where(pair > 0, at, 0).astype(np.int64), minlength=len(seen))
+        cell = np.flatnonzero(seen)
+        yield pa.RecordBatch.from_arrays([pa.array(cell), pa.array(seen[cell])], ["cell", "n"])
 
-    weights = np.full(160, 0.05)
+    seen = np.zeros((160, _BINS))
     if not ids or not model.tokens:
+        return seen
+    train = rows.where(F.col("doc_id").isin(ids) & ~F.col("held_out"))
+    for cell, n in train.select("levels", "pair_levels").mapInArrow(run, "cell bigint, n bigint").groupBy("cell").agg(F.sum("n").alias("n")).collect():
+        seen[cell // _BINS, cell % _BINS] += n
+    return seen
+
+
+def tune(seen: np.ndarray) -> np.ndarray:
+    """Weights by quantised count of the word before, by expectation maximisation over the histogram of ``ratios``."""
+    weights = np.full(160, 0.05)
+    if not seen.sum():
         return weights
-    cells = docs.where(F.col("doc_id").isin(ids) & ~F.col("held_out")).select("text").mapInArrow(run, "cell bigint, n bigint").groupBy("cell").agg(F.sum("n").alias("n")).collect()
-    seen = np.zeros((160, _BINS))
-    for cell, n in cells:
-        seen[min(cell // _BINS, 159), cell % _BINS] += n
     ratio = 10.0 ** ((np.arange(_BINS) - _BINS // 2) * _WIDTH)
     ratio[0] = 0.0
     near = seen + 20.0 * seen.sum(axis=0) / max(seen.sum(), 1.0)  # counts of thin rows lean on all rows
@@ -241,29 +382,6 @@ def tune(docs: DataFrame, model: Model, shared, limit: int = TUNED) -> np.ndarra
     return weights
 
 
-def score_slice(texts: pa.Array, model: Model, weights: np.ndarray) -> dict[str, np.ndarray | pa.Array]:
-    """Counts, base score of head words, model score and the tokens whose exact count is still to be asked, for each text."""
-    tokens = Tokens.of(texts)
-    code, distinct, word, both, q, before = _probabilities(tokens, model)
-    unknown = model.tokens + model.words + 1
-    exact = model.exact(distinct)
-    base = np.where(exact >= 0, np.log10((np.maximum(exact, 0) + 1) / unknown), 0.0)
-    weight = weights[np.minimum(q, 159)]
-    log = np.log10(weight * both / np.maximum(before, 1) + (1 - weight) * (word + 1) / unknown)
-    rare = exact[code] < 0
-    if model.words <= len(model.head):  # the head is the whole vocabulary: other tokens are unknown
-        base = np.where(exact >= 0, base, np.log10(1 / unknown))
-        rare[:] = False
-    at = np.concatenate([[0], np.cumsum(rare)])[tokens.starts]
-    return {
-        "n_tokens": np.diff(tokens.starts),
-        "known": row_sums((exact > 0)[code], tokens.starts),
-        "base": row_sums(base[code], tokens.starts),
-        "score": row_sums(log, tokens.starts),
-        "rare": pa.ListArray.from_arrays(pa.array(at.astype(np.int32)), pa.array(tokens.one[rare].view(np.int64))),
-    }
-
-
 def score(docs: DataFrame) -> DataFrame:
     """Every document's token counts, exact base score and model score; see the module for the model.
 
@@ -274,23 +392,24 @@ def score(docs: DataFrame) -> DataFrame:
     docs = docs.select("doc_id", "text", is_held_out(F.col("doc_id")).alias("held_out"))
     model, words = train(docs)
     shared = spark.sparkContext.broadcast(model)
-    weights = tune(docs, model, shared)
+    rows = read(docs, model, shared)
+    small = spark.sparkContext.broadcast(replace(model, filter=None, head=model.head[:0], head_counts=model.head_counts[:0]))
+    weights = tune(ratios(rows, model, small))
+    unknown = float(model.tokens + model.words + 1)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in slices(batches, 1):
-            got = score_slice(b.column(1), shared.value, weights)
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(2), *(pa.array(x) for x in got.values())], ["doc_id", "held_out", *got])
+        for b in slices(batches, 0, LEVELS_SLICE):
+            starts, word, both, q, before = _counts(b, small.value)
+            weight = weights[np.minimum(q, 159)]
+            log = np.log10(weight * both / np.maximum(before, 1) + (1 - weight) * (word + 1) / unknown)
+            yield pa.RecordBatch.from_arrays([*b.columns[2:], pa.array(row_sums(log, starts))], [*b.schema.names[2:], "score"])
 
     kind = docs.schema["doc_id"].dataType.simpleString()
-    scored = docs.mapInArrow(run, f"doc_id {kind}, held_out boolean, n_tokens bigint, known bigint, base double, score double, rare array<bigint>")
-    unknown = float(model.tokens + model.words + 1)
+    scored = rows.select("levels", "pair_levels", "doc_id", "held_out", "n_tokens", "known", "base", "row").mapInArrow(run, f"doc_id {kind}, held_out boolean, n_tokens bigint, known bigint, base double, row bigint, score double")
     if model.words <= len(model.head):
         full = scored.select("*", F.lit(0).cast("long").alias("more"), F.lit(0.0).alias("extra"))
     else:
-        path = scratch(spark, "lm-scored")
-        scored.withColumn("row", F.monotonically_increasing_id()).write.parquet(path)
-        scored = spark.read.parquet(path)
-        asked = scored.select("row", F.explode("rare").alias("key"))
+        asked = rows.select("row", F.explode("rare").alias("key"))
         found = asked.join(words, "key", "left").groupBy("row").agg(F.count("c").alias("more"), F.sum(F.log10((F.coalesce("c", F.lit(0)) + 1) / unknown)).alias("extra"))
         full = scored.join(found, "row", "left")
     return full.select(

@@ -183,6 +183,22 @@ def test_log_frequency_filter(spark):
     assert (near > 0.6).all() and (near < 1.6).all()
 
 
+def test_filter_too_large_to_broadcast_answers_alike(spark):
+    docs = odd_documents(spark)
+    want = sorted((str(r.doc_id), r.n_tokens, r.score) for r in lmscore.score(docs).collect())
+    keys = spark.range(0, 1_000_000).selectExpr("xxhash64(id) div 2 * 2 AS key", "1L AS c")
+    f = lmscore.build_filter(keys, max_bits=lmscore.SEGMENT)
+    assert f.hashes == 7 and f.segments * lmscore.SEGMENT > 10_000_000
+    kept = lmscore.build_filter.__kwdefaults__["max_bits"]
+    try:
+        lmscore.build_filter.__kwdefaults__["max_bits"] = 0  # all segments stay a table
+        got = sorted((str(r.doc_id), r.n_tokens, r.score) for r in lmscore.score(docs).collect())
+        assert lmscore.score(docs.limit(0)).count() == 0
+    finally:
+        lmscore.build_filter.__kwdefaults__["max_bits"] = kept
+    assert len(got) == len(want) and all(a[:2] == b[:2] and math.isclose(a[2], b[2], rel_tol=1e-9) for a, b in zip(got, want))
+
+
 def brute_base(text):
     w = words_of(text)
     windows = Counter(tuple(w[i : i + 3]) for i in range(len(w) - 2))
