@@ -28,8 +28,8 @@ from pyspark.sql import functions as F
 
 from .common import Words, mix, row_sums, scratch, slices, utf8
 
-#: Step of the count scale; false positives of one question; largest filter that is broadcast; smallest count of a pair that is kept.
-STEP, RATE, MAX_BITS, MIN_PAIR = 1.5, 1 / 128, 1 << 30, 2
+#: Step of the count scale; false positives of one question; largest filter that is broadcast.
+STEP, RATE, MAX_BITS = 1.5, 1 / 128, 1 << 30
 #: Words whose exact counts are broadcast; most training documents that the weights are fitted on, those of smallest id hash.
 HEAD, TUNED = 1 << 20, 2_000
 #: Bins of log10(pair probability / word probability) that the fit sums up in, and their width.
@@ -157,11 +157,10 @@ def spot(key: np.ndarray, level: np.ndarray | int, j: int) -> np.ndarray:
     return mix(key + np.uint64(j), np.asarray(level, np.uint64)) & np.uint64(SEGMENT - 1)
 
 
-def build_filter(counts: DataFrame, *, rate: float = RATE, max_bits: int = MAX_BITS, min_pair: int = MIN_PAIR) -> Filter | Spread:
+def build_filter(counts: DataFrame, *, rate: float = RATE, max_bits: int = MAX_BITS) -> Filter | Spread:
     """The filter of a stored count table; up to ``max_bits`` its packed segments come to the driver, else they are stored."""
-    kept = counts.where((F.col("key") % 2 == 0) | (F.col("c") >= min_pair))
     q = F.floor(F.log(F.col("c").cast("double")) / math.log(STEP) + 1e-9) + 1
-    entries = kept.agg(F.sum(q)).first()[0] or 0
+    entries = counts.agg(F.sum(q)).first()[0] or 0
     bits = max(SEGMENT, math.ceil(entries * math.log2(1 / rate) / math.log(2)))
     segments, hashes = -(-bits // SEGMENT), max(1, round(math.log2(1 / rate)))
 
@@ -182,7 +181,7 @@ def build_filter(counts: DataFrame, *, rate: float = RATE, max_bits: int = MAX_B
             yield pa.RecordBatch.from_arrays([pa.array([s]), pa.array([np.packbits(here, bitorder="little").tobytes()], pa.binary())], ["segment", "data"])
 
     place = F.pmod(F.shiftrightunsigned("key", 40), F.lit(segments))
-    built = kept.repartition(segments, place).select("key", "c").mapInArrow(run, "segment bigint, data binary")
+    built = counts.repartition(segments, place).select("key", "c").mapInArrow(run, "segment bigint, data binary")
     if bits > max_bits:
         path = scratch(counts.sparkSession, "lm-filter")
         built.write.parquet(path)
@@ -215,7 +214,7 @@ class Model:
 def train(docs: DataFrame, *, head: int = HEAD) -> tuple[Model, DataFrame]:
     """The model of ``docs(text, held_out)`` and the stored counts of all words."""
     spark, path = docs.sparkSession, scratch(docs.sparkSession, "lm-counts")
-    count(docs).where((F.col("key") % 2 == 0) | (F.col("c") >= MIN_PAIR)).write.parquet(path)
+    count(docs).write.parquet(path)
     counts = spark.read.schema("key bigint, c bigint").parquet(path)
     words = counts.where("key % 2 = 0")
     n, v = words.agg(F.sum("c"), F.count(F.lit(1))).first()

@@ -199,6 +199,13 @@ def test_filter_too_large_to_broadcast_answers_alike(spark):
     assert len(got) == len(want) and all(a[:2] == b[:2] and math.isclose(a[2], b[2], rel_tol=1e-9) for a, b in zip(got, want))
 
 
+def test_pairs_seen_once_count(spark):
+    docs = spark.createDataFrame([(2, "the cat sat on a mat", False), (3, "a dog ran to the gate", False)], "doc_id long, text string, held_out boolean")
+    model, _ = lmscore.train(docs)
+    seen = lmscore.Tokens.of(pa.array(["the cat sat on a mat"])).pairs()
+    assert (model.filter.counts(seen) == 1).all()
+
+
 def brute_base(text):
     w = words_of(text)
     windows = Counter(tuple(w[i : i + 3]) for i in range(len(w) - 2))
