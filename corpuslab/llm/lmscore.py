@@ -9,7 +9,7 @@ chunks of texts ask for are shuffled to their segments and the counts joined bac
 
 A token's probability is interpolated: L * c(v, w) / c(v) + (1 - L) * P(w), with P(w) add-one over quantised counts and
 a weight L for each quantised count of v, fitted by deleted interpolation (every token left out of its own
-counts) on a bounded sample of training documents. The base score needs exact counts: those of the ``HEAD`` most frequent words are broadcast, the
+counts) on all training documents. The base score needs exact counts: those of the ``HEAD`` most frequent words are broadcast, the
 rest come by a join of the rare tokens alone.
 """
 
@@ -30,8 +30,8 @@ from .common import Words, mix, row_sums, scratch, slices, utf8
 
 #: Step of the count scale; false positives of one question; largest filter that is broadcast.
 STEP, RATE, MAX_BITS = 1.5, 1 / 128, 1 << 30
-#: Words whose exact counts are broadcast; most training documents that the weights are fitted on, those of smallest id hash.
-HEAD, TUNED = 1 << 20, 2_000
+#: Words whose exact counts are broadcast.
+HEAD = 1 << 20
 #: Bins of log10(pair probability / word probability) that the fit sums up in, and their width.
 _BINS, _WIDTH = 200, 0.05
 SEGMENT = 1 << 22
@@ -336,13 +336,11 @@ def _counts(b: pa.RecordBatch, model: Model):
     return starts, word, np.minimum(restore(pair_q), np.minimum(word, before)), before_q, before
 
 
-def ratios(rows: DataFrame, model: Model, shared, limit: int = TUNED) -> np.ndarray:
-    """Tokens of ``limit`` training documents at most, by quantised count of the word before and log ratio of pair to word probability.
+def ratios(rows: DataFrame, model: Model, shared) -> np.ndarray:
+    """Tokens of all training documents, by quantised count of the word before and log ratio of pair to word probability.
 
     Each token's own occurrence is taken off its counts; workers sum up, and the size of the result is fixed.
     """
-    ids = [r[0] for r in rows.where("not held_out and doc_id is not null").select("doc_id").distinct().orderBy(F.xxhash64("doc_id"), "doc_id").limit(limit).collect()]
-
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen = np.zeros(160 * _BINS, np.int64)
         for b in slices(batches, 0, LEVELS_SLICE):
@@ -357,9 +355,9 @@ def ratios(rows: DataFrame, model: Model, shared, limit: int = TUNED) -> np.ndar
         yield pa.RecordBatch.from_arrays([pa.array(cell), pa.array(seen[cell])], ["cell", "n"])
 
     seen = np.zeros((160, _BINS))
-    if not ids or not model.tokens:
+    if not model.tokens:
         return seen
-    train = rows.where(F.col("doc_id").isin(ids) & ~F.col("held_out"))
+    train = rows.where("not held_out")
     for cell, n in train.select("levels", "pair_levels").mapInArrow(run, "cell bigint, n bigint").groupBy("cell").agg(F.sum("n").alias("n")).collect():
         seen[cell // _BINS, cell % _BINS] += n
     return seen

@@ -206,6 +206,15 @@ def test_pairs_seen_once_count(spark):
     assert (model.filter.counts(seen) == 1).all()
 
 
+def test_weights_rest_on_all_training_documents(spark):
+    docs = spark.range(0, 2600).selectExpr("id AS doc_id", "concat('one two ', id % 7) AS text")
+    docs = docs.withColumn("held_out", lmscore.is_held_out(docs.doc_id))
+    model, _ = lmscore.train(docs)
+    shared = spark.sparkContext.broadcast(model)
+    seen = lmscore.ratios(lmscore.read(docs, model, shared), model, shared)
+    assert seen.sum() == model.tokens == 4 * docs.where("not held_out").count() > 8000
+
+
 def brute_base(text):
     w = words_of(text)
     windows = Counter(tuple(w[i : i + 3]) for i in range(len(w) - 2))
