@@ -124,6 +124,15 @@ def test_near_duplicates_and_components(spark):
     assert got == {0: 0, 1: 0, 2: 0, 3: 3, 4: 3, 5: 5}
 
 
+def test_contamination_finds_passages_inside_words(spark):
+    passages = ["one two three four five six seven eight nine ten", "alpha beta gamma", "hello there", "solo", "Case matters here now"]
+    texts = ['He said "' + passages[0] + '" twice', "Q:alpha beta gamma!", "(hello there)", "xsolox", "case matters here now", passages[0], "", None, "one two three four five six seven eight nine eleven"]
+    bench = spark.createDataFrame(list(enumerate(passages)), "item_id int, text string")
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id int, text string")
+    got = sorted(tuple(r) for r in evaluation.contaminated(bench, docs).collect())
+    assert got == sorted((i, d) for i, p in enumerate(passages) for d, t in enumerate(texts) if t and p in t)
+
+
 def test_language_models_sum_to_one(spark):
     df = spark.createDataFrame([(1, "a b a c a b"), (2, "b a b")], "doc_id long, text string")
     two = ngram.train(df, 2)
