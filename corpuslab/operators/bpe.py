@@ -119,8 +119,8 @@ def train_on(pieces: dict[bytes, float], merges: int, least: float = 1.0) -> Mer
 def train_bpe(hist: DataFrame, vocab_size: int, mode: str = "exact", *, head: int = 200_000, pairs_per_round: int = 16, fraction: float = 0.1) -> Merges:
     """Merges from ``hist(piece, cnt)``.
 
-    ``exact`` brings the ``head`` most frequent pieces to the driver (a stated bound); ``sampled`` does so with an md5 share of all
-    pieces; ``batched`` leaves all pieces in the cluster and takes several pairs a round.
+    ``exact`` trains on all pieces: on the driver while there are ``head`` distinct ones at most, else as ``batched`` does, with the same
+    merges; ``sampled`` does so with an md5 share of all pieces; ``batched`` leaves all pieces in the cluster and takes several pairs a round.
     """
     if vocab_size > LIMIT:
         raise ValueError("ids must fit 16 bits")
@@ -128,7 +128,9 @@ def train_bpe(hist: DataFrame, vocab_size: int, mode: str = "exact", *, head: in
         return _train_batched(hist, vocab_size - BASE, pairs_per_round)
     if mode == "sampled":
         hist = hist.where(bucket("bpe", F.col("piece")) < int(fraction * 2**32))
-    rows = hist.orderBy(F.desc("cnt"), "piece").limit(head).collect()
+    rows = hist.limit(head + 1).collect()
+    if len(rows) > head:
+        return _train_batched(hist, vocab_size - BASE, pairs_per_round)
     return train_on({r["piece"].encode(): r["cnt"] for r in rows}, vocab_size - BASE)
 
 
@@ -149,20 +151,23 @@ def _rewriter(pairs: tuple[tuple[int, int], ...], first: int):
     return rewrite
 
 
+def _checkpoints(spark: SparkSession) -> None:
+    if spark.sparkContext._jsc.sc().getCheckpointDir().isEmpty():
+        spark.sparkContext.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or "/tmp/corpuslab-checkpoints")
+
+
 def _train_batched(hist: DataFrame, merges: int, k: int) -> Merges:
     """Each round counts adjacent pairs in the cluster, brings its ``k`` heaviest to the driver and rewrites all pieces.
 
     Of these, pairs are taken in order while they share no id with one already taken, so that the round equals as many single rounds. Pieces are checkpointed each 8 rounds.
     """
-    spark = hist.sparkSession
-    if spark.sparkContext._jsc.sc().getCheckpointDir().isEmpty():
-        spark.sparkContext.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or "/tmp/corpuslab-checkpoints")
+    _checkpoints(hist.sparkSession)
 
     @pandas_udf("array<int>")
     def bytes_of(piece: pd.Series) -> pd.Series:
         return piece.map(lambda x: list(x.encode()))
 
-    words = hist.select(bytes_of("piece").alias("ids"), "cnt").where(F.size("ids") > 1).checkpoint()
+    words = hist.where("cnt > 0").select(bytes_of("piece").alias("ids"), "cnt").where(F.size("ids") > 1).checkpoint()
     done: list[tuple[int, int]] = []
     rounds = 0
     while len(done) < merges:
@@ -177,6 +182,8 @@ def _train_batched(hist: DataFrame, merges: int, k: int) -> Merges:
                 break
             used |= {a, b}
             now.append((a, b))
+            if a == b:  # what it makes with itself may come before the next pair
+                break
         first = BASE + len(done)
 
         words = words.select(_rewriter(tuple(now), first)("ids").alias("ids"), "cnt").where(F.size("ids") > 1)
@@ -230,32 +237,29 @@ def fertility(df: DataFrame, merges: Merges, rule, by: list[str], text: str = "t
     return out.withColumns({"fertility": F.round(F.col("tokens") / F.col("words"), 6), "bytes_per_token": F.round(F.col("bytes") / F.col("tokens"), 6)})
 
 
-def mixture_sweep(df: DataFrame, sides: Column, shares: list[float], rules: list[str], vocab_size: int, *, text: str = "text", head: int = 60_000) -> DataFrame:
+def mixture_sweep(df: DataFrame, sides: Column, shares: list[float], rules: list[str], vocab_size: int, *, text: str = "text", head: int = 200_000) -> DataFrame:
     """Fertility of the lower-resource side when a tokenizer is trained at each share of it, under each rule.
 
-    ``sides`` is true for that side. One histogram by side and rule serves all shares: a mixture only weights its counts.
+    ``sides`` is true for that side. One histogram of all pieces by side and rule serves all shares: a mixture only weights its counts
+    (in whole 10^-15 of the mixture). ``head`` is as in ``train_bpe``; floor and fertility are summed up in the cluster.
     Output: rule, share, merges, fertility, floor, slack (fertility / floor - 1).
     """
     from ..functions.pretokenize import n_words, piece_histogram
 
+    _checkpoints(df.sparkSession)
     df = df.withColumn("_lrl", sides)
     words = df.where("_lrl").agg(F.sum(n_words(F.col(text)))).first()[0] or 0
     rows = []
     for rule in rules:
-        hist = piece_histogram(df, rule, ["_lrl"], text)
-        top = hist.withColumn("_r", F.row_number().over(Window.partitionBy("_lrl").orderBy(F.desc("cnt"), "piece"))).where(F.col("_r") <= head)
-        counts: dict[bool, dict[str, int]] = {True: {}, False: {}}
-        for lrl, piece, cnt, _ in top.collect():
-            counts[lrl][piece] = cnt
-        totals = {k: max(1, sum(v.values())) for k, v in counts.items()}
-        floor = sum(n for p, n in counts[True].items() if p.strip()) / max(words, 1)
+        hist = piece_histogram(df, rule, ["_lrl"], text).checkpoint()
+        totals = {r["_lrl"]: max(1, r["n"]) for r in hist.groupBy("_lrl").agg(F.sum("cnt").alias("n")).collect()}
+        own = hist.where("_lrl")
+        floor = (own.where(~F.col("piece").rlike(r"^\s+$")).agg(F.sum("cnt")).first()[0] or 0) / max(words, 1)
         for share in shares:
-            pieces: dict[bytes, float] = defaultdict(float)
-            for lrl, w in ((True, share), (False, 1 - share)):
-                for p, n in counts[lrl].items():
-                    pieces[p.encode()] += w * n / totals[lrl] * 1e6
-            merges = train_on(pieces, vocab_size - BASE, least=1e-9)
-            tokens = sum(n * len(merges.encode(p.encode())) for p, n in counts[True].items())
+            w = F.when(F.col("_lrl"), F.lit(share / totals.get(True, 1))).otherwise(F.lit((1 - share) / totals.get(False, 1)))
+            mixed = hist.groupBy("piece").agg(F.round(F.sum(w * F.col("cnt")) * 1e15).cast("long").alias("cnt")).where("cnt > 0")
+            merges = train_bpe(mixed, vocab_size, head=head)
+            tokens = own.agg(F.sum(F.col("cnt") * token_count(merges)("piece"))).first()[0] or 0
             rows.append((rule, float(share), len(merges.pairs), tokens / max(words, 1), floor, tokens / max(words, 1) / floor - 1 if floor else 0.0))
     return df.sparkSession.createDataFrame(rows, "rule string, share double, merges int, fertility double, floor double, slack double")
 

@@ -107,7 +107,7 @@ def tok_bpe_fertility(spark, sf_dir):
     seen = _docs(spark, sf_dir).withColumn("text", V.abugida_view(F.col("text")))
     out = None
     for rule in _CLASS:
-        merges = bpe.train_bpe(P.piece_histogram(seen, rule), bpe.BASE + 300, head=6_000)
+        merges = bpe.train_bpe(P.piece_histogram(seen, rule), bpe.BASE + 300)
         part = bpe.fertility(seen, merges, rule, ["lang"]).withColumn("rule", F.lit(rule))
         out = part if out is None else out.unionByName(part)
     return out
@@ -119,7 +119,7 @@ def tok_mixture_sweep(spark, sf_dir):
     docs = _docs(spark, sf_dir).where("lang in ('en', 'es')")
     lrl = F.col("lang") == "es"
     seen = docs.withColumn("text", F.when(lrl, V.abugida_view(F.col("text"))).otherwise(F.col("text")))
-    return bpe.mixture_sweep(seen, lrl, [0.25, 0.5, 1.0], list(_CLASS), bpe.BASE + 800, head=4_000)
+    return bpe.mixture_sweep(seen, lrl, [0.25, 0.5, 1.0], list(_CLASS), bpe.BASE + 800)
 
 
 @query()
@@ -140,7 +140,7 @@ def tok_compare(spark, sf_dir):
     rows = out.unpivot(["words"], ["char", "byte"], "tokenizer", "tokens")
     hist = P.piece_histogram(docs, "letters_marks")
     for size in (100, 400):
-        merges = bpe.train_bpe(hist, bpe.BASE + size, head=6_000)
+        merges = bpe.train_bpe(hist, bpe.BASE + size)
         part = bpe.fertility(docs.withColumn("all", F.lit(1)), merges, "letters_marks", ["all"])
         rows = rows.unionByName(part.select("words", F.lit(f"bpe_{size}").alias("tokenizer"), "tokens"))
     told = rows.withColumn("fertility", F.round(F.col("tokens") / F.col("words"), 6))

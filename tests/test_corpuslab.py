@@ -95,6 +95,24 @@ def test_mixture_sweep_respects_the_floor(spark, sf):
     assert by["letters", 1.0].floor > 2 * by["letters_marks", 1.0].floor and by["letters", 1.0].slack < by["letters", 0.5].slack
 
 
+def test_tokenizers_see_all_pieces(spark):
+    docs = spark.createDataFrame([("es", "aa bb aa ccc, ddd"), ("es", "ee ff aa"), ("en", "aa gg aaaa aa hh")], "lang string, text string")
+    lrl = F.col("lang") == "es"
+    hist = P.piece_histogram(docs, "letters")
+    assert bpe.train_bpe(hist, 256 + 8, head=2).pairs == bpe.train_bpe(hist, 256 + 8).pairs
+    want = P.fertility_floor(docs.where(lrl), ["lang"], "letters").first().floor
+    for head in (2, 100):
+        got = bpe.mixture_sweep(docs, lrl, [0.5], ["letters"], 256 + 8, head=head).first()
+        merges = bpe.train_on({p.encode(): n for p, n in _mixed(docs, lrl)}, 8)
+        tokens = bpe.fertility(docs.where(lrl), merges, "letters", ["lang"]).first()
+        assert math.isclose(got.floor, want) and math.isclose(got.fertility, tokens.tokens / tokens.words)
+
+
+def _mixed(docs, lrl):
+    counts = {k: Counter({r.piece: r.cnt for r in P.piece_histogram(docs.where(c), "letters").collect()}) for k, c in ((1, lrl), (0, ~lrl))}
+    return [(p, round(1e15 * sum(0.5 * counts[k][p] / sum(counts[k].values()) for k in (1, 0)))) for p in counts[1] | counts[0]]
+
+
 def test_capped_weights_against_loop(spark):
     sizes = {"a": 10.0, "b": 100.0, "c": 1000.0, "d": 5.0}
     df = spark.createDataFrame(list(sizes.items()), "pool string, tokens double")
