@@ -142,6 +142,15 @@ def test_near_duplicates_and_components(spark):
     assert got == {0: 0, 1: 0, 2: 0, 3: 3, 4: 3, 5: 5}
 
 
+def test_large_buckets_lose_no_link(spark):
+    """Three families in one bucket (one band of one hash), ids in turn: neighbours and the least id are of other families."""
+    shared = [f"s{i}" for i in range(60)]
+    rows = [(i, " ".join(shared + [f"f{i % 3}w{j}" for j in range(60)] + [f"end{i}"])) for i in range(30)]
+    df = spark.createDataFrame(rows, "doc_id int, text string")
+    found = [sorted(map(tuple, dedup.near_dup_clusters(df, perms=1, bands=1, bucket_cap=cap).collect())) for cap in (4, 1000)]
+    assert found[0] == found[1] and len({c for _, c in found[0]}) == 4  # one text is alone: its end has the least hash
+
+
 def test_contamination_finds_passages_inside_words(spark):
     passages = ["one two three four five six seven eight nine ten", "alpha beta gamma", "hello there", "solo", "Case matters here now"]
     texts = ['He said "' + passages[0] + '" twice', "Q:alpha beta gamma!", "(hello there)", "xsolox", "case matters here now", passages[0], "", None, "one two three four five six seven eight nine eleven"]
