@@ -137,6 +137,28 @@ def lm_bigram_counts(spark, sf_dir):
     return ngram.train(_docs(spark, sf_dir), 2).where("cnt >= 10")
 
 
+_ROWS = "count(*) AS rows, sum(cnt)::bigint AS tokens, sum(cnt * cnt)::bigint AS squares, count(*) FILTER (cnt = 1) AS once"
+
+
+def _all_counts(counts, *keys):
+    """Sums over all counts, rare ones too."""
+    c = F.col("cnt")
+    return counts.groupBy(*keys).agg(F.count(F.lit(1)).alias("rows"), F.sum(c).alias("tokens"), F.sum(c * c).alias("squares"), F.count_if(c == 1).alias("once"))
+
+
+@query(rf"""WITH t AS (SELECT lang, unnest(regexp_extract_all(lower(text), '\S+')) AS token FROM documents), c AS (SELECT lang, token, count(*) AS cnt FROM t GROUP BY ALL) SELECT lang, {_ROWS} FROM c GROUP BY lang""")
+def lm_unigram_totals(spark, sf_dir):
+    """What ``lm_unigram_counts`` leaves out is in here: all words of each language."""
+    return _all_counts(ngram.train(_docs(spark, sf_dir), 1, ["lang"]), "lang")
+
+
+@query(rf"""WITH t AS (SELECT lang, {_T} AS t FROM documents), b AS (SELECT lang, t[i::int - 1] AS context, t[i::int] AS token FROM (SELECT lang, t, unnest(range(2, len(t) + 1)) AS i FROM t)),
+c AS (SELECT lang, context, token, count(*) AS cnt FROM b GROUP BY ALL) SELECT lang, {_ROWS} FROM c GROUP BY lang""")
+def lm_bigram_totals(spark, sf_dir):
+    """All word pairs of each language, those below the count of ``lm_bigram_counts`` too."""
+    return _all_counts(ngram.train(_docs(spark, sf_dir), 2, ["lang"]), "lang")
+
+
 _LM = rf"""WITH d AS (SELECT doc_id, lang, {_T} AS t, {_H} AS h FROM documents), b AS (SELECT doc_id, lang, h, t[i::int - 1] AS c, t[i::int] AS w FROM (SELECT doc_id, lang, h, t, unnest(range(2, len(t) + 1)) AS i FROM d)),
 n AS (SELECT c, w, count(*) AS n FROM b WHERE NOT h GROUP BY ALL), m AS (SELECT c, sum(n) AS m FROM n GROUP BY c), v AS (SELECT count(DISTINCT w) AS v FROM n),
 s AS (SELECT b.doc_id, b.lang, ln((coalesce(n.n, 0) + 0.1::double) / (coalesce(m.m, 0) + 0.1::double * (v.v + 1))) AS lp FROM b LEFT JOIN n ON b.c = n.c AND b.w = n.w LEFT JOIN m ON b.c = m.c, v WHERE b.h)"""

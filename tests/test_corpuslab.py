@@ -85,6 +85,14 @@ def test_packing_keeps_every_token(spark):
         bpe.require_fingerprint(wrong, "bb").collect()
 
 
+@pytest.mark.parametrize("name", ["lm_unigram_totals", "lm_bigram_totals"])
+def test_totals_hold_all_counts(spark, sf, name):
+    test_queries_equal_their_sql(spark, sf, name)
+    words = load(spark, sf, "documents").agg(F.sum(P.n_words(F.col("text")))).first()[0]
+    rows = plans.load().QUERIES[name](spark, sf).collect()
+    assert sum(r.tokens for r in rows) == words and all(r.once > 0 for r in rows)
+
+
 def test_mixture_sweep_respects_the_floor(spark, sf):
     docs = load(spark, sf, "documents").where("lang in ('en', 'es')")
     lrl = F.col("lang") == "es"
