@@ -135,6 +135,12 @@ def mcq_subsample_audit(spark, sf_dir):
     return spark.createDataFrame([(round(a["se"], 4), round(a["gap_se"], 2), round(a["gap_se_finite"], 2))], "se double, gap_se double, gap_se_finite double")
 
 
+@query()
+def mcq_subsample_scored(spark, sf_dir):
+    """All scored items beside half of them, by language and format, normalised by characters."""
+    return E.subsample_report(E.picks(_scores(spark, sf_dir), "chars", ("lang", "format")))
+
+
 _T5 = "(VALUES ('LRL', 'letter', 0.240::double), ('EN', 'letter', 0.236::double), ('LRL', 'text', 0.306::double), ('EN', 'text', 0.387::double)) t(lang, format, acc)"
 
 

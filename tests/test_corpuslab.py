@@ -93,6 +93,14 @@ def test_totals_hold_all_counts(spark, sf, name):
     assert sum(r.tokens for r in rows) == words and all(r.once > 0 for r in rows)
 
 
+def test_subsample_report_of_scored_items(spark):
+    rows = [("EN", i, i % 4, 0) for i in range(200)]
+    got = evaluation.subsample_report(spark.createDataFrame(rows, "lang string, item_id int, pick int, gold int"), ("lang",)).first()
+    want = evaluation.subsample_audit(0.25, 200, got.acc_half, got.m)
+    assert 70 < got.m < 130 and got.n == 200 and got.acc == 0.25
+    assert all(math.isclose(got[k], want[k], abs_tol=1e-4) for k in want)
+
+
 def test_mixture_sweep_respects_the_floor(spark, sf):
     docs = load(spark, sf, "documents").where("lang in ('en', 'es')")
     lrl = F.col("lang") == "es"
