@@ -85,7 +85,7 @@ class Words:
         coded = flat.dictionary_encode()
         self.starts = offsets
         self.codes = np.asarray(coded.indices, dtype=np.int64)
-        self.distinct = coded.dictionary.cast(pa.large_binary()).to_pylist()
+        self.distinct = coded.dictionary.cast(pa.large_binary()).to_numpy(zero_copy_only=False).tolist()
         self.counts = np.diff(offsets)
 
     def owner(self) -> np.ndarray:

@@ -18,7 +18,9 @@ import zlib
 import numpy as np
 
 STEPS = 96
-MAGIC = b"CMRC\x01"
+#: Bits of the whole that a mixing context's three shares make up.
+MIX = 14
+MAGIC = b"CMRC\x02"
 _HEAD = struct.Struct("<5sIIQII")
 _LOW, _MASK, _U16 = np.uint64(1) << np.uint64(32), (np.uint64(1) << np.uint64(48)) - np.uint64(1), np.uint64(16)
 _TOP = np.uint64(32)
@@ -30,76 +32,93 @@ class BlockError(ValueError):
 
 
 class _Model:
+    """State of a block. An entry of orders 1 and 2 is the id it predicts, times 8, plus a confidence of 0 to 7."""
+
     def __init__(self, alphabet: int, n: int):
         self.alphabet = alphabet
-        self.counts = np.ones(alphabet, np.int64)
+        self.counts, self.sum = np.ones(alphabet, np.int64), alphabet
         self.size = 1 << max(10, min(20, (2 * n).bit_length()))
-        self.next1, self.sure1 = np.full(alphabet + 1, -1, np.int32), np.zeros(alphabet + 1, np.int8)
-        self.next2, self.sure2 = np.full(self.size, -1, np.int32), np.zeros(self.size, np.int8)
+        nothing = np.int32(alphabet << 3)
+        self.one, self.two = np.full(alphabet + 1, nothing), np.full(self.size, nothing)
         self.mixed = np.tile(np.array([64, 8, 8], np.int64), (128, 1))
         self._sums()
 
     def _sums(self) -> None:
-        self.cum = np.concatenate([[0], np.cumsum(self.counts)])
-        self.total = np.uint64(self.cum[-1])
-        edges = np.concatenate([np.zeros((len(self.mixed), 1), np.int64), np.cumsum(self.mixed, axis=1)], axis=1)
-        self.edges, self.mix_total = edges.astype(np.uint64).ravel(), edges[:, 3].astype(np.uint64)
+        """Cumulated order-0 counts, and the shares of each mixing context out of 1 << MIX."""
+        self.cum = np.zeros(self.alphabet + 1, np.uint64)
+        np.cumsum(self.counts.view(np.uint64), out=self.cum[1:])
+        self.total = np.uint64(self.sum)
+        share = 1 + self.mixed * ((1 << MIX) - 3) // self.mixed.sum(axis=1, keepdims=True)
+        share[:, 0] += (1 << MIX) - share.sum(axis=1)
+        self.widths = share.astype(np.uint64).ravel()
+        self.edges = (np.cumsum(share, axis=1) - share).astype(np.uint64).ravel()
 
     def predict(self, before: np.ndarray, before2: np.ndarray):
-        """Slots of order 2, the ids predicted by orders 1 and 2, and the mixing context of each lane."""
+        """Slots of order 2, the entries and ids of orders 1 and 2, and the mixing context of each lane, times 3."""
         slot = (((before2 * 0x1E3779B1) ^ before) * 0x5EBCA6B >> 12) & (self.size - 1)
-        one, two = self.next1[before], self.next2[slot]
-        context = (self.sure2[slot].astype(np.int64) << 4) | (self.sure1[before].astype(np.int64) << 1) | (one == two)
-        return slot, one, two, context
-
-    def learn(self, ids, slot, before, one, two, context, kind) -> None:
-        for table, sure, at, said in ((self.next1, self.sure1, before, one), (self.next2, self.sure2, slot, two)):
-            right, s = said == ids, sure[at]
-            changed = ~right & (s <= 1)
-            sure[at] = np.where(right, np.minimum(s + 1, 7), np.where(changed, 1, s - 2)).astype(np.int8)
-            table[at[changed]] = ids[changed]
+        e1, e2 = self.one.take(before), self.two.take(slot)
+        one, two = e1 >> 3, e2 >> 3
+        context = ((e2 & 7) << 4) | ((e1 & 7) << 1) | (one == two)
+        return slot, e1, e2, one, two, context * 3
+
+    def learn(self, ids: np.ndarray, ids32: np.ndarray, before: np.ndarray, slot: np.ndarray, e1, e2, right1, right2, cell: np.ndarray) -> None:
+        fresh = (ids32 << 3) | 1
+        for table, at, e, right in ((self.one, before, e1, right1), (self.two, slot, e2, right2)):
+            sure = e & 7
+            table[at] = np.where(right, e + (sure < 7), np.where(sure <= 1, fresh, e - 2))
         self.counts += _GAIN * np.bincount(ids, minlength=self.alphabet)
-        if int(self.counts.sum()) > _MOST:
+        self.sum += _GAIN * len(ids)
+        if self.sum > _MOST:
             self.counts = (self.counts + 1) >> 1
-        self.mixed += 16 * np.bincount(context * 3 + kind, minlength=384).reshape(128, 3)
+            self.sum = int(self.counts.sum())
+        self.mixed += 16 * np.bincount(cell, minlength=384).reshape(128, 3)
         full = self.mixed.sum(axis=1) > 1 << 16
         self.mixed[full] = (self.mixed[full] + 1) >> 1
         self._sums()
 
+    def find(self, aim: np.ndarray) -> np.ndarray:
+        """The id whose cumulated counts hold each value; looked up in ascending order, which is kinder to the cache."""
+        order = np.sort((aim << np.uint64(32)) | np.arange(len(aim), dtype=np.uint64))
+        out = np.empty(len(aim), np.int64)
+        out[(order & np.uint64(0xFFFFFFFF)).astype(np.int64)] = np.searchsorted(self.cum, order >> np.uint64(32), side="right") - 1
+        return out
+
 
 class _Writer:
     def __init__(self, lanes: int, steps: int):
         self.low, self.range = np.zeros(lanes, np.uint64), np.full(lanes, _MASK + np.uint64(1), np.uint64)
-        self.digits, self.at = np.zeros((lanes, 4 * steps + 4), np.uint32), np.zeros(lanes, np.int64)
+        self.digits, self.at = np.zeros((4 * steps + 4, lanes), np.uint32), np.zeros(lanes, np.int64)
 
-    def put(self, lane: slice | np.ndarray, start: np.ndarray, width: np.ndarray, total) -> None:
-        """Narrows the lanes (the first ones, as a slice, or those of an index) to the given part of the total; all unsigned 64-bit."""
-        part = self.range[lane] // total
+    def put(self, lane: slice | np.ndarray, part: np.ndarray, start: np.ndarray, width: np.ndarray) -> None:
+        """Narrows the lanes (the first ones, as a slice, or those of an index) to ``width`` parts from ``start`` on; all unsigned 64-bit."""
         low, size = self.low[lane] + part * start, part * width
         over = np.flatnonzero(low > _MASK)
         if over.size:
             who = over if isinstance(lane, slice) else lane[over]
-            self.digits[who, self.at[who] - 1] += 1
+            self.digits[self.at[who] - 1, who] += 1
             low &= _MASK
-        while (short := np.flatnonzero(size < _LOW)).size:
+        short = np.flatnonzero(size < _LOW)
+        while short.size:
             who = short if isinstance(lane, slice) else lane[short]
-            self.digits[who, self.at[who]] = (low[short] >> _TOP).astype(np.uint32)
-            self.at[who] += 1
-            low[short] = (low[short] << _U16) & _MASK
-            size[short] <<= _U16
+            rest, at = low[short], self.at[who]
+            self.digits[at, who] = (rest >> _TOP).astype(np.uint32)
+            self.at[who] = at + 1
+            low[short] = (rest << _U16) & _MASK
+            wider = size[short] << _U16
+            size[short] = wider
+            short = short[wider < _LOW]
         self.low[lane], self.range[lane] = low, size
 
     def end(self) -> tuple[np.ndarray, np.ndarray]:
         """Lengths of the lanes in digits, and all digits in lane order. One last digit settles each lane."""
         who = np.arange(len(self.at))
-        self.digits[who, self.at] = ((self.low >> _TOP) + np.uint64(1)).astype(np.uint32)
+        self.digits[self.at, who] = ((self.low >> _TOP) + np.uint64(1)).astype(np.uint32)
         self.at += 1
-        for k in range(int(self.at.max()) - 1, 0, -1):  # carries run to the left
-            over = self.digits[:, k] >> 16
-            self.digits[:, k - 1] += over
-            self.digits[:, k] &= 0xFFFF
-        used = np.arange(self.digits.shape[1]) < self.at[:, None]
-        return self.at, self.digits[used].astype("<u2")
+        most = int(self.at.max())
+        for k in range(most - 1, 0, -1):  # carries run to the front
+            self.digits[k - 1] += self.digits[k] >> 16
+        used = np.arange(most) < self.at[:, None]
+        return self.at, np.ascontiguousarray(self.digits[:most].T.astype("<u2"))[used]
 
 
 class _Reader:
@@ -114,17 +133,16 @@ class _Reader:
     def _next(self, lane: np.ndarray) -> np.ndarray:
         at = self.at[lane]
         self.at[lane] = at + 1
-        return self.digits[np.where(at < self.ends[lane], at, len(self.digits) - 1)]
-
-    def aim(self, lane: slice | np.ndarray, total) -> np.ndarray:
-        self.part = self.range[lane] // total
-        return np.minimum(self.gap[lane] // self.part, total - np.uint64(1))
+        return self.digits.take(np.where(at < self.ends[lane], at, len(self.digits) - 1))
 
-    def take(self, lane: slice | np.ndarray, start: np.ndarray, width: np.ndarray) -> None:
-        gap, size = self.gap[lane] - self.part * start, self.part * width
-        while (short := np.flatnonzero(size < _LOW)).size:
+    def take(self, lane: slice | np.ndarray, part: np.ndarray, start: np.ndarray, width: np.ndarray) -> None:
+        gap, size = self.gap[lane] - part * start, part * width
+        short = np.flatnonzero(size < _LOW)
+        while short.size:
             gap[short] = gap[short] << _U16 | self._next(short if isinstance(lane, slice) else lane[short])
-            size[short] <<= _U16
+            wider = size[short] << _U16
+            size[short] = wider
+            short = short[wider < _LOW]
         self.gap[lane], self.range[lane] = gap, size
 
 
@@ -147,20 +165,21 @@ def pack_ids(ids: np.ndarray, alphabet: int) -> bytes:
     before = before2 = np.full(lanes, alphabet, np.int64)
     for t in range(steps):
         k = lanes if (lanes - 1) * steps + t < n else lanes - 1
-        lane, now = slice(0, k), grid[t, :k]
-        slot, one, two, context = model.predict(before[:k], before2[:k])
-        kind = np.where(two == now, 1, np.where(one == now, 2, 0))
-        cell = context * 4 + kind
-        start = model.edges[cell]
-        out.put(lane, start, model.edges[cell + 1] - start, model.mix_total[context])
-        missed = np.flatnonzero(kind == 0)
+        before, before2 = before[:k], before2[:k]  # the last lane may have ended
+        now = grid[t, :k]
+        now32 = now.astype(np.int32)
+        slot, e1, e2, one, two, cell = model.predict(before, before2)
+        right1, right2 = one == now32, two == now32
+        cell += np.where(right2, 1, right1 * np.int32(2))
+        neither = ~(right1 | right2)
+        lane = slice(0, k)
+        out.put(lane, out.range[lane] >> np.uint64(MIX), model.edges.take(cell), model.widths.take(cell))
+        missed = np.flatnonzero(neither)
         if missed.size:
             x = now[missed]
-            out.put(missed, model.cum[x].astype(np.uint64), model.counts[x].astype(np.uint64), model.total)
-        model.learn(now, slot, before[:k], one, two, context, kind)
+            out.put(missed, out.range[missed] // model.total, model.cum.take(x), model.counts.view(np.uint64).take(x))
+        model.learn(now, now32, before, slot, e1, e2, right1, right2, cell)
         before2, before = before, now
-        if k < lanes:  # the last lane has ended
-            before2 = before2[:k]
     lengths, digits = out.end()
     return lengths.astype("<u4").tobytes() + digits.tobytes()
 
@@ -176,24 +195,24 @@ def unpack_ids(data: bytes, n: int, alphabet: int) -> np.ndarray:
     before = before2 = np.full(lanes, alphabet, np.int64)
     for t in range(steps):
         k = lanes if (lanes - 1) * steps + t < n else lanes - 1
-        lane = slice(0, k)
-        slot, one, two, context = model.predict(before[:k], before2[:k])
-        aim, cell = reader.aim(lane, model.mix_total[context]), context * 4
-        kind = (aim >= model.edges[cell + 1]).astype(np.int64) + (aim >= model.edges[cell + 2])
+        before, before2, lane = before[:k], before2[:k], slice(0, k)
+        slot, e1, e2, one, two, cell = model.predict(before, before2)
+        part = reader.range[lane] >> np.uint64(MIX)
+        aim = reader.gap[lane] // part
+        kind = (aim >= model.edges.take(cell + 1)).astype(np.int32) + (aim >= model.edges.take(cell + 2))
         cell += kind
-        start = model.edges[cell]
-        reader.take(lane, start, model.edges[cell + 1] - start)
+        reader.take(lane, part, model.edges.take(cell), model.widths.take(cell))
         now = np.where(kind == 1, two, one).astype(np.int64)
         missed = np.flatnonzero(kind == 0)
         if missed.size:
-            x = np.searchsorted(model.cum, reader.aim(missed, model.total).astype(np.int64), side="right") - 1
-            reader.take(missed, model.cum[x].astype(np.uint64), model.counts[x].astype(np.uint64))
+            part = reader.range[missed] // model.total
+            x = model.find(np.minimum(reader.gap[missed] // part, model.total - np.uint64(1)))
+            reader.take(missed, part, model.cum.take(x), model.counts.view(np.uint64).take(x))
             now[missed] = x
         grid[t, :k] = now
-        model.learn(now, slot, before[:k], one, two, context, kind)
+        now32 = now.astype(np.int32)
+        model.learn(now, now32, before, slot, e1, e2, one == now32, two == now32, cell)
         before2, before = before, now
-        if k < lanes:
-            before2 = before2[:k]
     return grid.T.reshape(-1)[:n]
 
 

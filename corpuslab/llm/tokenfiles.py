@@ -7,7 +7,9 @@ any reader can open a block alone; part and block in order give all ids in ascen
 
 from __future__ import annotations
 
+import json
 import os
+import unicodedata
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -21,19 +23,44 @@ from .rangecoder import pack_block, unpack_block
 
 #: Ids that a block is closed at; a document is never cut.
 BLOCK_IDS = 1 << 21
+#: Stored bytes of a table for each part that is sorted and coded by one task.
+PART_BYTES = 32 << 20
 END_ID = 2
 SCHEMA = "part int, block bigint, ids bigint, data binary"
-#: Words that a worker remembers the ids of; beyond it starts anew, which costs time only.
-MEMORY = 1_400_000
-#: A mark after an ASCII letter or digit is a pre-token of its own, so such words are not remembered with it.
-_MARKS, _PLAIN = frozenset(b".,;:!?"), frozenset(b"abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789")
+#: Pre-tokens that a worker remembers the ids of; beyond it starts anew, which costs time only.
+MEMORY = 1_200_000
+#: Text encoded at once, in bytes.
+ENCODE_SLICE = 6_000_000
+#: Fixed value: the pre-token pattern of a lower-case vocabulary with word ends that drops white space.
+PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
+#: Classes of characters: separator, letter, digit, other visible one, and those that leave a word to the library.
+_GAP, _LETTER, _DIGIT, _OTHER, _HARD = range(5)
+
+
+def _character_tables(special: list[str]) -> tuple[np.ndarray, np.ndarray]:
+    """Class and lower case of the code points up to U+20FF; the last entry stands for all above.
+
+    Sure are those with one lower case that composition leaves alone. An apostrophe may start a contraction and a
+    special token's first character a special token: words with them are left to the library.
+    """
+    kind, low = np.full(0x2101, _HARD, np.uint8), np.arange(0x2101, dtype="<u4")
+    for c in [*range(0x21, 0x7F), *range(0xA1, 0x180), 0x2013, 0x2014, *range(0x2018, 0x201F), 0x2026, 0x20AC]:
+        name, lower = unicodedata.category(chr(c)), chr(c).lower()
+        if name in ("Cf", "No", "Nl") or len(lower) != 1 or unicodedata.normalize("NFC", lower) != lower:
+            continue
+        kind[c] = _LETTER if name[0] == "L" else _DIGIT if name == "Nd" else _OTHER
+        low[c] = ord(lower)
+    kind[[ord("'"), *(ord(x[0]) for x in special if ord(x[0]) < 0x2100)]] = _HARD
+    kind[10] = _GAP
+    return kind, low
 
 
 class WordCoder:
     """Encodes texts word by word with the tokenizers library.
 
     Good for tokenizers that drop white space: no token crosses it, so a text's ids are those of its words in order,
-    and each distinct word is encoded once.
+    and each distinct word is encoded once. With the pre-token pattern known, words are cut into lower-case
+    pre-tokens, which are fewer and are remembered, and the library encodes many in one call: the last id of each is one with a word end.
     """
 
     def __init__(self, path: str):
@@ -44,34 +71,95 @@ class WordCoder:
         self.tokenizer.no_truncation()
         self.tokenizer.no_padding()
         self.alphabet = self.tokenizer.get_vocab_size()
-        self.known: dict[bytes, bytes] = {}
-
-    def _missing(self, words: list[bytes]) -> list[bytes]:
-        """What has to be encoded for these words: each unknown word, or its stem and mark."""
-        found: set[bytes] = set()
-        for w in words:
-            if w not in self.known:
-                if len(w) > 1 and w[-1] in _MARKS and w[-2] in _PLAIN:
-                    found.update(x for x in (w[:-1], w[-1:]) if x not in self.known)
-                else:
-                    found.add(w)
-        return sorted(found)
+        with open(path, encoding="utf-8") as f:
+            spec = json.load(f)
+        special = [x["content"] for x in spec["added_tokens"]]
+        self.inner = None
+        suffix = spec["model"].get("end_of_word_suffix")
+        rules = (spec["pre_tokenizer"] or {}).get("pretokenizers", [])
+        if suffix and [r["type"] for r in rules] == ["Split", "ByteLevel"] and rules[0]["pattern"] == {"Regex": PATTERN} and rules[0]["invert"]:
+            spec["normalizer"], spec["added_tokens"], spec["truncation"], spec["padding"] = None, [], None, None
+            spec["pre_tokenizer"]["pretokenizers"][0] = {"type": "WhitespaceSplit"}
+            self.inner = Tokenizer.from_str(json.dumps(spec))
+            self.is_end = np.zeros(self.alphabet, bool)
+            self.is_end[[i for t, i in spec["model"]["vocab"].items() if t.endswith(suffix)]] = True
+        self.kind, self.low = _character_tables(special)
+        if self.inner is None:
+            self.kind[:10] = self.kind[11:] = _HARD
+        self._forget()
+
+    def _forget(self) -> None:
+        """Remembered pre-tokens (strings) and words (bytes), by number; their ids lie in one table."""
+        self.known: dict[str | bytes, int] = {}
+        self.table, self.first, self.size = np.zeros(0, "<u4"), np.zeros(0, np.int64), np.zeros(0, np.int64)
+
+    def _remember(self, keys: list[str] | list[bytes], ids: np.ndarray, size: np.ndarray) -> None:
+        self.known.update(zip(keys, range(len(self.known), len(self.known) + len(keys))))
+        self.first = np.concatenate([self.first, len(self.table) + np.cumsum(size) - size])
+        self.size, self.table = np.concatenate([self.size, size]), np.concatenate([self.table, ids])
+
+    def _whole(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """All ids of the texts by the tokenizer as it is, and the number of each."""
+        found = [e.ids for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+        return np.array([i for x in found for i in x], "<u4"), np.fromiter(map(len, found), np.int64, len(found))
+
+    def _learn(self, pieces: list[str], words: list[bytes]) -> None:
+        for i in range(0, len(pieces), 25_600):
+            part = pieces[i : i + 25_600]
+            found = self.inner.encode_batch_fast([" ".join(part[k : k + 256]) for k in range(0, len(part), 256)], add_special_tokens=False)
+            ids = np.concatenate([np.array(e.ids, "<u4") for e in found])
+            ends = np.flatnonzero(self.is_end[ids]) + 1
+            if len(ends) == len(part):
+                self._remember(part, ids, np.diff(ends, prepend=0))
+            else:  # a symbol outside the vocabulary
+                self._remember(part, *self._whole(part))
+        for i in range(0, len(words), 20_000):
+            part = words[i : i + 20_000]
+            self._remember(part, *self._whole([w.decode() for w in part]))
+
+    def _cut(self, words: list[bytes]) -> tuple[list[str | bytes], np.ndarray]:
+        """What each word is made of, in order: lower-case pre-tokens, or the word itself; and the word's number for each."""
+        points = np.frombuffer(b"\n".join(words).decode().encode("utf-32-le"), "<u4")
+        at = np.minimum(points, 0x2100)
+        kind, text = self.kind[at], self.low[at]
+        gap = kind == _GAP
+        word = np.cumsum(gap)
+        hard = np.unique(word[kind == _HARD])
+        if len(hard):
+            is_hard = np.zeros(len(words), bool)
+            is_hard[hard] = True
+            kind[is_hard[word] & ~gap] = _GAP
+        new = np.flatnonzero((kind != _GAP) & ((kind == _DIGIT) | (kind != np.concatenate([[_GAP], kind[:-1]]))))
+        over = np.flatnonzero((kind != _GAP) & ((kind == _DIGIT) | (kind != np.concatenate([kind[1:], [_GAP]])))) + 1
+        told, text = word[new], text.tobytes().decode("utf-32-le", "replace")
+        pieces: list[str | bytes] = [text[a:b] for a, b in zip(new.tolist(), over.tolist())]
+        if not len(hard):
+            return pieces, told
+        pieces += [words[i] for i in hard.tolist()]
+        told = np.concatenate([told, hard])
+        order = np.argsort(told, kind="stable")
+        return [pieces[i] for i in order.tolist()], told[order]
+
+    def _ids_of(self, words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        """All ids of distinct words in order, and the number of each word's."""
+        if not words:
+            return np.zeros(0, "<u4"), np.zeros(0, np.int64)
+        pieces, word = self._cut(words)
+        found = list(map(self.known.get, pieces))
+        missing = {p for p, n in zip(pieces, found) if n is None}
+        if missing and len(self.known) + len(missing) > MEMORY:
+            self._forget()
+            missing, found = set(pieces), [None] * len(pieces)
+        self._learn([p for p in missing if type(p) is str], [p for p in missing if type(p) is bytes])
+        number = np.array([self.known[p] if n is None else n for p, n in zip(pieces, found)] if missing else found, np.int64)
+        size = self.size[number]
+        total = np.bincount(word, size, minlength=len(words)).astype(np.int64)
+        return self.table[np.repeat(self.first[number] - np.cumsum(size) + size, size) + np.arange(int(size.sum()))], total
 
     def encode(self, texts: pa.Array, end: int = END_ID) -> tuple[np.ndarray, np.ndarray]:
         """Ids of all texts in order, an end id after each, and the number of ids of each text."""
         words = Words(texts)
-        missing = self._missing(words.distinct)
-        if len(self.known) + len(missing) > MEMORY:
-            self.known.clear()
-            missing = self._missing(words.distinct)
-        for i in range(0, len(missing), 20_000):
-            part = missing[i : i + 20_000]
-            found = self.tokenizer.encode_batch_fast([w.decode() for w in part], add_special_tokens=False)
-            self.known.update((w, np.array(e.ids, "<u4").tobytes()) for w, e in zip(part, found))
-        known = self.known
-        coded = [known[w] if w in known else known[w[:-1]] + known[w[-1:]] for w in words.distinct]
-        size = np.fromiter(map(len, coded), np.int64, len(coded)) // 4
-        table = np.frombuffer(b"".join(coded), "<u4")
+        table, size = self._ids_of(words.distinct)
         first, counts = np.cumsum(size) - size, size[words.codes]
         upto = np.concatenate([[0], np.cumsum(counts)])
         n = np.diff(upto[words.starts]) + 1
@@ -97,6 +185,11 @@ def _bounds(docs: DataFrame, parts: int) -> list[int]:
     return sorted({int(x) for x in found})
 
 
+def _stored_bytes(docs: DataFrame) -> int:
+    """Spark's own estimate of the table's bytes, from its files."""
+    return int(docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes().toString())
+
+
 def write(docs: DataFrame, path: str, vocab_path: str, *, end: int = END_ID, block_ids: int = BLOCK_IDS, parts: int | None = None) -> None:
     """Writes the ids of all ``docs(doc_id long, text)`` to ``path``: rows of ``part``, ``block``, ``ids`` (their number) and ``data``.
 
@@ -104,12 +197,12 @@ def write(docs: DataFrame, path: str, vocab_path: str, *, end: int = END_ID, blo
     all written. Sorting spills; a worker holds one block.
     """
     spark = docs.sparkSession
-    parts = parts or int(spark.conf.get("spark.sql.shuffle.partitions"))
+    parts = parts or max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-_stored_bytes(docs) // PART_BYTES))
     bounds = _bounds(docs, parts)
 
     def tokens(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         cuts = np.array(bounds, np.int64)
-        for b in slices(batches, 1):
+        for b in slices(batches, 1, ENCODE_SLICE):
             ids, n = coder(vocab_path).encode(b.column(1), end)
             kind = "<u2" if coder(vocab_path).alphabet <= 1 << 16 else "<u4"
             width = np.dtype(kind).itemsize
@@ -145,7 +238,7 @@ def write(docs: DataFrame, path: str, vocab_path: str, *, end: int = END_ID, blo
             yield close()
 
     coded = docs.select(F.col("doc_id").cast("long"), "text", F.xxhash64("text")).mapInArrow(tokens, "doc_id bigint, h bigint, part int, ids binary")
-    dealt = coded.repartition(max(1, len(bounds) + 1), "part").sortWithinPartitions("part", F.col("doc_id").asc_nulls_first(), "h").select("doc_id", "part", "ids")
+    dealt = coded.repartitionById(len(bounds) + 1, "part").sortWithinPartitions("part", F.col("doc_id").asc_nulls_first(), "h").select("doc_id", "part", "ids")
     dealt.mapInArrow(blocks, "part int, block bigint, ids bigint, data binary").write.option("compression", "none").parquet(path)
 
 

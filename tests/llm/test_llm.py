@@ -303,6 +303,36 @@ def test_token_files_against_the_library(spark):
     assert tokenfiles.digest(docs.limit(0), path).count() == 0
 
 
+def test_words_are_cut_as_the_library_cuts():
+    from tokenizers import Tokenizer
+
+    path = public_tokenizers.path("word_bpe_49k.json")
+    known, mine = Tokenizer.from_file(path), tokenfiles.WordCoder(path)
+    assert mine.inner is not None
+    rng = random.Random(3)
+    letters = list("aZ'sStTdDlLmMveRE0 5.,!-_$é É ÀßñÑœŒ€“”…—·×÷ªºµĳİıŉſ日́​\xa0\x85\x1c") + ["<|endoftext|>", "<|", "'ll", "Don't", "ŸÿÄ", "½", "²"]
+    texts = ["".join(rng.choice(letters) for _ in range(rng.randint(0, 25))) for _ in range(4000)] + ["", None, "x" * 5000]
+    for memory in (tokenfiles.MEMORY, 500):
+        kept, tokenfiles.MEMORY = tokenfiles.MEMORY, memory
+        try:
+            got = [mine.encode(pa.array(texts[i : i + 300])) for i in range(0, len(texts), 300)]
+        finally:
+            tokenfiles.MEMORY = kept
+        ids, n = np.concatenate([x[0] for x in got]), np.concatenate([x[1] for x in got])
+        want = [known.encode(t or "", add_special_tokens=False).ids + [2] for t in texts]
+        assert n.tolist() == [len(w) for w in want] and ids.tolist() == [i for w in want for i in w]
+
+
+def test_a_document_longer_than_a_block(spark, tmp_path):
+    path = public_tokenizers.path("word_bpe_49k.json")
+    docs = spark.createDataFrame([(1, "one two three " * 400), (2, "four"), (None, "five six"), (3, "")], "doc_id long, text string")
+    tokenfiles.write(docs, str(tmp_path / "ids"), path, block_ids=100, parts=3)
+    rows = {r.doc_id: np.frombuffer(r.ids, "<u4") for r in tokenfiles.read(spark, str(tmp_path / "ids")).collect()}
+    coder = tokenfiles.WordCoder(path)
+    for r in docs.collect():
+        assert rows[r.doc_id].tolist() == coder.encode(pa.array([r.text]))[0].tolist()
+
+
 def test_html_extraction(spark, sf):
     page = """<!DOCTYPE html><html><head><title>No</title><style>p{}</style></head><body><header>Site name</header><nav><a href=x>Home</a></nav><div class="cookie-notice">We use cookies</div>
     <main><h1>The&nbsp;title &amp; more</h1><p>First  <b>bold</b>
