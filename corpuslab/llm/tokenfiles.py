@@ -24,7 +24,7 @@ from .rangecoder import pack_block, unpack_block
 #: Ids that a block is closed at; a document is never cut.
 BLOCK_IDS = 1 << 21
 #: Stored bytes of a table for each part that is sorted and coded by one task.
-PART_BYTES = 32 << 20
+PART_BYTES, MOST_PARTS = 64 << 20, 200_000
 END_ID = 2
 SCHEMA = "part int, block bigint, ids bigint, data binary"
 #: Pre-tokens that a worker remembers the ids of; beyond it starts anew, which costs time only.
@@ -185,9 +185,11 @@ def _bounds(docs: DataFrame, parts: int) -> list[int]:
     return sorted({int(x) for x in found})
 
 
-def _stored_bytes(docs: DataFrame) -> int:
-    """Spark's own estimate of the table's bytes, from its files."""
-    return int(docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes().toString())
+def _parts(docs: DataFrame) -> int:
+    """Shuffle partitions of the session, or more where Spark's estimate of the table's bytes, from its files, asks for it."""
+    size = int(str(docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    wanted = -(-size // PART_BYTES) if size < 1 << 50 else 0  # rows that come from no file are of unknown size
+    return max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), min(wanted, MOST_PARTS))
 
 
 def write(docs: DataFrame, path: str, vocab_path: str, *, end: int = END_ID, block_ids: int = BLOCK_IDS, parts: int | None = None) -> None:
@@ -196,9 +198,7 @@ def write(docs: DataFrame, path: str, vocab_path: str, *, end: int = END_ID, blo
     Order is by doc_id, null first, then by a hash of the text; null text counts as empty. Repeated rows are
     all written. Sorting spills; a worker holds one block.
     """
-    spark = docs.sparkSession
-    parts = parts or max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-_stored_bytes(docs) // PART_BYTES))
-    bounds = _bounds(docs, parts)
+    bounds = _bounds(docs, parts or _parts(docs))
 
     def tokens(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         cuts = np.array(bounds, np.int64)
