@@ -68,12 +68,18 @@ def mix_temperature(spark, sf_dir):
     return pools.solve_weights(half.withColumnRenamed("weight", "half"), "proportional").select("pool", "tokens", F.round("half", 9).alias("half"), F.round("weight", 9).alias("proportional"))
 
 
-@query()
+@query(f"""{_POOLS}, c AS (SELECT pool, tokens, 4.0 * tokens / (3.0 * sum(tokens) OVER ()) AS cap FROM p),
+levels AS (SELECT (1 - (SELECT coalesce(sum(cap), 0) FROM c x WHERE x.cap < c.cap)) / (SELECT count(*) FROM c x WHERE x.cap >= c.cap) AS level, cap FROM c),
+u AS (SELECT min(level) AS level FROM levels WHERE level <= cap),
+w AS (SELECT pool, tokens, least(cap, u.level)::double AS weight, 3.0 * (SELECT sum(tokens) FROM p) AS total FROM c, u)
+SELECT pool, tokens, round(weight, 9) AS weight, round(weight * total / tokens, 6) AS epochs,
+       CASE WHEN weight * total / tokens < 1 THEN 'subsampled' WHEN weight * total / tokens > 1 THEN 'repeated' ELSE 'once' END AS kind FROM w""")
 def mix_capped(spark, sf_dir):
     """Weights under a cap of four epochs, at three times all words."""
     found, _ = _pools(spark, sf_dir)
     total = 3.0 * found.agg(F.sum("tokens")).first()[0]
-    return pools.mixture_plan(pools.solve_weights(found, "capped", alpha=0.0, total=total, max_epochs=4.0), total)
+    plan = pools.mixture_plan(pools.solve_weights(found, "capped", alpha=0.0, total=total, max_epochs=4.0), total)
+    return plan.withColumns({"weight": F.round("weight", 9), "epochs": F.round("epochs", 6)})
 
 
 @query(f"""{_POOLS}, w AS (SELECT pool, 0.25 * total / tokens AS e FROM p, e), d AS (SELECT doc_id, lang, floor(e)::int + CASE WHEN {V.sql_bucket('mix', 'doc_id')} < (e - floor(e)) * 4294967296.0 THEN 1 ELSE 0 END AS n FROM documents JOIN w ON lang = pool)
@@ -176,7 +182,25 @@ def lm_holdout_nll_addk(spark, sf_dir):
     return scored.groupBy("lang").agg(F.sum("n_tokens").alias("tokens"), F.round(-F.sum("ll") / F.sum("n_tokens"), 6).alias("nats_per_token"))
 
 
-@query()
+_SMOOTHED = rf"""WITH d AS (SELECT {_T} AS t, {_H} AS h FROM documents),
+b AS (SELECT h, t[i::int - 1] AS c, t[i::int] AS w FROM (SELECT h, t, unnest(range(2, len(t) + 1)) AS i FROM d)),
+n AS (SELECT c, w, count(*) AS n FROM b WHERE NOT h GROUP BY ALL),
+m AS (SELECT c, sum(n) AS m, count(*) AS types FROM n GROUP BY c),
+u AS (SELECT w, sum(n) AS occurs, count(*) AS follows FROM n GROUP BY w),
+z AS (SELECT sum(occurs)::double AS words, sum(follows)::double AS pairs, count(*) AS v FROM u),
+s AS (
+  SELECT coalesce(n, 0) AS n, m, types, v, (coalesce(occurs, 0) + 1) / (words + v + 1) AS p_word, (coalesce(follows, 0) + 1) / (pairs + v + 1) AS p_follow
+  FROM b LEFT JOIN n USING (c, w) LEFT JOIN m USING (c) LEFT JOIN u USING (w), z WHERE h),
+p AS (
+  SELECT (n + 0.1::double) / (coalesce(m, 0) + 0.1::double * (v + 1)) AS add_k,
+         CASE WHEN m IS NULL THEN p_word ELSE 0.5 * n / m + 0.5 * p_word END AS interpolated,
+         CASE WHEN m IS NULL THEN p_word ELSE greatest(n - 0.75, 0) / m + 0.75 * types / m * p_word END AS absolute,
+         CASE WHEN m IS NULL THEN p_follow ELSE greatest(n - 0.75, 0) / m + 0.75 * types / m * p_follow END AS kneser_ney
+  FROM s)
+SELECT smoothing, count(*) AS tokens, round(-avg(ln(p)), 6) AS nats_per_token FROM (UNPIVOT p ON add_k, interpolated, absolute, kneser_ney INTO NAME smoothing VALUE p) GROUP BY smoothing"""
+
+
+@query(_SMOOTHED)
 def lm_smoothing(spark, sf_dir):
     """Held-out loss of each smoothing, over the same counts."""
     docs = pools.split_holdout(_docs(spark, sf_dir).select("doc_id", "lang", "text"))

@@ -50,13 +50,83 @@ def _scores(spark, sf_dir, formats=("text", "letter"), shots: int = 0, order: in
     return E.option_scores(asked, _models(spark, sf_dir, order), order)
 
 
-@query()
+
+_TOKENS = r"regexp_extract_all(lower({0}), '\S+')"
+_PAIRED = rf"""{_ITEMS},
+both_items AS (
+  SELECT 'EN' AS lang, item_id, gold, context, options FROM items
+  UNION ALL
+  SELECT 'LRL', item_id, gold, {V.sql_abugida('context')}, list_transform(options, lambda o: {V.sql_abugida('o')}) FROM items),
+train_text AS (
+  SELECT 'EN' AS lang, text FROM documents
+  UNION ALL
+  SELECT 'LRL', {V.sql_abugida('text')} FROM documents WHERE {V.sql_bucket('lrl', 'doc_id')} % 8 = 0),
+padded AS (SELECT lang, list_concat(['<s>'], {_TOKENS.format('text')}) AS t FROM train_text),
+seen AS (
+  SELECT lang, t[i::int - 1] AS c, t[i::int] AS w, count(*) AS n
+  FROM (SELECT lang, t, unnest(range(2, len(t) + 1)) AS i FROM padded) GROUP BY ALL),
+heads AS (SELECT lang, c, sum(n) AS m FROM seen GROUP BY ALL),
+vocabulary AS (SELECT lang, count(DISTINCT w) AS v FROM seen GROUP BY lang),
+asked AS (
+  SELECT lang, item_id, gold, 'text' AS format, opt, options[opt::int + 1] AS answer, {_TOKENS.format('context')} AS before
+  FROM (SELECT *, unnest(range(0, 4)) AS opt FROM both_items)
+  UNION ALL
+  SELECT lang, item_id, gold, 'letter', opt, ['A', 'B', 'C', 'D'][opt::int + 1], {_TOKENS.format('options[4]')}
+  FROM (SELECT *, unnest(range(0, 4)) AS opt FROM both_items)),
+steps AS (
+  SELECT lang, item_id, gold, format, opt, answer, t[i::int - 1] AS c, t[i::int] AS w
+  FROM (SELECT *, unnest(range(2, len(t) + 1)) AS i FROM (SELECT *, list_concat([before[-1]], {_TOKENS.format('answer')}) AS t FROM asked))),
+scored AS (
+  SELECT lang, item_id, gold, format, opt, answer, count(*) AS n_tokens,
+         sum(ln((coalesce(n, 0) + 0.01::double) / (coalesce(m, 0) + 0.01::double * (v + 1)))) AS ll
+  FROM steps LEFT JOIN seen USING (lang, c, w) LEFT JOIN heads USING (lang, c) JOIN vocabulary USING (lang) GROUP BY ALL)"""
+
+
+def _picked_sql(norm: str = "length(answer)") -> str:
+    return f"SELECT lang, format, item_id, gold, arg_max(opt, [round(ll / greatest({norm}, 1), 9), -opt]) AS pick FROM scored GROUP BY ALL"
+
+
+_ACC = "count(*) AS n, sum((pick = gold)::int)::bigint AS hits, round(avg((pick = gold)::int), 6) AS acc"
+_GRID = f"{_PAIRED}, picked AS ({_picked_sql()}), grid AS (SELECT lang, format, {_ACC} FROM picked GROUP BY ALL)"
+_VERDICT = f"""{_GRID},
+wide AS (
+  SELECT e.format, e.acc AS acc_en, l.acc AS acc_lrl,
+         (e.acc - 0.25) / sqrt(e.acc * (1 - e.acc) / e.n) AS z_en, (l.acc - 0.25) / sqrt(l.acc * (1 - l.acc) / l.n) AS z_lrl,
+         round(e.acc - l.acc, 6) AS gap, round((e.acc - l.acc) / sqrt(e.acc * (1 - e.acc) / e.n + l.acc * (1 - l.acc) / l.n), 4) AS gap_z
+  FROM grid e JOIN grid l ON e.format = l.format AND e.lang = 'EN' AND l.lang = 'LRL'),
+judged AS (SELECT *, z_en >= 1.96 AS en, z_lrl >= 1.96 AS lrl, bool_or(z_en >= 1.96 AND z_lrl >= 1.96) OVER () AS elsewhere FROM wide)
+SELECT format, acc_en, acc_lrl, round(z_en, 4) AS z_en, round(z_lrl, 4) AS z_lrl, gap, gap_z,
+       CASE WHEN NOT en AND NOT lrl AND elsewhere THEN 'format_artifact'
+            WHEN en AND lrl AND gap_z > 1.96 THEN 'comprehension_with_gap'
+            WHEN en AND lrl THEN 'comprehension'
+            WHEN en THEN 'language_gap' ELSE 'no_signal' END AS verdict
+FROM judged"""
+_MCNEMAR = f"""{_GRID},
+met AS (
+  SELECT a.format, (a.pick = a.gold)::int AS x, (b.pick = b.gold)::int AS y
+  FROM picked a JOIN picked b ON a.format = b.format AND a.item_id = b.item_id AND a.lang = 'EN' AND b.lang = 'LRL'),
+counted AS (SELECT format, count(*) AS n, count(*) FILTER (x > y) AS b_only, count(*) FILTER (x < y) AS c_only FROM met GROUP BY format)
+SELECT format, n, b_only, c_only,
+       CASE WHEN b_only + c_only > 0 THEN round(pow(greatest(abs(b_only - c_only) - 1, 0), 2) / (b_only + c_only), 6) END AS statistic,
+       round((b_only - c_only) / n, 6) AS difference,
+       round(sqrt(b_only + c_only - pow(b_only - c_only, 2) / n) / n, 6) AS se
+FROM counted"""
+_HALVES = f"""{_GRID},
+halves AS (SELECT *, (pick = gold)::int AS ok, {V.sql_bucket('half', 'item_id')} < 2147483648 AS half FROM picked),
+told AS (SELECT lang, format, count(*) AS n, avg(ok) AS acc, count(*) FILTER (half) AS m, avg(ok) FILTER (half) AS acc_half FROM halves GROUP BY ALL),
+spread AS (SELECT *, CASE WHEN m > 0 AND acc > 0 AND acc < 1 THEN sqrt(acc * (1 - acc) / m) END AS s FROM told)
+SELECT lang, format, n, round(acc, 6) AS acc, m, round(acc_half, 6) AS acc_half, round(s, 6) AS se, round(abs(acc_half - acc) / s, 6) AS gap_se,
+       CASE WHEN m < n THEN round(abs(acc_half - acc) / s / sqrt((n - m) / (n - 1)), 6) END AS gap_se_finite
+FROM spread"""
+
+
+@query(f"{_GRID} SELECT * FROM grid")
 def pair_grid(spark, sf_dir):
     """Accuracy by language and format, normalised by characters."""
     return E.accuracy(_scores(spark, sf_dir), "chars")
 
 
-@query()
+@query(_VERDICT)
 def pair_verdict(spark, sf_dir):
     return E.diagnose(pair_grid(spark, sf_dir))
 
@@ -67,7 +137,7 @@ def pair_verdict_replay(spark, sf_dir):
     return E.diagnose(E.published_pairs(spark))
 
 
-@query()
+@query(_MCNEMAR)
 def pair_mcnemar(spark, sf_dir):
     return E.mcnemar(E.picks(_scores(spark, sf_dir), "chars"), "lang", "EN", "LRL", ("format",))
 
@@ -97,7 +167,10 @@ def mcq_accnorm_unigram(spark, sf_dir):
     return E.accuracy(_unigram(spark, sf_dir), "chars").select("n", "hits", "acc")
 
 
-@query()
+_NORM_SQL = {"none": "1", "chars": "length(answer)", "bytes": "strlen(answer)", "tokens": "n_tokens"}
+
+
+@query(_PAIRED + " " + " UNION ALL ".join(f"SELECT lang, format, {_ACC}, '{k}' AS norm FROM ({_picked_sql(v)}) WHERE format = 'text' GROUP BY ALL" for k, v in _NORM_SQL.items()))
 def mcq_accnorm_bigram(spark, sf_dir):
     scores = _scores(spark, sf_dir, ("text",))
     out = None
@@ -107,9 +180,9 @@ def mcq_accnorm_bigram(spark, sf_dir):
     return out
 
 
-@query()
+@query(f"{_GRID} SELECT lang, format, n, hits, acc, shots::int AS shots FROM grid CROSS JOIN (VALUES (0), (10), (25)) t(shots)")
 def mcq_shots_ablation(spark, sf_dir):
-    """0, 10 and 25 solved examples before the letter prompt and the text prompt."""
+    """0, 10 and 25 solved examples before the letter prompt and the text prompt; a bigram model sees the last word alone, so that they move nothing."""
     out = None
     for s in (0, 10, 25):
         part = E.accuracy(_scores(spark, sf_dir, shots=s), "chars").withColumn("shots", F.lit(s))
@@ -135,7 +208,7 @@ def mcq_subsample_audit(spark, sf_dir):
     return spark.createDataFrame([(round(a["se"], 4), round(a["gap_se"], 2), round(a["gap_se_finite"], 2))], "se double, gap_se double, gap_se_finite double")
 
 
-@query()
+@query(_HALVES)
 def mcq_subsample_scored(spark, sf_dir):
     """All scored items beside half of them, by language and format, normalised by characters."""
     return E.subsample_report(E.picks(_scores(spark, sf_dir), "chars", ("lang", "format")))
@@ -193,7 +266,9 @@ def dom_ngram_overlap(spark, sf_dir):
     return E.ngram_overlap(load(spark, sf_dir, "benchmark"), load(spark, sf_dir, "documents"), 8)
 
 
-@query()
+@query(f"""{_PAIRED}, picked AS ({_picked_sql()}),
+leaks AS (SELECT DISTINCT item_id FROM benchmark b JOIN documents d ON contains(d.text, b.text))
+SELECT item_id IN (SELECT item_id FROM leaks) AS leaked, {_ACC} FROM picked WHERE lang = 'EN' AND format = 'text' GROUP BY ALL""")
 def dom_accuracy_by_leak(spark, sf_dir):
     """Accuracy of items whose passage stands in the corpus, and of clean ones."""
     leaked = E.contaminated(load(spark, sf_dir, "benchmark"), load(spark, sf_dir, "documents")).select("item_id").distinct().withColumn("leaked", F.lit(True))
@@ -233,20 +308,62 @@ def mt_target_script_rate(spark, sf_dir):
     return T.target_script_rate(_outputs(spark, sf_dir))
 
 
+def _good_items(checkpoint: str) -> str:
+    return _good(checkpoint).replace("SELECT direction", "SELECT item_id, direction", 1)
+
+
+_PUNCT = r"[!-/:-@\[-`{-~]"
+_CHRF = rf"""WITH pairs AS (
+  SELECT item_id, 'EN->LRL' AS direction, lower(text) AS src, {V.sql_abugida('text')} AS ref FROM benchmark
+  UNION ALL SELECT item_id, 'LRL->EN', {V.sql_abugida('text')}, lower(text) FROM benchmark),
+outputs AS (
+  SELECT item_id, direction, checkpoint, ref,
+         CASE WHEN ok THEN array_to_string(list_filter(string_split(ref, ' '), lambda w, i: i % 7 <> 0), ' ') ELSE src END AS hyp
+  FROM pairs JOIN (SELECT item_id, * EXCLUDE (item_id) FROM ({_good_items('base')} UNION ALL {_good_items('chat')})) USING (item_id, direction)),
+sides AS (
+  SELECT item_id, direction, checkpoint, 'h' AS side, hyp AS x FROM outputs
+  UNION ALL SELECT item_id, direction, checkpoint, 'r', ref FROM outputs),
+units AS (
+  SELECT item_id, direction, checkpoint, side, 'c' AS kind, 6 AS most, string_split(regexp_replace(x, '\s+', '', 'g'), '') AS u FROM sides
+  UNION ALL
+  SELECT item_id, direction, checkpoint, side, 'w', 2,
+         list_filter(string_split_regex(regexp_replace(regexp_replace(x, '(^|\s)({_PUNCT})(\S)', '\1\2 \3', 'g'), '(\S)({_PUNCT})(\s|$)', '\1 \2\3', 'g'), '\s+'), lambda w: w <> '')
+  FROM sides),
+orders AS (SELECT *, unnest(range(1, most + 1)) AS k FROM units),
+grams AS (
+  SELECT item_id, direction, checkpoint, side, kind || k AS ord,
+         CASE kind WHEN 'c' THEN array_to_string(u[i::int:(i + k - 1)::int], '') ELSE array_to_string(u[i::int:(i + k - 1)::int], ' ') END AS g
+  FROM (SELECT *, unnest(range(1, len(u) - k + 2)) AS i FROM orders)),
+counts AS (
+  SELECT item_id, direction, checkpoint, ord, g, count(*) FILTER (side = 'h') AS h, count(*) FILTER (side = 'r') AS r FROM grams GROUP BY ALL)"""
+
+
+def _chrf_sql(by: str) -> str:
+    """Precision and recall averaged over the orders that both sides have, and their F-score with recall twice as heavy."""
+    return f"""(WITH o AS (SELECT {by}, ord, sum(least(h, r)) AS m, sum(h) AS h, sum(r) AS r FROM counts GROUP BY ALL),
+a AS (SELECT {by}, avg(m / h) AS p, avg(m / r) AS q FROM o WHERE h > 0 AND r > 0 GROUP BY ALL)
+SELECT {by}, CASE WHEN p + q > 0 THEN 500 * p * q / (4 * p + q) ELSE 0 END AS chrf FROM a)"""
+
+
 _KEY = ["item_id", "direction", "checkpoint"]
 
 
-@query()
+@query(f"{_CHRF} SELECT item_id, direction, checkpoint, round(chrf, 6) AS chrf FROM {_chrf_sql('item_id, direction, checkpoint')}")
 def mt_chrf_sentence(spark, sf_dir):
     return T.chrf_sentence(_outputs(spark, sf_dir), _KEY)
 
 
-@query()
+@query(f"{_CHRF} SELECT direction, checkpoint, round(chrf, 6) AS chrf FROM {_chrf_sql('direction, checkpoint')}")
 def mt_chrf_corpus(spark, sf_dir):
     return T.chrf_corpus(_outputs(spark, sf_dir), _KEY, ["direction", "checkpoint"])
 
 
-@query()
+_HITS = r"len(regexp_extract_all(hyp, CASE direction WHEN 'EN->LRL' THEN '\p{Devanagari}' ELSE '\p{Latin}' END))"
+
+
+@query(rf"""{_CHRF}, told AS (SELECT direction, checkpoint, chrf, 2 * {_HITS} > len(regexp_extract_all(hyp, '[\p{{L}}\p{{M}}]')) AS hit
+FROM {_chrf_sql('item_id, direction, checkpoint')} JOIN outputs USING (item_id, direction, checkpoint))
+SELECT direction, checkpoint, round(avg(chrf), 4) AS all_outputs, round(avg(chrf) FILTER (hit), 4) AS in_script, round(avg(chrf) FILTER (NOT hit), 4) AS off_script FROM told GROUP BY ALL""")
 def mt_split_quality(spark, sf_dir):
     out = _outputs(spark, sf_dir)
     return T.split_quality(out.withColumn("chrf", T.chrf_row("hyp", "ref")))
@@ -276,7 +393,11 @@ def gather_row_counts(spark, sf_dir):
     return told.select((F.col("n") * F.col("v")).alias("naive_rows"), (F.col("k") * F.col("v")).alias("gathered_rows"))
 
 
-@query()
+@query("""WITH each AS (SELECT label, unnest(embedding) AS x, unnest(range(1, len(embedding) + 1)) AS i FROM embeddings),
+head AS (SELECT label, list(x ORDER BY i) AS v FROM (SELECT label, i, avg(x::double) AS x FROM each GROUP BY ALL) GROUP BY label),
+logits AS (SELECT vec_id, list_inner_product(embedding::double[], v) AS z FROM embeddings CROSS JOIN head WHERE vec_id % 10 = 9),
+tops AS (SELECT vec_id, max(z) AS top FROM logits GROUP BY vec_id)
+SELECT vec_id // 10 AS seq, (vec_id % 10)::int AS pos, round(top + ln(sum(exp(z - top))), 4) AS lse FROM logits JOIN tops USING (vec_id) GROUP BY vec_id, top""")
 def gather_log_normaliser(spark, sf_dir):
     """Log-sum-exp over all vectors as a head, streamed by blocks, at needed positions alone."""
     import numpy as np
