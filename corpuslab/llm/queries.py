@@ -69,7 +69,7 @@ def op8_html_region(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op9_bloom_cascade(spark: SparkSession, sf_dir: str) -> DataFrame:
     from . import urlfilter
 
-    return urlfilter.judge(table(spark, sf_dir, "pages"), urlfilter.in_domains())
+    return urlfilter.judge(table(spark, sf_dir, "pages"), urlfilter.block_list(spark))
 
 
 def op10_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -14,18 +14,20 @@ from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.functions import pandas_udf
 
-from .common import scratch
+from .common import mix, scratch
 
 MAX_BITS = 1 << 30
+#: Parts that a host's rows are dealt to where membership comes by a join.
+SALTS = 16
 _CHUNK = 32_768
 _URL = r"(?s)^.*?://([^/?#]*)([^?#]*)"
 #: Rules of the query: (host, path prefix, verdict).
 RULES = (("org", "/", "allow"), ("example.org", "/es/", "block"), ("example.org", "/en/1", "block"), ("com", "/fr/", "allow"), ("com", "/de/", "block"))
-#: First labels of the domains that the query's list holds, with their subdomains.
+#: The query's list: labels of blocked domains; their subdomains hold the label too.
 LISTED = ("casino-win", "free-bets", "cheap-pills", "ads-track")
 
 
@@ -57,111 +59,155 @@ class Level:
     def probe(self, one: np.ndarray, two: np.ndarray) -> np.ndarray:
         found = np.ones(len(one), bool)
         for j in range(self.hashes):
-            at = positions(one, two, j, self.bits)
+            at = positions(one, two, self.seed, j, self.bits)
             found &= (self.data[at >> np.uint64(3)] >> (at & np.uint64(7)).astype(np.uint8) & 1).astype(bool)
         return found
 
 
-def positions(one: np.ndarray, two: np.ndarray, j: int, bits: int) -> np.ndarray:
+def positions(one: np.ndarray, two: np.ndarray, seed: int, j: int, bits: int) -> np.ndarray:
+    """The bit of hash j of a level for keys with these two 64-bit hashes."""
     with np.errstate(over="ignore"):
-        return (one + np.uint64(j) * (two | np.uint64(1))) % np.uint64(bits)
+        start = mix(one, np.uint64(seed) + two)
+        return (start + np.uint64(j) * (mix(two, start) | np.uint64(1))) % np.uint64(bits)
 
 
-def _hashes(key: Column, seed: int) -> list[Column]:
-    return [F.xxhash64(key, F.lit(2 * seed)), F.xxhash64(F.lit(2 * seed + 1), key)]
+def _hashes(key: Column) -> list[Column]:
+    return [F.xxhash64(key, F.lit(0)), F.xxhash64(F.lit(1), key)]
+
+
+def _unsigned(x: pd.Series) -> np.ndarray:
+    return x.to_numpy().astype(np.int64).view(np.uint64)
+
+
+def level_size(n: int, rate: float) -> tuple[int, int]:
+    """Bits and hashes of a filter of ``n`` keys at a false positive rate."""
+    return max(64, math.ceil(n * math.log2(1 / rate) / math.log(2))), max(1, round(math.log2(1 / rate)))
 
 
 def build_level(keys: DataFrame, n: int, rate: float, seed: int) -> Level:
-    """A Bloom filter of the ``n`` keys at the false positive rate asked for; its bitmaps come to the driver, at most MAX_BITS."""
-    bits = max(_CHUNK, -(-math.ceil(n * math.log2(1 / rate) / math.log(2)) // _CHUNK) * _CHUNK)
-    if bits > MAX_BITS:
-        raise ValueError("filter above its size bound")
-    hashes = max(1, round(math.log2(1 / rate)))
+    """A Bloom filter of the ``n`` keys of ``keys(one, two)`` at the false positive rate asked for; its bitmaps come to the driver."""
+    bits, hashes = level_size(n, rate)
 
     @pandas_udf("array<bigint>")
     def spots(one: pd.Series, two: pd.Series) -> pd.Series:
-        a, b = one.to_numpy().view(np.uint64), two.to_numpy().view(np.uint64)
-        return pd.Series(list(np.stack([positions(a, b, j, bits) for j in range(hashes)], 1).astype(np.int64)))
+        a, b = _unsigned(one), _unsigned(two)
+        return pd.Series(list(np.stack([positions(a, b, seed, j, bits) for j in range(hashes)], 1).astype(np.int64)))
 
-    at = keys.select(F.explode(spots(*_hashes(F.col("key"), seed))).alias("at"))
+    at = keys.select(F.explode(spots("one", "two")).alias("at"))
     maps = at.groupBy((F.col("at") / _CHUNK).cast("int").alias("chunk")).agg(F.bitmap_construct_agg(F.col("at") % _CHUNK).alias("map"))
-    data = np.zeros(bits // 8, np.uint8)
-    for chunk, part in maps.collect():
+    data = np.zeros(-(-bits // _CHUNK) * _CHUNK // 8, np.uint8)
+    for chunk, part in maps.toLocalIterator():
         data[chunk * _CHUNK // 8 : (chunk + 1) * _CHUNK // 8] = np.frombuffer(part, np.uint8)
     return Level(bits, hashes, seed, data)
 
 
+def _ask(levels: list[Level], one: np.ndarray, two: np.ndarray) -> np.ndarray:
+    """Membership by the first level that refuses a key, or by the last one's side."""
+    out, going = np.full(len(one), len(levels) % 2 == 1), np.arange(len(one))
+    for i, level in enumerate(levels):
+        hit = level.probe(one[going], two[going])
+        out[going[~hit]] = i % 2 == 1
+        going = going[hit]
+    return out
+
+
 def member(levels: list[Level], key: Column) -> Column:
     """Exact membership of a key of the universe, by the cascade alone."""
     if not levels:
         return F.lit(False)
 
     @pandas_udf("boolean")
-    def test(*columns: pd.Series) -> pd.Series:
-        out = np.full(len(columns[0]), len(levels) % 2 == 1)
-        going = np.arange(len(out))
-        for i, level in enumerate(levels):
-            one, two = (columns[2 * i + k].to_numpy().view(np.uint64)[going] for k in (0, 1))
-            hit = level.probe(one, two)
-            out[going[~hit]] = i % 2 == 1
-            going = going[hit]
-        return pd.Series(out)
+    def test(one: pd.Series, two: pd.Series) -> pd.Series:
+        return pd.Series(_ask(levels, _unsigned(one), _unsigned(two)))
 
-    return test(*[h for level in levels for h in _hashes(key, level.seed)])
+    return test(*_hashes(key))
 
 
-def build_cascade(universe: DataFrame, *, max_levels: int = 64) -> list[Level]:
-    """Levels over ``universe(key string, listed boolean)``, keys distinct and not null.
+def any_member(levels: list[Level], keys: Column) -> Column:
+    """Whether a key of an array is a member; all keys must be of the universe."""
+    if not levels:
+        return F.lit(False)
+
+    @pandas_udf("boolean")
+    def test(one: pd.Series, two: pd.Series) -> pd.Series:
+        size = one.map(len).to_numpy().astype(np.int64)
+        if not size.sum():
+            return pd.Series(np.zeros(len(size), bool))
+        flat = _ask(levels, *(np.concatenate(x.to_numpy()).astype(np.int64).view(np.uint64) for x in (one, two)))
+        return pd.Series(np.bincount(np.repeat(np.arange(len(size)), size), flat, minlength=len(size)) > 0)
+
+    return test(F.transform(keys, lambda k: _hashes(k)[0]), F.transform(keys, lambda k: _hashes(k)[1]))
+
+
+def build_cascade(universe: DataFrame, *, max_levels: int = 64, max_bits: int = MAX_BITS) -> list[Level] | None:
+    """Levels over ``universe(key string, listed boolean)``, keys distinct and not null; null where all levels together would pass ``max_bits``.
 
     The universe lies in a shared table while levels are built; each level's mistakes are found in
     the workers, and only counts and bitmaps reach the driver.
     """
     spark, path = universe.sparkSession, scratch(universe.sparkSession, "cascade-universe")
-    universe.select("key", "listed").write.parquet(path)
-    universe = spark.read.schema("key string, listed boolean").parquet(path)
+    universe.select("listed", *[h.alias(n) for h, n in zip(_hashes(F.col("key")), ("one", "two"))]).write.parquet(path)
+    universe = spark.read.schema("listed boolean, one bigint, two bigint").parquet(path)
     n, listed = universe.agg(F.count(F.lit(1)), F.count_if("listed")).first()
     levels: list[Level] = []
     holds, other, size, others = universe.where("listed"), universe.where("not listed"), listed, n - listed
     while size and len(levels) < max_levels:
         rate = 0.5 if levels else min(0.5, max(1e-6, size * math.sqrt(0.5) / max(others, 1)))
+        if sum(x.bits for x in levels) + level_size(size, rate)[0] > max_bits:
+            return None
         levels.append(build_level(holds, size, rate, len(levels)))
-        one, two = (F.col("_a"), F.col("_b"))
-        mistaken = _let_through(other, levels[-1], one, two)
         path = scratch(spark, "cascade-level")
-        mistaken.write.parquet(path)
-        mistaken = spark.read.schema("key string").parquet(path)
+        _let_through(other, levels[-1]).write.parquet(path)
+        mistaken = spark.read.schema("one bigint, two bigint").parquet(path)
         holds, other, size, others = mistaken, holds, mistaken.count(), size
     if size:
         raise RuntimeError("cascade did not end")
     return levels
 
 
-def _let_through(keys: DataFrame, level: Level, one: Column, two: Column) -> DataFrame:
+def _let_through(keys: DataFrame, level: Level) -> DataFrame:
     @pandas_udf("boolean")
-    def test(a: pd.Series, b: pd.Series) -> pd.Series:
-        return pd.Series(level.probe(a.to_numpy().view(np.uint64), b.to_numpy().view(np.uint64)))
+    def test(one: pd.Series, two: pd.Series) -> pd.Series:
+        return pd.Series(level.probe(_unsigned(one), _unsigned(two)))
+
+    return keys.select("one", "two").where(test("one", "two"))
+
 
-    a, b = _hashes(F.col("key"), level.seed)
-    return keys.select("key", a.alias("_a"), b.alias("_b")).where(test(one, two)).select("key")
+def labels_of(host: Column) -> Column:
+    """The labels of a host but the last, each once: what a list of domain labels is asked for."""
+    return F.array_distinct(F.filter(F.regexp_extract_all(host, F.lit(r"([^.]+)\.")), lambda x: x != ""))
 
 
-def judge(pages: DataFrame, listed: Column, *, rules=RULES) -> DataFrame:
+def judge(pages: DataFrame, listed: DataFrame, keys_of=labels_of, *, rules=RULES, max_bits: int = MAX_BITS) -> DataFrame:
     """``page_id``, ``host``, ``path``, ``rule`` and ``verdict`` of every row.
 
-    ``listed`` says of a host (column ``key``) whether the list holds it; it is asked once for each distinct host. Null urls and
-    those without :// have empty host and path and are judged like any other; repeated rows are answered each.
+    ``listed(key)`` is the list, a table of any size; ``keys_of`` gives the keys of a host, of which one must be listed to block it.
+    The universe is all keys of all hosts. Its cascade answers while it stays below ``max_bits``; beyond that the distinct blocked hosts are
+    joined back, salted, as one host may hold a third of all rows. Null urls and those without :// have empty host and
+    path, no key, and are judged by the rules like any other; repeated rows are answered each; an empty table gives an empty one, an
+    empty list blocks by rules alone; other columns are left behind, whatever their names.
     """
     split = pages.select("page_id", host_of(F.col("url")).alias("host"), path_of(F.col("url")).alias("path"))
-    levels = build_cascade(split.select(F.col("host").alias("key")).distinct().withColumn("listed", listed))
     ruled = split.withColumn("rule", rule_of(F.col("host"), F.col("path"), rules))
+    hosts = split.select("host").distinct()
+    keys = hosts.select(F.explode(keys_of(F.col("host"))).alias("key")).distinct()
+    known = listed.select("key").where("key is not null").distinct().withColumn("listed", F.lit(True))
+    levels = build_cascade(keys.join(known, "key", "left").select("key", F.coalesce("listed", F.lit(False)).alias("listed")), max_bits=max_bits)
+    if levels is not None:
+        ruled = ruled.withColumn("blocked", any_member(levels, keys_of(F.col("host"))))
+    else:
+        hit = hosts.select("host", F.explode(keys_of(F.col("host"))).alias("key")).join(known, "key").select("host").distinct()
+        hit = hit.select("host", F.lit(True).alias("blocked"), F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"))
+        salted = ruled.withColumn("salt", F.pmod(F.xxhash64("page_id", "path"), F.lit(SALTS)).cast("int"))
+        ruled = salted.join(hit, ["host", "salt"], "left")
+    own = F.when(F.col("blocked"), "block").otherwise("allow")
     verdicts = F.create_map(*[F.lit(x) for h, p, v in rules for x in (h + p, v)]) if rules else None
-    own = F.when(member(levels, F.col("host")), "block").otherwise("allow")
-    return ruled.withColumn("verdict", F.coalesce(F.element_at(verdicts, F.col("rule")), own) if rules else own)
+    return ruled.select("page_id", "host", "path", "rule", (F.coalesce(F.element_at(verdicts, F.col("rule")), own) if rules else own).alias("verdict"))
 
 
-def in_domains(labels: tuple[str, ...] = LISTED) -> Column:
-    """Whether the host ``key`` is a domain that starts with one of the labels, or lies under it."""
-    return F.col("key").rlike(rf"(^|\.)({'|'.join(labels)})\.")
+def block_list(spark: SparkSession, labels: tuple[str, ...] = LISTED) -> DataFrame:
+    """A list of domain labels as a table."""
+    return spark.createDataFrame([(x,) for x in labels], "key string")
 
 
 SQL = rf"""

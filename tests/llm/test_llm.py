@@ -363,11 +363,23 @@ def test_cascade_is_exact(spark):
     assert urlfilter.build_cascade(universe.where("not listed")) == []
     urls = [None, "", "nothing", "http://www.Casino-Win.example.com/en/1", "http://a.org/x", "https://x.example.org/es/1?q", "https://example.org/en/12", "//b.org/", "http://c.com", "http://c.com/de/#a", "http://evilorg/", "http://u@h.net:80?x"]
     pages = spark.createDataFrame([(i, u, 1) for i, u in enumerate(urls)] + [(None, urls[4], 2)], "page_id long, url string, host int")
-    got = {r.page_id: r for r in urlfilter.judge(pages, urlfilter.in_domains()).collect()}
+    got = {r.page_id: r for r in urlfilter.judge(pages, urlfilter.block_list(spark)).collect()}
     assert (got[3].host, got[3].path, got[3].rule, got[3].verdict) == ("www.casino-win.example.com", "/en/1", None, "block")
     assert [got[i].verdict for i in (0, 1, 2, 4, 5, 6, 8, 9, 10)] == ["allow"] * 4 + ["block", "block", "allow", "block", "allow"]
     assert (got[11].host, got[11].path, got[5].rule, got[6].rule, got[8].rule) == ("u@h.net:80", "", "example.org/es/", "example.org/en/1", None)
-    assert urlfilter.judge(pages.limit(0), urlfilter.in_domains()).count() == 0
+    assert urlfilter.judge(pages.limit(0), urlfilter.block_list(spark)).count() == 0
+
+
+def test_list_too_large_for_a_cascade_is_joined(spark):
+    hosts = [f"h{i % 50}.d{i % 9}.example.com" for i in range(300)] + ["", None, "lone", "d3", "x.d3"]
+    pages = spark.createDataFrame([(i, None if h is None else f"https://{h}/a", "x", 1, True) for i, h in enumerate(hosts)], "page_id long, url string, key string, salt int, blocked boolean")
+    listed = spark.createDataFrame([("d3",), ("h7",), ("absent",), (None,), ("d3",)], "key string")
+    assert urlfilter.build_cascade(spark.createDataFrame([("a", True), ("b", False)], "key string, listed boolean"), max_bits=0) is None
+    ways = [sorted(map(str, urlfilter.judge(pages, listed, max_bits=bits).collect())) for bits in (urlfilter.MAX_BITS, 0)]
+    assert ways[0] == ways[1] and len(ways[0]) == len(hosts)
+    for r in urlfilter.judge(pages, listed, rules=()).collect():
+        assert r.verdict == ("block" if {"d3", "h7"} & set(r.host.split(".")[:-1]) else "allow")
+    assert {r.verdict for r in urlfilter.judge(pages, listed.limit(0), rules=()).collect()} == {"allow"}
 
 
 def test_bpe_against_the_library(spark):
