@@ -355,6 +355,40 @@ def test_html_extraction(spark, sf):
     assert [r.text for r in htmltext.main_text(odd, weights).collect()] == ["", "", ""]
 
 
+ARTICLE = "<h1>The headline stands here</h1><p>" + "plain words of the main text " * 12 + "</p>"
+MAIN_TEXT = "The headline stands here\n" + ("plain words of the main text " * 12).strip()
+
+
+@pytest.mark.parametrize("page", [
+    f"<html><head><title>No</title><body><nav>Menu</nav><article>{ARTICLE}</article></body></html>",
+    f"<body><svg/><iframe/><nav>Menu</nav><article>{ARTICLE}</article>",
+    f"<body><nav><a>Home</a></nav><div class='post-content share'>{ARTICLE}</div><div id='comments'><p>nice post</p></div></body>",
+    f"<body><article><div class='article-header'>{ARTICLE.split('<p>')[0]}</div><p>{ARTICLE.split('<p>')[1]}</article><footer>us</footer>",
+    f"<body><ul class='menu'><li>Home</ul><div>{ARTICLE}</div><div class=\"sidebar\"><p>more news today</p></div></body>",
+    f"<body><div class='has-sidebar'><article>{ARTICLE}</article></div></body>",
+    f"<body><p hidden title=\"abc></p><main>{ARTICLE}</main><aside>x</aside>",
+    f"<body><noscript><article>{ARTICLE}</article>",
+])
+@pytest.mark.parametrize("learnt", [False, True])
+def test_html_pages_that_are_odd(page, learnt):
+    weights = {"div": htmltext.weight("div", 0, 1000), "<div": htmltext.weight("<div", 0, 1000), ".ad": -2.0} if learnt else {}
+    got = htmltext.extract(page, weights)
+    assert got == MAIN_TEXT
+
+
+def test_html_weights_are_learnt_by_name(spark):
+    words = "some words that stand in here " * 3
+    page = f"<body><div class='qqz'><p>{words}</p></div><article><p>{words * 2}</p><div class='zzq'><p>{words}</p></div><div class=share>tell your friends</div></article></body>"
+    pages = spark.createDataFrame([(i, "u", page) for i in range(30)] + [(99, None, None)], "page_id long, url string, html string")
+    weights = htmltext.learn(pages)
+    assert weights[".qqz"] < -1 and weights[".zzq"] > 0.5 and ".share" not in weights
+    got = htmltext.extract(f"<body><div class='qqz'>{words}</div><div class='zzq'>{words}</div><div class='share'>tell</div></body>", weights)
+    assert got == words.strip()
+    assert htmltext.learn(pages.limit(0)) == {} and htmltext.main_text(pages.limit(0), weights).count() == 0
+    long = "<article>" + "<p>word word</p>" * 60_000
+    assert len(htmltext.extract(long, weights)) == 10 * 60_000 - 1
+
+
 def test_cascade_is_exact(spark):
     universe = spark.range(6000).selectExpr("concat('key', id) key", "id % 9 = 0 listed")
     levels = urlfilter.build_cascade(universe)
