@@ -17,6 +17,7 @@ from pyspark.sql.functions import pandas_udf
 from pyspark.sql.types import ArrayType, IntegerType
 
 from ..functions.views import bucket
+from ..tables import shared_folder
 
 BASE = 256
 LIMIT = 1 << 16
@@ -151,17 +152,12 @@ def _rewriter(pairs: tuple[tuple[int, int], ...], first: int):
     return rewrite
 
 
-def _checkpoints(spark: SparkSession) -> None:
-    if spark.sparkContext._jsc.sc().getCheckpointDir().isEmpty():
-        spark.sparkContext.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or "/tmp/corpuslab-checkpoints")
-
-
 def _train_batched(hist: DataFrame, merges: int, k: int) -> Merges:
     """Each round counts adjacent pairs in the cluster, brings its ``k`` heaviest to the driver and rewrites all pieces.
 
     Of these, pairs are taken in order while they share no id with one already taken, so that the round equals as many single rounds. Pieces are checkpointed each 8 rounds.
     """
-    _checkpoints(hist.sparkSession)
+    shared_folder(hist.sparkSession)
 
     @pandas_udf("array<int>")
     def bytes_of(piece: pd.Series) -> pd.Series:
@@ -246,7 +242,7 @@ def mixture_sweep(df: DataFrame, sides: Column, shares: list[float], rules: list
     """
     from ..functions.pretokenize import n_words, piece_histogram
 
-    _checkpoints(df.sparkSession)
+    shared_folder(df.sparkSession)
     df = df.withColumn("_lrl", sides)
     words = df.where("_lrl").agg(F.sum(n_words(F.col(text)))).first()[0] or 0
     rows = []

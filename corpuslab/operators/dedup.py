@@ -4,11 +4,12 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import Column, DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql.functions import pandas_udf
 
 from ..functions.arrays import grams
+from ..tables import shared_folder
 
 
 def shingles(text: Column, k: int = 5) -> Column:
@@ -51,7 +52,7 @@ def near_dup_clusters(docs: DataFrame, k: int = 5, perms: int = 64, bands: int =
     all are compared; in larger ones each member is first compared with the least one and the next one by id. Of what is left there, every two members that these links
     haven't brought into one class are compared too, block by block of about ``bucket_cap`` members, so that no task holds a quadratic bucket.
     """
-    _checkpoints(docs.sparkSession)
+    shared_folder(docs.sparkSession)
     digests = docs.select("doc_id", F.md5("text").alias("d"), "text")
     nodes = digests.groupBy("d").agg(F.min("doc_id").alias("node"), F.first("text").alias("text"))
     sets = nodes.select("node", shingles(F.col("text"), k).alias("s"))
@@ -95,14 +96,9 @@ def _across(members: DataFrame, block: int, threshold: float) -> DataFrame:
     return met.select(F.least("x.node", "y.node").alias("a"), F.greatest("x.node", "y.node").alias("b")).distinct()
 
 
-def _checkpoints(spark: SparkSession) -> None:
-    if spark.sparkContext._jsc.sc().getCheckpointDir().isEmpty():
-        spark.sparkContext.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or "/tmp/corpuslab-checkpoints")
-
-
 def components(links: DataFrame, rounds: int = 40) -> DataFrame:
     """``node`` and ``root`` for links ``a`` < ``b``: each round takes the least root among neighbours, then that root's own root; rounds are checkpointed."""
-    _checkpoints(links.sparkSession)
+    shared_folder(links.sparkSession)
     links = links.checkpoint()
     both = links.union(links.select("b", "a")).toDF("node", "other")
     state = both.groupBy("node").agg(F.least(F.col("node"), F.min("other")).alias("root")).checkpoint()

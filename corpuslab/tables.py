@@ -33,3 +33,19 @@ def check_schema(spark: SparkSession, sf_dir: str, name: str) -> list[str]:
     """Declared columns that the files lack."""
     there = set(spark.read.parquet(f"{sf_dir}/{name}.parquet").columns)
     return [c.split()[0] for c in SCHEMAS[name].split(", ") if c.split()[0] not in there]
+
+
+def shared_folder(spark: SparkSession) -> str:
+    """The folder that driver and executors share: the session's ``spark.checkpoint.dir``, which is made the context's where it has none.
+
+    Only on one machine, where the session names none, is a local folder set; a cluster without one ends the query.
+    """
+    context = spark.sparkContext
+    base = spark.conf.get("spark.checkpoint.dir", None)
+    current = context._jsc.sc().getCheckpointDir()
+    if not base and current.isEmpty() and not context.master.startswith("local"):
+        raise RuntimeError("spark.checkpoint.dir names no folder")
+    if current.isEmpty():
+        context.setCheckpointDir(base or "/tmp/corpuslab-checkpoints")
+        current = context._jsc.sc().getCheckpointDir()
+    return base or current.get()
