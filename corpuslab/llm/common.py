@@ -4,11 +4,14 @@ from __future__ import annotations
 
 import uuid
 from collections.abc import Iterator
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
+from ..tables import shared_folder
+
 #: Bytes that separate words: 0x20 and 0x09-0x0D, which is also what ``bytes.split()`` takes.
 SPACES = b" \t\n\x0b\x0c\r"
 #: Texts handled at once inside a Python worker, in bytes; one text is never cut.
@@ -21,26 +24,26 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def scratch(spark: SparkSession, name: str) -> str:
-    """A new folder that driver and executors share; it lies in the cluster's checkpoint folder.
+@lru_cache(maxsize=8)
+def _session_folder(spark: SparkSession, base: str) -> str:
+    """One folder for all scratch tables of an application, removed when its driver ends."""
+    context = spark.sparkContext
+    folder = f"{base}/corpuslab-{context.applicationId}"
+    path = context._jvm.org.apache.hadoop.fs.Path(folder)
+    files = path.getFileSystem(context._jsc.hadoopConfiguration())
+    files.mkdirs(path)
+    files.deleteOnExit(path)
+    return folder
 
-    Only where the session has none (tests, one machine) is a local folder set.
-    """
-    base = spark.conf.get("spark.checkpoint.dir", None)
-    if not base:
-        current = spark.sparkContext._jsc.sc().getCheckpointDir()
-        if current.isEmpty():
-            spark.sparkContext.setCheckpointDir("/tmp/corpuslab-checkpoints")
-            current = spark.sparkContext._jsc.sc().getCheckpointDir()
-        base = current.get()
-    return f"{base}/{name}-{uuid.uuid4().hex}"
+
+def scratch(spark: SparkSession, name: str) -> str:
+    """A new folder that driver and executors share; it lies in the cluster's checkpoint folder and goes when the driver ends."""
+    return f"{_session_folder(spark, shared_folder(spark))}/{name}-{uuid.uuid4().hex}"
 
 
 def ensure_checkpoint_dir(spark: SparkSession) -> None:
     """Gives the context the session's checkpoint folder, if it has none yet."""
-    sc = spark.sparkContext
-    if sc._jsc.sc().getCheckpointDir().isEmpty():
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or "/tmp/corpuslab-checkpoints")
+    shared_folder(spark)
 
 
 def utf8(column: pa.Array) -> pa.Array:

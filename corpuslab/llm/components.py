@@ -1,4 +1,9 @@
-"""Connected components of a link table, by alternating star rounds; nothing but counts reaches the driver."""
+"""Connected components of a link table, by rounds of least-neighbour pointers; nothing but counts reaches the driver.
+
+Every node points to the least of itself and its neighbours, which gives trees; pointers are doubled until all point to
+roots; links between different roots are what the next round works on. Sums over a node's links are taken inside tasks first, and
+look-ups are salted, so that a node with a third of all links burdens no single task.
+"""
 
 from __future__ import annotations
 
@@ -7,31 +12,49 @@ from pyspark.sql import functions as F
 
 from .common import ensure_checkpoint_dir
 
+#: Parts that the rows of one key are dealt to in a look-up.
+SALTS = 16
+
+
+def look_up(rows: DataFrame, key: str, table: DataFrame, name: str) -> DataFrame:
+    """``rows`` with ``name``: what ``table(node, root)`` says of the key's node, else the key itself."""
+    wide = table.select(F.col("node").alias("_node"), F.col("root").alias("_root"), F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("_part"))
+    dealt = rows.withColumn("_salt", F.pmod(F.xxhash64(*rows.columns), F.lit(SALTS)).cast("int"))
+    met = dealt.join(wide, (F.col(key) == F.col("_node")) & (F.col("_salt") == F.col("_part")), "left")
+    return met.select(*rows.columns, F.coalesce("_root", key).alias(name))
+
+
+def roots_of(pointers: DataFrame, max_rounds: int = 64) -> DataFrame:
+    """``node`` and ``root``: pointers ``root`` <= ``node`` followed to their ends, twice as far in each round."""
+    state = pointers
+    for _ in range(max_rounds):
+        asked = state.select(F.col("root").alias("node")).distinct()
+        moving = state.where("node <> root").join(asked, "node", "left_semi").checkpoint()
+        if not moving.limit(1).count():
+            return state
+        state = look_up(state, "root", moving, "up").select("node", F.col("up").alias("root")).checkpoint()
+    raise RuntimeError("pointers did not settle")
+
 
-def _stars(links: DataFrame) -> DataFrame:
-    """One round: every node's greater neighbours, then every node's lesser ones, are hung on the least node nearby."""
-    both = links.union(links.select(F.col("b").alias("a"), F.col("a").alias("b")))
-    least = both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("m"))
-    large = both.where("b > a").join(least, "a").select(F.col("b").alias("x"), F.col("m").alias("y")).where("x != y")
-    down = large.select(F.greatest("x", "y").alias("x"), F.least("x", "y").alias("y")).distinct()
-    lowest = down.groupBy("x").agg(F.min("y").alias("m"))
-    joined = down.join(lowest, "x")
-    small = joined.where("y != m").select(F.col("m").alias("a"), F.col("y").alias("b"))
-    return small.union(lowest.select(F.col("m").alias("a"), F.col("x").alias("b"))).distinct()
+def least_neighbours(links: DataFrame) -> DataFrame:
+    """``node`` and ``root``, the least of it and its neighbours, for every node of ``links(a, b)``."""
+    both = links.select(F.inline(F.array(F.struct(F.col("a").alias("node"), F.col("b").alias("other")), F.struct(F.col("b").alias("node"), F.col("a").alias("other")))))
+    return both.groupBy("node").agg(F.min("other").alias("_least")).select("node", F.least("node", "_least").alias("root"))
 
 
-def components(links: DataFrame, max_rounds: int = 60) -> DataFrame:
-    """``node`` and ``root`` (the least node reachable) for every node of ``links(a, b)``, a < b, both longs and not null.
+def components(links: DataFrame, max_rounds: int = 64) -> DataFrame:
+    """``node`` and ``root`` (the least node reachable) for every node of ``links(a, b)``, both longs and not null.
 
-    Each round is checkpointed to the shared folder, so that lost executors cost no recomputed rounds.
+    Repeated links and links of a node to itself do no harm. Each round at least halves the number of trees and is checkpointed to the
+    shared folder, so that lost executors cost no recomputed rounds. An empty table gives an empty one.
     """
     ensure_checkpoint_dir(links.sparkSession)
-    mark = None
+    labels = None
     for _ in range(max_rounds):
-        links = _stars(links).checkpoint()
-        n, h = links.agg(F.count(F.lit(1)), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
-        if (n, h) == mark:
-            roots = links.select(F.col("b").alias("node"), F.col("a").alias("root"))
-            return roots.union(links.select(F.col("a").alias("node"), F.col("a").alias("root")).distinct())
-        mark = (n, h)
+        found = roots_of(least_neighbours(links).checkpoint())
+        labels = found if labels is None else look_up(labels, "root", found, "up").select("node", F.col("up").alias("root")).checkpoint()
+        links = look_up(look_up(links, "a", found, "_a"), "b", found, "_b").where("_a <> _b")
+        links = links.select(F.least("_a", "_b").alias("a"), F.greatest("_a", "_b").alias("b")).distinct().checkpoint()
+        if not links.limit(1).count():
+            return labels
     raise RuntimeError("components did not settle")

@@ -5,8 +5,9 @@ most in one of them. In each block the perfect (23, 12) Golay code, shortened wh
 smaller, gives the anchors: every point lies within ``RADIUS`` = 3 of one. A fingerprint has one home
 anchor in a block and is replicated to every anchor within RADIUS + 1, so a pair that agrees but for one bit in a
 block meets at a home anchor, and pairs are compared there, on all 64 bits. Fingerprints are compared
-once each, whatever the number of documents that share them. Components come from rounds of
-minimum-label propagation with pointer jumping over the links.
+once each, whatever the number of documents that share them. Links are never stored one by one: a first pass gives every
+fingerprint its number of links and its least neighbour, whose pointers make trees; a second pass reports links between different
+trees alone, from which components come.
 """
 
 from __future__ import annotations
@@ -21,8 +22,8 @@ import xxhash
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import scratch, slices, utf8
-from .components import components
+from .common import ensure_checkpoint_dir, scratch, slices, utf8
+from .components import SALTS, components, look_up, roots_of
 
 SHINGLE, THRESHOLD, SEED = 4, 4, 42
 #: Start bit and width of each block.
@@ -112,21 +113,21 @@ def anchors(fp: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
 
 
 def replicate(fps: DataFrame) -> DataFrame:
-    """``fp``, ``anchor`` and ``home`` for each distinct fingerprint and each anchor in reach."""
+    """``fp``, ``root`` (carried along), ``anchor`` and ``home`` for each distinct fingerprint of ``fps(fp, root)`` and each anchor in reach."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            fp = np.asarray(b.column(0)).view(np.uint64)
+            fp, root = np.asarray(b.column(0)).view(np.uint64), np.asarray(b.column(1))
             for i in range(0, len(fp), 50_000):
-                part = fp[i : i + 50_000]
+                part, its = fp[i : i + 50_000], root[i : i + 50_000]
                 index, anchor, home = anchors(part)
-                yield pa.RecordBatch.from_arrays([pa.array(part[index].view(np.int64)), pa.array(anchor), pa.array(home)], ["fp", "anchor", "home"])
+                yield pa.RecordBatch.from_arrays([pa.array(part[index].view(np.int64)), pa.array(its[index]), pa.array(anchor), pa.array(home)], ["fp", "root", "anchor", "home"])
 
-    return fps.select("fp").mapInArrow(run, "fp bigint, anchor bigint, home boolean")
+    return fps.select("fp", "root").mapInArrow(run, "fp bigint, root bigint, anchor bigint, home boolean")
 
 
-#: From so many distinct fingerprints on, anchors are split by an equal part as well, so that anchors stay small.
-SPLIT_FROM = 5_000_000
+#: Comparisons for each fingerprint beyond which anchors are split by an equal part as well.
+LOAD = 4_000
 #: Parts for that: of five, one has none of the four differing bits.
 PARTS = ((0, 13), (13, 13), (26, 13), (39, 13), (52, 12))
 
@@ -135,18 +136,25 @@ def _bits(x: Column, start: int, width: int) -> Column:
     return F.shiftrightunsigned(x, start).bitwiseAND(F.lit((1 << width) - 1))
 
 
+def load(reached: DataFrame) -> int:
+    """Comparisons that whole anchors would take, from the members of each (at most 3 * 4096 anchors); their counts are added up inside tasks first."""
+    sizes = reached.groupBy("anchor").agg(F.count_if("home").alias("h"), F.count(F.lit(1)).alias("n"))
+    return int(sizes.agg(F.sum(F.col("h").cast("double") * F.col("n"))).first()[0] or 0)
+
+
 def links(fps: DataFrame, *, split: bool = False) -> DataFrame:
-    """All pairs ``a`` < ``b`` of distinct fingerprints at THRESHOLD or fewer differing bits, once each.
+    """All pairs ``a`` < ``b`` of distinct fingerprints at THRESHOLD or fewer differing bits, once each; of ``fps(fp, root)`` with their roots ``ra`` and ``rb``.
 
     A pair is reported only at the first block (and part) in which it can meet.
     """
-    reached = replicate(fps)
+    rooted = "root" in fps.columns
+    reached = replicate(fps if rooted else fps.select("fp", F.col("fp").alias("root")))
     if split:
         parts = F.array(*[F.struct(F.lit(i).alias("part"), _bits(F.col("fp"), *p).alias("value")) for i, p in enumerate(PARTS)])
         reached = reached.select("*", F.inline(parts))
     on = ["anchor", "part", "value"] if split else ["anchor"]
-    one = reached.where("home").select(*on, F.col("fp").alias("a"))
-    two = reached.select(*on, F.col("fp").alias("b"))
+    one = reached.where("home").select(*on, F.col("fp").alias("a"), F.col("root").alias("ra"))
+    two = reached.select(*on, F.col("fp").alias("b"), F.col("root").alias("rb"))
     differs, block = F.col("a").bitwiseXOR(F.col("b")), F.shiftright("anchor", LENGTH)
     first = F.lit(True)
     for k, (start, width) in enumerate(BLOCKS):
@@ -156,25 +164,33 @@ def links(fps: DataFrame, *, split: bool = False) -> DataFrame:
         for i, (start, width) in enumerate(PARTS[:-1]):
             first = first & ((F.col("part") <= i) | (_bits(differs, start, width) != 0))
     met = one.join(two, on)
-    return met.where((F.col("a") < F.col("b")) & (F.bit_count(differs) <= THRESHOLD) & first).select("a", "b")
+    return met.where((F.col("a") < F.col("b")) & (F.bit_count(differs) <= THRESHOLD) & first).select("a", "b", *(("ra", "rb") if rooted else ()))
 
 
-def duplicate_classes(docs: DataFrame, *, split_from: int = SPLIT_FROM) -> tuple[DataFrame, DataFrame]:
+def duplicate_classes(docs: DataFrame, *, most: int = LOAD) -> tuple[DataFrame, DataFrame]:
     """(rows, classes): ``doc_id, h, fp`` of every row, and ``fp, component_id, links`` of every distinct fingerprint.
 
     ``component_id`` is the smallest doc_id reachable (null where all are null), ``links`` the number of
     other fingerprints linked directly, ``h`` a hash of the text. Both results lie in the shared folder.
     """
+    ensure_checkpoint_dir(docs.sparkSession)
     rows = _written(fingerprints(docs.select("doc_id", "text")), "simhash-rows")
     nodes = rows.groupBy("fp").agg(F.min("doc_id").alias("first"))
-    found = _written(links(nodes, split=nodes.count() >= split_from), "simhash-links")
-    roots = components(found)
-    degree = found.select("a").union(found.select("b")).groupBy(F.col("a").alias("fp")).agg(F.count(F.lit(1)).alias("links"))
-    linked = roots.withColumnRenamed("node", "fp").join(nodes, "fp")
-    least = linked.groupBy("root").agg(F.min("first").alias("component_id"))
-    linked = linked.join(least, "root").join(degree, "fp").select("fp", "component_id", "links")
-    alone = nodes.join(linked.select("fp"), "fp", "left_anti").select("fp", F.col("first").alias("component_id"), F.lit(0).cast("long").alias("links"))
-    return rows, linked.union(alone)
+    alone = _written(nodes.select("fp", F.col("fp").alias("root"), "first"), "simhash-nodes")
+    split = load(replicate(alone)) > most * alone.count()
+    both = links(alone, split=split).select(F.inline(F.array(F.struct(F.col("a").alias("fp"), F.col("b").alias("other")), F.struct(F.col("b").alias("fp"), F.col("a").alias("other")))))
+    near = _written(both.groupBy("fp").agg(F.count(F.lit(1)).alias("links"), F.min("other").alias("other")), "simhash-near")
+    trees = roots_of(near.select(F.col("fp").alias("node"), F.least("fp", "other").alias("root")))
+    across = links(trees.withColumnRenamed("node", "fp"), split=split).where("ra <> rb").select(F.least("ra", "rb").alias("a"), F.greatest("ra", "rb").alias("b")).distinct()
+    joined = components(_written(across, "simhash-across"))
+    linked = look_up(trees, "root", joined, "top").select(F.col("node").alias("fp"), F.col("top").alias("root"))
+    told = alone.select("fp", "first").join(linked, "fp", "left").join(near.select("fp", "links"), "fp", "left")
+    told = _written(told.select("fp", "first", F.coalesce("root", "fp").alias("root"), F.coalesce("links", F.lit(0).cast("long")).alias("links")), "simhash-told")
+    least = told.groupBy("root").agg(F.min("first").alias("component_id"), F.count(F.lit(1)).alias("n"))
+    wide = least.where("n > 1").select(F.col("root").alias("_root"), "component_id", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("_part"))
+    salted = told.withColumn("_salt", F.pmod(F.xxhash64("fp"), F.lit(SALTS)).cast("int"))
+    met = salted.join(wide, (F.col("root") == F.col("_root")) & (F.col("_salt") == F.col("_part")), "left")
+    return rows, met.select("fp", F.when(F.col("_root").isNull(), F.col("first")).otherwise(F.col("component_id")).alias("component_id"), "links")
 
 
 def _written(df: DataFrame, name: str) -> DataFrame:
@@ -187,23 +203,27 @@ def _written(df: DataFrame, name: str) -> DataFrame:
 def near_duplicates(docs: DataFrame) -> DataFrame:
     """``doc_id``, ``fingerprint`` (hexadecimal), ``component_id`` and ``links`` of every row.
 
-    Null and empty texts have fingerprint 0 and are linked like any other. Repeated rows are answered
-    each; an empty table gives an empty one.
+    Null and empty texts have fingerprint 0 and are linked like any other; long texts count whole. Repeated rows are answered
+    each; an empty table gives an empty one; other columns are left behind, whatever their names.
     """
     rows, classes = duplicate_classes(docs)
     return rows.join(classes, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id", "links")
 
 
 def keep_one(docs: DataFrame) -> DataFrame:
-    """The rows of ``docs``, one for each component: that of the smallest doc_id (null last), then of the smallest text hash."""
+    """The rows of ``docs``, one for each component: that of the smallest doc_id (null last), then of the smallest text hash.
+
+    All columns stay as they are, whatever their names. Null and empty texts have fingerprint 0 and are one component; of rows equal in id
+    and text one stays, the first by its other columns; an empty table gives an empty one.
+    """
     rows, classes = duplicate_classes(docs)
     place = F.struct(F.col("doc_id").isNull().alias("n"), F.col("doc_id"), F.col("h"))
     kept = rows.join(classes, "fp").groupBy(F.coalesce("component_id", "fp").alias("c"), F.col("component_id").isNull().alias("u")).agg(F.min(place).alias("p"))
-    kept = _written(kept.select(F.col("p.doc_id").alias("_id"), F.col("p.h").alias("_h")), "simhash-kept")
-    same = docs.withColumn("_hash", F.xxhash64("text"))
-    left = same.join(kept.hint("merge"), F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_hash") == F.col("_h")), "left_semi")
-    twice = rows.join(kept, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("h") == F.col("_h")), "left_semi").groupBy("doc_id", "h").count().where("count > 1")
+    kept = _written(kept.select(F.col("p.doc_id").alias("id"), F.col("p.h").alias("h")), "simhash-kept")
+    whole = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.xxhash64("text").alias("hash"))
+    left = whole.join(kept.hint("merge"), F.col("row.doc_id").eqNullSafe(F.col("id")) & (F.col("hash") == F.col("h")), "left_semi")
+    twice = rows.join(kept, F.col("doc_id").eqNullSafe(F.col("id")) & (rows["h"] == kept["h"]), "left_semi").groupBy("doc_id", "h").count().where("count > 1")
     if twice.limit(1).count():  # rows repeated as a whole, or but for other columns
-        order = Window.partitionBy("doc_id", "_hash").orderBy(*[F.col(f"`{c}`").cast("string") for c in docs.columns if c not in ("doc_id", "text")] or [F.lit(1)])
-        left = left.withColumn("_n", F.row_number().over(order)).where("_n = 1").drop("_n")
-    return left.drop("_hash")
+        order = Window.partitionBy("row.doc_id", "hash").orderBy(F.to_json("row"))
+        left = left.withColumn("n", F.row_number().over(order)).where("n = 1")
+    return left.select("row.*")

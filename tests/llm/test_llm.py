@@ -154,6 +154,39 @@ def test_components(spark):
     assert components.components(spark.createDataFrame([], "a long, b long")).count() == 0
 
 
+def test_components_of_random_links(spark):
+    rng = random.Random(12)
+    for n, m in ((40, 30), (200, 230), (60, 20)):
+        pairs = [(rng.randrange(n), rng.randrange(n)) for _ in range(m)] + [(n, n + i) for i in range(1, 80)]
+        root = list(range(n + 80))
+
+        def find(x):
+            while root[x] != x:
+                x = root[x]
+            return x
+
+        for a, b in pairs:
+            a, b = sorted((find(a), find(b)))
+            root[b] = a
+        got = {r.node: r.root for r in components.components(spark.createDataFrame(pairs, "a long, b long")).collect()}
+        assert got == {x: find(x) for p in pairs for x in p}
+
+
+def test_near_copies_round_one_point(spark):
+    rng = random.Random(2)
+    words = [f"w{rng.randint(0, 10**6)}" for _ in range(400)]
+    texts = [" ".join(w for k, w in enumerate(words) if k != i) for i in range(120)] + ["other words entirely " + str(i) for i in range(30)]
+    docs = spark.createDataFrame([(i, t, 5, "k") for i, t in enumerate(texts)], "doc_id long, text string, fp long, root string")
+    fps = {i: brute_fingerprint(t) for i, t in enumerate(texts)}
+    distinct = set(fps.values())
+    links = {f: sum(1 for g in distinct if g != f and (f ^ g).bit_count() <= 4) for f in distinct}
+    for most in (simhash.LOAD, 0):  # whole anchors, or split ones
+        rows, classes = simhash.duplicate_classes(docs, most=most)
+        got = {r.doc_id: (r.links, r.component_id) for r in rows.join(classes, "fp").collect()}
+        assert all(got[i][0] == links[f] for i, f in fps.items())
+        assert len({got[i][1] for i in range(120)}) <= len({fps[i] for i in range(120)})
+
+
 def test_lm_base_is_exact_and_model_is_a_probability(spark):
     docs = odd_documents(spark)
     rows = docs.select("doc_id", "text").collect()
