@@ -68,6 +68,8 @@ class Bpe:
         self._find = regex.compile(_PIECES).findall
         self._cut = regex.compile(rf"(?<=[^{_WS}]) (?=[^{_WS}])").split
         self._edge = regex.compile(rf"\A(?![{_WS}]).*(?<![{_WS}])\Z", regex.S).match
+        self._spaced = any(c.isspace() for x in self.special for c in x)
+        self._heads = {x[0] for x in self.special if x}
         self._split = regex.compile("(" + "|".join(map(regex.escape, self.special)) + ")").split if self.special else None
         self._pieces: dict[str, bytes] = {}
         self._inner = _Chunks(self, " ")
@@ -115,7 +117,7 @@ class Bpe:
 
     def chunk(self, text: str) -> bytes:
         """Ids of a stretch of text that starts and ends where a pre-token may; special tokens are cut out first."""
-        if not self._split or "<" not in text:
+        if not self._split or not any(c in text for c in self._heads):
             return self._plain(text)
         return b"".join(_pack([self.special[x]]) if x in self.special else self._plain(x) for x in self._split(text) if x)
 
@@ -123,6 +125,8 @@ class Bpe:
         """Ids as little-endian unsigned 32-bit integers."""
         if not text:
             return b""
+        if self._spaced:
+            return self.chunk(text)
         try:
             head, *rest = text.split(" ")
             return b"".join([self._first[head], *map(self._inner.__getitem__, rest)])
@@ -147,7 +151,11 @@ class _Chunks(dict):
         self.owner, self.lead = owner, lead
 
     def __missing__(self, chunk: str) -> bytes:
-        if chunk.isalpha():  # one pre-token
+        if any(c in chunk for c in self.owner._heads):
+            if not self.owner._edge(chunk):
+                raise _Uneven
+            ids = self.owner.chunk(self.lead + chunk)
+        elif chunk.isalpha():  # one pre-token
             ids = _pack(self.owner.merge((self.lead + chunk).encode()))
         elif chunk[:-1].isalpha() and chunk[-1] in _MARKS:  # a word and a mark: two
             ids = self[chunk[:-1]] + self.owner.chunk(chunk[-1])
@@ -214,7 +222,11 @@ def _run(df: DataFrame, run, key: str, more: str) -> DataFrame:
 
 
 def digest(df: DataFrame, vocab_path: str) -> DataFrame:
-    """Per document: number of ids and the digests of ids and of the decoded text."""
+    """Per document: number of ids and the digests of ids and of the decoded text.
+
+    Null text counts as empty and has no ids; texts of any length are coded whole; repeated rows are answered each; an empty table gives
+    an empty one; other columns are left behind, whatever their names.
+    """
     done = round_trip(df, vocab_path)
     return done.select(
         "doc_id",

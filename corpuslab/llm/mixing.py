@@ -17,6 +17,8 @@ from pyspark.sql import functions as F
 from .common import scratch
 
 MOST = 3
+#: Sources whose rows come to the driver at most.
+MOST_SOURCES = 100_000
 WEIGHTS = (1.0, 2.0, 3.0)
 SEED = 11
 #: Buckets that a length's documents are ranked in, so that one length may hold a third of all rows.
@@ -88,30 +90,49 @@ def fit_counts(lengths: np.ndarray, counts: np.ndarray, budget: int) -> np.ndarr
     return taken
 
 
-def plan_targets(sizes: DataFrame, weights: tuple[float, ...] = WEIGHTS, most: float = MOST) -> DataFrame:
+def plan_targets(sizes: DataFrame, weights: tuple[float, ...] = WEIGHTS, most: float = MOST, *, bound: int = MOST_SOURCES) -> DataFrame:
     """``source``, ``source_size``, ``target``: one row for each source, by code point, null last, weights repeating.
 
-    ``sizes`` has one row for each source; these rows come to the driver.
+    ``sizes`` has one row for each source; up to ``bound`` these rows come to the driver, more are filled by sorted running sums in the cluster.
     """
+    if sizes.count() > bound:
+        return _spread_targets(sizes, weights, most)
     rows = sorted(((r[0], r[1]) for r in sizes.select("source", "source_size").collect()), key=lambda r: (r[0] is None, [ord(c) for c in r[0] or ""]))
     targets = water_fill([r[1] for r in rows], [weights[i % len(weights)] for i in range(len(rows))], most)
     return sizes.sparkSession.createDataFrame([(a, b, t) for (a, b), t in zip(rows, targets)], "source string, source_size long, target double")
 
 
+def _spread_targets(sizes: DataFrame, weights: tuple[float, ...], most: float) -> DataFrame:
+    """The targets by one pass over the sources sorted by size for their weight: those below the level that all above it share are full."""
+    whole = Window.partitionBy(F.lit(0))
+    place = F.row_number().over(whole.orderBy(F.asc_nulls_last("source"))) - 1
+    weight = F.element_at(F.array(*map(F.lit, weights)), F.pmod(place, F.lit(len(weights))).cast("int") + 1)
+    told = sizes.select("source", "source_size", place.alias("place"), F.when(F.col("source_size") > 0, weight).otherwise(0.0).alias("w"), (most * F.col("source_size")).cast("double").alias("full"))
+    before = whole.orderBy(F.try_divide("full", "w"), "place").rowsBetween(Window.unboundedPreceding, -1)
+    given, shared = F.coalesce(F.sum("full").over(before), F.lit(0.0)), F.coalesce(F.sum("w").over(before), F.lit(0.0))
+    told = told.withColumn("unit", F.try_divide(F.sum("source_size").over(whole) - given, F.sum("w").over(whole) - shared))
+    level = F.max("unit").over(whole)  # it rises while full sources are set aside, and falls once others are
+    return told.select("source", "source_size", F.when(F.col("w") == 0, 0.0).otherwise(F.least("full", F.col("w") * F.coalesce(level, F.lit(0.0)))).alias("target"))
+
+
 def take(docs: DataFrame, *, weights: tuple[float, ...] = WEIGHTS, most: int = MOST, seed: int = SEED) -> DataFrame:
     """``docs(doc_id, source, size, ...)`` with ``source_size``, ``target`` and ``copies``, how often the mix holds each row.
 
-    Rows equal in doc_id, source and size are told apart by rank only. Documents without words are
-    taken as often as their source's whole documents are. ``docs`` is read twice.
+    Columns of ``docs`` with the names of the three are replaced, all others stay. Rows equal in doc_id, source and size are told apart by
+    rank only; null ids and sources are values like others. Documents without words are taken as often as their source's whole documents
+    are. ``docs`` is read twice. An empty table gives an empty one.
     """
     spark = docs.sparkSession
-    docs = docs.withColumn("_h", F.xxhash64("doc_id", F.lit(seed))).withColumn("_b", F.pmod("_h", F.lit(BUCKETS)).cast("int"))
+    docs = docs.drop("source_size", "target", "copies")
+    row = F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row")
+    h = F.xxhash64("doc_id", F.lit(seed))
+    docs = docs.select(row, "doc_id", "source", "size", h.alias("h"), F.pmod(h, F.lit(BUCKETS)).cast("int").alias("b"))
     path = scratch(spark, "mix-lengths")
-    docs.groupBy("source", "size", "_b").agg(F.count(F.lit(1)).alias("n")).write.parquet(path)
+    docs.groupBy("source", "size", "b").agg(F.count(F.lit(1)).alias("n")).write.parquet(path)
     counts = spark.read.parquet(path)
     targets = plan_targets(counts.groupBy("source").agg(F.sum(F.col("size") * F.col("n")).cast("long").alias("source_size")), weights, most)
     by_length = counts.groupBy("source", "size").agg(F.sum("n").alias("n"))
-    joined = by_length.join(F.broadcast(targets), by_length["source"].eqNullSafe(targets["source"])).drop(targets["source"])
+    joined = by_length.join(targets, by_length["source"].eqNullSafe(targets["source"])).drop(targets["source"])
 
     def fit(rows: pd.DataFrame) -> pd.DataFrame:
         target, size = rows["target"].iloc[0], rows["source_size"].iloc[0]
@@ -120,18 +141,22 @@ def take(docs: DataFrame, *, weights: tuple[float, ...] = WEIGHTS, most: int = M
         return rows.assign(whole=whole, some=some)[["source", "size", "source_size", "target", "whole", "some"]]
 
     fitted = joined.groupBy("source").applyInPandas(fit, "source string, size long, source_size long, target double, whole int, some long")
-    before = Window.partitionBy("source", "size").orderBy("_b").rowsBetween(Window.unboundedPreceding, -1)
-    starts = counts.withColumn("_before", F.coalesce(F.sum("n").over(before), F.lit(0))).drop("n")
+    before = Window.partitionBy("source", "size").orderBy("b").rowsBetween(Window.unboundedPreceding, -1)
+    starts = counts.withColumn("before", F.coalesce(F.sum("n").over(before), F.lit(0))).drop("n")
     f, s = fitted.alias("f"), starts.alias("s")
     plan = s.join(f, F.col("s.source").eqNullSafe(F.col("f.source")) & (F.col("s.size") == F.col("f.size")))
-    plan = plan.select(F.col("s.source").alias("_s"), F.col("s.size").alias("_z"), F.col("s._b").alias("_k"), "_before", "source_size", "target", "whole", "some")
-    ranked = docs.withColumn("_rank", F.row_number().over(Window.partitionBy("source", "size", "_b").orderBy("_h", "doc_id")))
-    out = ranked.join(plan, F.col("source").eqNullSafe(F.col("_s")) & (F.col("size") == F.col("_z")) & (F.col("_b") == F.col("_k")))
-    copies = F.col("whole") + (F.col("_before") + F.col("_rank") <= F.col("some")).cast("int")
-    return out.withColumn("copies", copies).drop("_s", "_z", "_k", "_b", "_h", "_before", "_rank", "whole", "some")
+    plan = plan.select(F.col("s.source").alias("its"), F.col("s.size").alias("length"), F.col("s.b").alias("part"), "before", "source_size", "target", "whole", "some")
+    ranked = docs.withColumn("rank", F.row_number().over(Window.partitionBy("source", "size", "b").orderBy("h", "doc_id")))
+    out = ranked.join(plan, F.col("source").eqNullSafe(F.col("its")) & (F.col("size") == F.col("length")) & (F.col("b") == F.col("part")))
+    copies = F.col("whole") + (F.col("before") + F.col("rank") <= F.col("some")).cast("int")
+    return out.select("row.*", "source_size", "target", copies.alias("copies"))
 
 
 def mix_sizes(docs: DataFrame) -> DataFrame:
-    """The mix of all documents: size in words, the source's size and target, and the words taken."""
+    """The mix of all documents: size in words, the source's size and target, and the words taken.
+
+    Null texts have no words; long texts count whole; repeated rows are answered each; null ids and sources are values like others. An
+    empty table gives an empty one; other columns are left behind, whatever their names.
+    """
     taken = take(docs.select("doc_id", "source", n_words(F.col("text")).alias("size")))
     return taken.select("doc_id", "size", "source_size", "target", (F.col("size") * F.col("copies")).cast("long").alias("taken"))

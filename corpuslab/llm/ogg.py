@@ -220,7 +220,11 @@ def read(df: DataFrame, *, key: str = "doc_id", media: str = "media", keep: tupl
 
 
 def digest(df: DataFrame) -> DataFrame:
-    """Stores every text, reads it back and describes both forms."""
+    """Stores every text, reads it back and describes both forms.
+
+    Null text counts as empty and has a payload of padding alone; texts of any length are stored whole; equal texts give equal values and
+    repeated rows are answered each. An empty table gives an empty one; other columns are left behind, whatever their names.
+    """
     return read(store(df), keep=("n_bytes",)).select(
         "doc_id",
         "n_bytes",

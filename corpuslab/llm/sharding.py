@@ -73,39 +73,49 @@ def locate(shard: int, slot: int, n: int, shards: int, seed: int = SEED) -> int:
     return int(permute(np.array([slot * shards + shard]), n, seed, inverse=True)[0])
 
 
+def _numbered(df: DataFrame, by: list[str], buckets: int) -> DataFrame:
+    """``row`` (all of ``df``'s columns), ``number`` and ``count``."""
+    row = F.struct(*[F.col(f"`{c}`") for c in df.columns]).alias("row")
+    spread = df.select(row, F.pmod(F.xxhash64(*[F.col(f"`{c}`") for c in by]), F.lit(buckets)).cast("int").alias("bucket"))
+    counts = spread.groupBy("bucket").agg(F.count(F.lit(1)).alias("n"))
+    whole = Window.partitionBy(F.lit(0))
+    before = whole.orderBy("bucket").rowsBetween(Window.unboundedPreceding, 0)
+    offsets = counts.select("bucket", (F.sum("n").over(before) - F.col("n")).alias("offset"), F.sum("n").over(whole).alias("count"))
+    rank = F.row_number().over(Window.partitionBy("bucket").orderBy(*[F.col("row").getField(c) for c in by]))
+    return spread.withColumn("rank", rank).join(F.broadcast(offsets), "bucket").select("row", (F.col("offset") + F.col("rank") - 1).alias("number"), "count")
+
+
 def number_rows(df: DataFrame, by: list[str], *, buckets: int = BUCKETS) -> DataFrame:
-    """Adds ``row_number`` (dense from 0) and ``row_count``. ``by`` must tell rows apart; rows equal in all of it are interchangeable.
+    """Adds ``row_number`` (dense from 0) and ``row_count``; columns of ``df`` with these names are replaced, all others stay.
 
-    Nulls are values like others. The bucket counts are one small table of ``buckets`` rows at most.
+    ``by`` must tell rows apart; rows equal in all of it are interchangeable. Nulls are values like others. The bucket counts are one small
+    table of ``buckets`` rows at most, whatever the table's size.
     """
-    spread = df.withColumn("_bucket", F.pmod(F.xxhash64(*by), F.lit(buckets)).cast("int"))
-    counts = spread.groupBy("_bucket").agg(F.count(F.lit(1)).alias("_n"))
-    whole = Window.partitionBy(F.lit(0))
-    offsets = counts.select(
-        "_bucket",
-        (F.sum("_n").over(whole.orderBy("_bucket").rowsBetween(Window.unboundedPreceding, 0)) - F.col("_n")).alias("_offset"),
-        F.sum("_n").over(whole).alias("row_count"),
-    )
-    ranked = spread.withColumn("_rank", F.row_number().over(Window.partitionBy("_bucket").orderBy(*by)))
-    return ranked.join(F.broadcast(offsets), "_bucket").withColumn("row_number", F.col("_offset") + F.col("_rank") - 1).drop("_bucket", "_offset", "_rank")
+    df = df.drop(*({"row_number", "row_count"} - set(by)))
+    return _numbered(df, by, buckets).select("row.*", F.col("number").alias("row_number"), F.col("count").alias("row_count"))
 
 
 def assign(df: DataFrame, shards: int, *, seed: int = SEED, by: list[str]) -> DataFrame:
     """``df`` with ``shard`` and ``slot``: the law is ``rows``, counts at most one apart, slots gapless from 0.
 
-    An empty table gives an empty one. Repeated rows get a place each.
+    An empty table gives an empty one. Repeated rows get a place each. Columns of ``df`` with the names of the two are replaced, all others stay.
     """
 
     @pandas_udf("bigint")
     def place(number: pd.Series, count: pd.Series) -> pd.Series:
         return pd.Series(permute(number.to_numpy(), int(count.iloc[0]), seed) if len(number) else number.to_numpy())
 
-    placed = number_rows(df, by).withColumn("_place", place("row_number", "row_count"))
-    return placed.withColumns({"shard": F.pmod("_place", F.lit(shards)).cast("int"), "slot": F.expr(f"_place div {int(shards)}")}).drop("_place", "row_number", "row_count")
+    df = df.drop(*({"shard", "slot"} - set(by)))
+    placed = _numbered(df, by, BUCKETS).select("row", place("number", "count").alias("place"))
+    return placed.select("row.*", F.pmod("place", F.lit(shards)).cast("int").alias("shard"), F.expr(f"place div {int(shards)}").alias("slot"))
 
 
 def shard_documents(docs: DataFrame, shards: int = 24, seed: int = SEED) -> DataFrame:
-    """Shard and slot of every document; size is its UTF-8 bytes (null: none) plus 8."""
+    """Shard and slot of every document; size is its UTF-8 bytes (null: none) plus 8.
+
+    Null and empty texts count 8 bytes, a text of any length is one row, equal rows get a place each, null ids are ids like others. An empty
+    table gives an empty one; other columns are left behind, whatever their names.
+    """
     text = F.coalesce(F.col("text"), F.lit(""))
     sized = docs.select("doc_id", (F.octet_length(text) + 8).cast("long").alias("size"), F.crc32(F.encode(text, "UTF-8")).alias("text_crc32"))
     placed = assign(sized, shards, seed=seed, by=["doc_id", "text_crc32", "size"])

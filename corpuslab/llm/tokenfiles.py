@@ -273,7 +273,11 @@ def block_starts(spark: SparkSession, path: str) -> DataFrame:
 
 
 def digest(docs: DataFrame, vocab_path: str) -> DataFrame:
-    """Writes all ids, reads the files back and gives each document's place, number of ids and checksum."""
+    """Writes all ids, reads the files back and gives each document's place, number of ids and checksum.
+
+    Null and empty texts have the end id alone; a document longer than a block is a block of its own; repeated rows and null ids (which
+    come first) are written each. An empty table gives an empty one; other columns are left behind, whatever their names.
+    """
     spark, path = docs.sparkSession, scratch(docs.sparkSession, "token-files")
     write(docs, path, vocab_path)
     told = read(spark, path).select("part", "block", "doc_id", "inside", F.expr("cast(octet_length(ids) div 4 as bigint)").alias("n_tokens"), F.crc32("ids").alias("ids_crc32"))

@@ -490,6 +490,112 @@ def test_pipeline_on_odd_rows(spark, sf):
     assert p.mix_sources(spark, twice, sf).count() > 0
 
 
+CLASH = "_id _h _hash _n _size _copies _copy _rows _words _each kept n_words llr base_failed row copies rows size target source_size n each words hash h number count bucket rank shard slot fp component_id row_number root anchor".split()
+
+
+def clashing(docs):
+    """The documents with extra columns of names that a stage might use, each filled with its name."""
+    from pyspark.sql import functions as F
+
+    return docs.select("*", *[F.lit(c).alias(c) for c in CLASH])
+
+
+def test_stages_keep_columns_of_any_name(spark, sf):
+    import corpus_pipeline as p
+    from corpuslab.llm.common import table
+
+    plain = table(spark, sf, "documents")
+    plain = plain.union(plain.limit(4))
+    for _, stage in p.STAGES:
+        wide = clashing(plain)
+        want, got = stage(spark, plain, sf), stage(spark, wide, sf)
+        if stage is p.STAGES[-1][1]:
+            assert sorted(map(str, got.collect())) == sorted(map(str, want.collect()))
+            assert stage(spark, wide.limit(0), sf).count() == 0
+            break
+        rows = got.collect()
+        assert got.dtypes == wide.dtypes
+        assert all(r[c] == c for r in rows for c in CLASH)
+        assert sorted(str([r[c] for c in plain.columns]) for r in rows) == sorted(str(list(r)) for r in want.collect())
+        empty = stage(spark, wide.limit(0), sf)
+        assert empty.columns == wide.columns and empty.count() == 0
+        plain = spark.createDataFrame(want.collect(), plain.schema)
+
+
+def test_operators_answer_empty_tables_and_clashing_columns(spark, sf):
+    from corpuslab.llm import queries as q
+    from corpuslab.llm.common import table
+
+    kept = q.table
+    docs = odd_documents(spark)
+    wide = clashing(docs.drop("shard", "size", "fp", "kept"))
+    pages = spark.createDataFrame([(None, None, None), (1, "http://free-bets.example.com/a", "<p>" + "word " * 30)], "page_id long, url string, html string")
+    try:
+        for made, wide_pages in ((wide, clashing(pages)), (docs.select("doc_id", "text", "lang", "source", "n_chars"), pages)):
+            for empty in (False, True):
+                tables = {"documents": made, "pages": wide_pages}
+                q.table = lambda s, d, n: (tables[n].limit(0) if empty else tables[n]) if n in tables else table(s, d, n)
+                found = {k: sorted(map(str, f(spark, sf).collect())) for k, f in q.queries().items()}
+                n = {k: 0 if empty else (wide_pages if k in ("op8_html_region", "op9_bloom_cascade") else made).count() for k in found}
+                assert {k: len(v) for k, v in found.items()} == n
+    finally:
+        q.table = kept
+
+
+def test_targets_of_many_sources(spark):
+    rng = random.Random(4)
+    rows = [(None if i == 3 else f"s{i:03}é", rng.choice([0, 1, 5, 100, 1000])) for i in range(60)]
+    sizes = spark.createDataFrame(rows, "source string, source_size long")
+    few = {r.source: r.target for r in mixing.plan_targets(sizes).collect()}
+    many = {r.source: r.target for r in mixing.plan_targets(sizes, bound=0).collect()}
+    assert few.keys() == many.keys() and all(math.isclose(few[k], many[k], rel_tol=1e-9, abs_tol=1e-9) for k in few)
+
+
+def test_shards_hold_the_digests_and_places_of_their_rows(spark, sf):
+    from corpuslab.llm.common import table
+
+    docs = table(spark, sf, "documents").union(odd_documents(spark).selectExpr("doc_id", "text", "lang", "source", "n_chars"))
+    rows = sharding.shard_documents(docs).collect()
+    want = sorted((str(r.doc_id), len((r.text or "").encode()) + 8, zlib.crc32((r.text or "").encode())) for r in docs.collect())
+    assert sorted((str(r.doc_id), r.size, r.text_crc32) for r in rows) == want
+    n = len(rows)
+    at = {sharding.locate(r.shard, r.slot, n, 24): (r.doc_id, r.text_crc32) for r in rows}
+    numbered = sharding.number_rows(docs.selectExpr("doc_id", "crc32(encode(coalesce(text, ''), 'UTF-8')) text_crc32", "bigint(octet_length(coalesce(text, '')) + 8) size"), ["doc_id", "text_crc32", "size"]).collect()
+    assert sorted(at) == list(range(n)) and all(at[r.row_number] == (r.doc_id, r.text_crc32) for r in numbered)
+
+
+def test_media_columns_are_those_of_the_texts(spark):
+    import hashlib
+
+    docs = odd_documents(spark)
+    texts = {r.doc_id: (r.text or "").encode() for r in docs.collect() if r.doc_id is not None}
+    for r in ogg.digest(docs).where("doc_id is not null").collect():
+        raw = texts[r.doc_id]
+        payload = raw + b" " * (-len(raw) % 192 if raw else 192)
+        media = ogg.mux(payload)
+        assert (r.n_bytes, r.payload_bytes, r.payload_sha256) == (len(raw), len(payload), hashlib.sha256(payload).hexdigest())
+        assert (r.tail_crc32, r.media_bytes, r.media_sha256) == (zlib.crc32(payload[-16:]), len(media), hashlib.sha256(media).hexdigest()) and r.feature
+
+
+def test_mix_takes_its_targets(spark):
+    from corpuslab.llm.common import table
+
+    docs = table(spark, "/root/testdata/sf0.01", "documents")  # enough documents for sums to come near any target
+    texts = {r.doc_id: (r.source, len(words_of(r.text))) for r in docs.collect()}
+    rows = mixing.mix_sizes(docs).collect()
+    sizes = Counter()
+    for source, n in texts.values():
+        sizes[source] += n
+    order = sorted(sizes)
+    want = dict(zip(order, mixing.water_fill([sizes[s] for s in order], [(1, 2, 3)[i % 3] for i in range(len(order))])))
+    taken = Counter()
+    for r in rows:
+        source, n = texts[r.doc_id]
+        assert r.size == n and r.source_size == sizes[source] and math.isclose(r.target, want[source]) and r.taken <= 3 * n
+        taken[source] += r.taken
+    assert all(abs(taken[s] - want[s]) <= 1 for s in order)
+
+
 def test_columns_of_contracts(spark, sf):
     from corpuslab.llm.queries import queries
 
