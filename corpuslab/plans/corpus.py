@@ -70,7 +70,7 @@ def mix_temperature(spark, sf_dir):
 
 @query(f"""{_POOLS}, c AS (SELECT pool, tokens, 4.0 * tokens / (3.0 * sum(tokens) OVER ()) AS cap FROM p),
 levels AS (SELECT (1 - (SELECT coalesce(sum(cap), 0) FROM c x WHERE x.cap < c.cap)) / (SELECT count(*) FROM c x WHERE x.cap >= c.cap) AS level, cap FROM c),
-u AS (SELECT min(level) AS level FROM levels WHERE level <= cap),
+u AS (SELECT max(level) AS level FROM levels),
 w AS (SELECT pool, tokens, least(cap, u.level)::double AS weight, 3.0 * (SELECT sum(tokens) FROM p) AS total FROM c, u)
 SELECT pool, tokens, round(weight, 9) AS weight, round(weight * total / tokens, 6) AS epochs,
        CASE WHEN weight * total / tokens < 1 THEN 'subsampled' WHEN weight * total / tokens > 1 THEN 'repeated' ELSE 'once' END AS kind FROM w""")
