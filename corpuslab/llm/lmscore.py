@@ -8,6 +8,7 @@ a fixed error rate. Up to ``MAX_BITS`` it is broadcast; a larger one stays a tab
 chunks of texts ask for are shuffled to their segments and the counts joined back.
 
 A token's probability is interpolated: L * c(v, w) / c(v) + (1 - L) * P(w), with P(w) add-one over quantised counts and
+their own sum, so that it sums to one, and the pair term's quotients summing to one within the step of the count scale;
 a weight L for each quantised count of v, fitted by deleted interpolation (every token left out of its own
 counts) on all training documents. The base score needs exact counts: those of the ``HEAD`` most frequent words are broadcast, the
 rest come by a join of the rare tokens alone.
@@ -34,6 +35,8 @@ STEP, RATE, MAX_BITS = 1.5, 1 / 128, 1 << 30
 HEAD = 1 << 20
 #: Bins of log10(pair probability / word probability) that the fit sums up in, and their width.
 _BINS, _WIDTH = 200, 0.05
+#: Sums of logarithms over a join are taken in whole units of this fineness, so that their order is nothing to them.
+_UNITS = 2.0**36
 SEGMENT = 1 << 22
 _END, _START = np.uint64(0x656E64206F662074), np.uint64(0x7374617274206F66)
 TRAIN_SLICE = 12_000_000
@@ -65,6 +68,10 @@ class Tokens:
         before[starts[:-1]] = _START
         return cls(one, before, starts)
 
+    def owner(self) -> np.ndarray:
+        """For each token, the row of its text."""
+        return np.repeat(np.arange(len(self.starts) - 1), np.diff(self.starts))
+
     def pairs(self) -> np.ndarray:
         return mix(self.before, self.one) | np.uint64(1)
 
@@ -202,6 +209,7 @@ class Model:
     tokens: int
     words: int
     texts: int
+    mass: float  # what the restored counts of all words sum up to, each plus one, and one for unknown words
 
     def exact(self, key: np.ndarray) -> np.ndarray:
         """Exact counts of head words, -1 for others."""
@@ -211,8 +219,8 @@ class Model:
         return np.where(self.head[at] == key, self.head_counts[at], -1)
 
 
-def train(docs: DataFrame, *, head: int = HEAD) -> tuple[Model, DataFrame]:
-    """The model of ``docs(text, held_out)`` and the stored counts of all words."""
+def train(docs: DataFrame, *, head: int = HEAD, **options) -> tuple[Model, DataFrame]:
+    """The model of ``docs(text, held_out)`` and the stored counts of all words; ``options`` are those of ``build_filter``."""
     spark, path = docs.sparkSession, scratch(docs.sparkSession, "lm-counts")
     count(docs).write.parquet(path)
     counts = spark.read.schema("key bigint, c bigint").parquet(path)
@@ -222,7 +230,9 @@ def train(docs: DataFrame, *, head: int = HEAD) -> tuple[Model, DataFrame]:
     key, c = most.column("key").to_numpy().view(np.uint64), most.column("c").to_numpy()
     order = np.argsort(key)
     texts = words.where(F.col("key") == F.lit(int(_END.astype(np.int64)))).agg(F.sum("c")).first()[0]
-    return Model(build_filter(counts), key[order], c[order], n or 0, v or 0, texts or 0), words
+    levels = words.groupBy((F.floor(F.log(F.col("c").cast("double")) / math.log(STEP) + 1e-9) + 1).cast("int").alias("q")).count().collect()  # 160 rows at most
+    mass = 1.0 + sum((float(restore(np.array([q]))[0]) + 1) * k for q, k in levels)
+    return Model(build_filter(counts, **options), key[order], c[order], n or 0, v or 0, texts or 0, mass), words
 
 
 def read_slice(texts: pa.Array, model: Model) -> dict[str, np.ndarray | pa.Array]:
@@ -243,7 +253,7 @@ def read_slice(texts: pa.Array, model: Model) -> dict[str, np.ndarray | pa.Array
     return {
         "n_tokens": np.diff(tokens.starts),
         "known": row_sums((exact > 0)[code], tokens.starts),
-        "base": row_sums(base[code], tokens.starts),
+        "base": np.bincount(tokens.owner(), base[code], minlength=len(texts)),  # summed text by text, so that equal texts agree to the last bit
         "rare": pa.ListArray.from_arrays(pa.array(at.astype(np.int32)), pa.array(tokens.one[rare].view(np.int64))),
         "levels": packed(model.filter.counts(distinct)[code]),
         "pair_levels": packed(model.filter.counts(pairs)[pair_code]),
@@ -347,7 +357,7 @@ def ratios(rows: DataFrame, model: Model, shared) -> np.ndarray:
             m = shared.value
             _, word, both, q, before = _counts(b, m)
             pair = np.maximum(both - 1, 0) / np.maximum(before - 1, 1)
-            uni = np.maximum(word, 1) / (m.tokens + m.words + 1)
+            uni = np.maximum(word, 1) / m.mass
             with np.errstate(divide="ignore"):
                 at = np.clip(np.round(np.log10(pair / uni) / _WIDTH) + _BINS // 2, 0, _BINS - 1)
             seen += np.bincount(q * _BINS + np.where(pair > 0, at, 0).astype(np.int64), minlength=len(seen))
@@ -379,15 +389,15 @@ def tune(seen: np.ndarray) -> np.ndarray:
     return weights
 
 
-def score(docs: DataFrame) -> DataFrame:
-    """Every document's token counts, exact base score and model score; see the module for the model.
+def score(docs: DataFrame, **options) -> DataFrame:
+    """Every document's token counts, exact base score and model score; see the module for the model. ``options`` are those of ``train``.
 
-    Null and empty texts are one end token. Equal texts score alike; repeated rows are answered each. An
-    empty table gives an empty one.
+    Null and empty texts are one end token; texts of any length count whole. Equal texts score alike to the last bit; repeated rows are
+    answered each. An empty table gives an empty one; other columns are left behind, whatever their names.
     """
     spark = docs.sparkSession
     docs = docs.select("doc_id", "text", is_held_out(F.col("doc_id")).alias("held_out"))
-    model, words = train(docs)
+    model, words = train(docs, **options)
     shared = spark.sparkContext.broadcast(model)
     rows = read(docs, model, shared)
     small = spark.sparkContext.broadcast(replace(model, filter=None, head=model.head[:0], head_counts=model.head_counts[:0]))
@@ -398,8 +408,9 @@ def score(docs: DataFrame) -> DataFrame:
         for b in slices(batches, 0, LEVELS_SLICE):
             starts, word, both, q, before = _counts(b, small.value)
             weight = weights[np.minimum(q, 159)]
-            log = np.log10(weight * both / np.maximum(before, 1) + (1 - weight) * (word + 1) / unknown)
-            yield pa.RecordBatch.from_arrays([*b.columns[2:], pa.array(row_sums(log, starts))], [*b.schema.names[2:], "score"])
+            log = np.log10(weight * both / np.maximum(before, 1) + (1 - weight) * (word + 1) / model.mass)
+            total = np.bincount(np.repeat(np.arange(b.num_rows), np.diff(starts)), log, minlength=b.num_rows)
+            yield pa.RecordBatch.from_arrays([*b.columns[2:], pa.array(total)], [*b.schema.names[2:], "score"])
 
     kind = docs.schema["doc_id"].dataType.simpleString()
     scored = rows.select("levels", "pair_levels", "doc_id", "held_out", "n_tokens", "known", "base", "row").mapInArrow(run, f"doc_id {kind}, held_out boolean, n_tokens bigint, known bigint, base double, row bigint, score double")
@@ -407,7 +418,7 @@ def score(docs: DataFrame) -> DataFrame:
         full = scored.select("*", F.lit(0).cast("long").alias("more"), F.lit(0.0).alias("extra"))
     else:
         asked = rows.select("row", F.explode("rare").alias("key"))
-        found = asked.join(words, "key", "left").groupBy("row").agg(F.count("c").alias("more"), F.sum(F.log10((F.coalesce("c", F.lit(0)) + 1) / unknown)).alias("extra"))
+        found = asked.join(words, "key", "left").groupBy("row").agg(F.count("c").alias("more"), (F.sum(F.round(F.log10((F.coalesce("c", F.lit(0)) + 1) / unknown) * _UNITS).cast("long")) / _UNITS).alias("extra"))
         full = scored.join(found, "row", "left")
     return full.select(
         "doc_id",

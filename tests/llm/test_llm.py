@@ -197,11 +197,9 @@ def test_lm_base_is_exact_and_model_is_a_probability(spark):
     n, v = sum(counts.values()), len(counts)
     want = sorted((str(r.doc_id), round(sum(math.log10((counts[w] + 1) / (n + v + 1)) for w in [*words_of(lower(r.text)), None]), 6), len(words_of(r.text)) + 1) for r in rows)
     for head in (lmscore.HEAD, 5):  # all words broadcast, or most of them by the join
-        lmscore.train.__kwdefaults__["head"] = head
-        got = lmscore.score(docs).collect()
+        got = lmscore.score(docs, head=head).collect()
         assert sorted((str(r.doc_id), round(r.base_score, 6), r.n_tokens) for r in got) == want
         assert all(r.train_tokens == n and r.score < 0 for r in got)
-    lmscore.train.__kwdefaults__["head"] = lmscore.HEAD
     assert lmscore.score(docs.limit(0)).count() == 0
 
 
@@ -222,13 +220,8 @@ def test_filter_too_large_to_broadcast_answers_alike(spark):
     keys = spark.range(0, 1_000_000).selectExpr("xxhash64(id) div 2 * 2 AS key", "1L AS c")
     f = lmscore.build_filter(keys, max_bits=lmscore.SEGMENT)
     assert f.hashes == 7 and f.segments * lmscore.SEGMENT > 10_000_000
-    kept = lmscore.build_filter.__kwdefaults__["max_bits"]
-    try:
-        lmscore.build_filter.__kwdefaults__["max_bits"] = 0  # all segments stay a table
-        got = sorted((str(r.doc_id), r.n_tokens, r.score) for r in lmscore.score(docs).collect())
-        assert lmscore.score(docs.limit(0)).count() == 0
-    finally:
-        lmscore.build_filter.__kwdefaults__["max_bits"] = kept
+    got = sorted((str(r.doc_id), r.n_tokens, r.score) for r in lmscore.score(docs, max_bits=0).collect())  # all segments stay a table
+    assert lmscore.score(docs.limit(0), max_bits=0).count() == 0
     assert len(got) == len(want) and all(a[:2] == b[:2] and math.isclose(a[2], b[2], rel_tol=1e-9) for a, b in zip(got, want))
 
 
@@ -239,6 +232,34 @@ def test_pairs_seen_once_count(spark):
     assert (model.filter.counts(seen) == 1).all()
 
 
+def test_model_sums_to_one(spark, sf):
+    from corpuslab.llm.common import table
+
+    docs = table(spark, "/root/testdata/sf0.01", "documents").selectExpr("doc_id", "text", "doc_id % 7 = 2 AS held_out")
+    model, words = lmscore.train(docs)
+    vocabulary = [r.key for r in words.select("key").collect()]
+    key = np.array(vocabulary).view(np.uint64)
+    word = lmscore.restore(model.filter.counts(key))
+    assert math.isclose(((word + 1).sum() + 1) / model.mass, 1, abs_tol=0.02)  # the filter's false positives
+    for before in key[np.argsort(-word)[:12]]:
+        both = lmscore.restore(model.filter.counts(lmscore.mix(np.full(len(key), before), key) | np.uint64(1)))
+        c = lmscore.restore(model.filter.counts(np.array([before])))[0]
+        assert 0.8 < np.minimum(both, np.minimum(word, c)).sum() / c < 1.25
+
+
+def test_equal_texts_score_alike(spark, sf):
+    from corpuslab.llm.common import table
+
+    docs = table(spark, sf, "documents")
+    again = docs.selectExpr("doc_id + 100000 AS doc_id", "text").union(docs.select("doc_id", "text")).repartition(5)
+    for head in (lmscore.HEAD, 500):
+        by = {}
+        told = {r.doc_id: (r.base_score, r.score, r.n_known) for r in lmscore.score(again, head=head).collect()}
+        for r in again.collect():
+            by.setdefault(r.text, set()).add(told[r.doc_id])
+        assert all(len(v) == 1 for v in by.values())
+
+
 def test_weights_rest_on_all_training_documents(spark):
     docs = spark.range(0, 2600).selectExpr("id AS doc_id", "concat('one two ', id % 7) AS text")
     docs = docs.withColumn("held_out", lmscore.is_held_out(docs.doc_id))
