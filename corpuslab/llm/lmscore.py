@@ -37,7 +37,8 @@ HEAD = 1 << 20
 _BINS, _WIDTH = 200, 0.05
 #: Sums of logarithms over a join are taken in whole units of this fineness, so that their order is nothing to them.
 _UNITS = 2.0**36
-SEGMENT = 1 << 22
+#: Bits of a segment, which one task builds, and of a line of it, the 64 bytes that memory is read by.
+SEGMENT, LINE = 1 << 22, 512
 _END, _START = np.uint64(0x656E64206F662074), np.uint64(0x7374617274206F66)
 TRAIN_SLICE = 12_000_000
 #: Tokens whose stored counts are handled at once.
@@ -110,20 +111,19 @@ class Filter:
     hashes: int
     data: np.ndarray  # packed bits, little bit order
 
-    def spots(self, key: np.ndarray, level: np.ndarray | int, j: int) -> np.ndarray:
-        return spot(key, level, j) + segment(key, self.segments) * np.uint64(SEGMENT)
-
     def counts(self, key: np.ndarray) -> np.ndarray:
         """Quantised count of each key: questions go on, level by level, for the keys that were not refused yet."""
         q, going, level = np.zeros(len(key), np.int64), np.arange(len(key)), 0
-        while len(going):
+        offset = segment(key, self.segments) * np.uint64(SEGMENT)
+        while len(going) and level < 150:
             level += 1
+            line, bits = places(key[going], level)
+            line += offset[going]
             for j in range(self.hashes):
-                at = self.spots(key[going], level, j)
-                going = going[(self.data[at >> np.uint64(3)] >> (at & np.uint64(7)).astype(np.uint8) & 1).astype(bool)]
+                at = line | inside(bits, j)
+                hit = (self.data.take((at >> np.uint64(3)).view(np.int64)) >> (at & np.uint64(7)).astype(np.uint8) & 1).astype(bool)
+                going, line, bits = going[hit], line[hit], bits[hit]
             q[going] = level
-            if level >= 150:
-                break
         return q
 
 
@@ -159,9 +159,15 @@ def segment(key: np.ndarray, segments: int) -> np.ndarray:
     return (key >> np.uint64(40)) % np.uint64(segments)
 
 
-def spot(key: np.ndarray, level: np.ndarray | int, j: int) -> np.ndarray:
-    """The bit of hash j for (key, level) inside its segment."""
-    return mix(key + np.uint64(j), np.asarray(level, np.uint64)) & np.uint64(SEGMENT - 1)
+def places(key: np.ndarray, level: np.ndarray | int) -> tuple[np.ndarray, np.ndarray]:
+    """For each (key, level) its line inside the segment, at which all its bits lie, so that a question touches memory once; and the bits' source."""
+    h = mix(key, np.asarray(level, np.uint64))
+    return (h >> np.uint64(20)) & np.uint64(SEGMENT - LINE), mix(h, key)
+
+
+def inside(bits: np.ndarray, j: int) -> np.ndarray:
+    """The bit of hash j in its line."""
+    return (bits >> np.uint64(9 * j)) & np.uint64(LINE - 1)
 
 
 def build_filter(counts: DataFrame, *, rate: float = RATE, max_bits: int = MAX_BITS) -> Filter | Spread:
@@ -169,7 +175,7 @@ def build_filter(counts: DataFrame, *, rate: float = RATE, max_bits: int = MAX_B
     q = F.floor(F.log(F.col("c").cast("double")) / math.log(STEP) + 1e-9) + 1
     entries = counts.agg(F.sum(q)).first()[0] or 0
     bits = max(SEGMENT, math.ceil(entries * math.log2(1 / rate) / math.log(2)))
-    segments, hashes = -(-bits // SEGMENT), max(1, round(math.log2(1 / rate)))
+    segments, hashes = -(-bits // SEGMENT), max(1, min(7, round(math.log2(1 / rate))))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         maps: dict[int, np.ndarray] = {}
@@ -182,8 +188,9 @@ def build_filter(counts: DataFrame, *, rate: float = RATE, max_bits: int = MAX_B
             for s in np.unique(place):
                 here = maps.setdefault(int(s), np.zeros(SEGMENT, bool))
                 mine = place == s
+                line, bits = places(each[mine], of[mine])
                 for j in range(hashes):
-                    here[spot(each[mine], of[mine], j)] = True
+                    here[line | inside(bits, j)] = True
         for s, here in maps.items():
             yield pa.RecordBatch.from_arrays([pa.array([s]), pa.array([np.packbits(here, bitorder="little").tobytes()], pa.binary())], ["segment", "data"])
 
