@@ -41,6 +41,22 @@ def scratch(spark: SparkSession, name: str) -> str:
     return f"{_session_folder(spark, shared_folder(spark))}/{name}-{uuid.uuid4().hex}"
 
 
+#: Spark drops a query's shuffle files at its end where this is set, not when the driver happens to collect garbage.
+_CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
+
+def store(df: DataFrame, path: str, **options) -> DataFrame:
+    """``df`` as a table in the shared folder, read back: computed once, safe from lost executors, and its shuffle files are gone."""
+    spark = df.sparkSession
+    before = spark.conf.get(_CLEANUP, "false")
+    spark.conf.set(_CLEANUP, "true")
+    try:
+        df.write.options(**options).parquet(path)
+    finally:
+        spark.conf.set(_CLEANUP, before)
+    return spark.read.schema(df.schema).parquet(path)
+
+
 def ensure_checkpoint_dir(spark: SparkSession) -> None:
     """Gives the context the session's checkpoint folder, if it has none yet."""
     shared_folder(spark)

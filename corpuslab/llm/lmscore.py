@@ -27,7 +27,7 @@ from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Words, mix, row_sums, scratch, slices, utf8
+from .common import Words, mix, row_sums, scratch, slices, store, utf8
 
 #: Step of the count scale; false positives of one question; largest filter that is broadcast.
 STEP, RATE, MAX_BITS = 1.5, 1 / 128, 1 << 30
@@ -40,7 +40,7 @@ _UNITS = 2.0**36
 #: Bits of a segment, which one task builds, and of a line of it, the 64 bytes that memory is read by.
 SEGMENT, LINE = 1 << 22, 512
 _END, _START = np.uint64(0x656E64206F662074), np.uint64(0x7374617274206F66)
-TRAIN_SLICE = 12_000_000
+TRAIN_SLICE = 8_000_000
 #: Tokens whose stored counts are handled at once.
 LEVELS_SLICE = 500_000
 
@@ -196,12 +196,12 @@ def build_filter(counts: DataFrame, *, rate: float = RATE, max_bits: int = MAX_B
 
     place = F.pmod(F.shiftrightunsigned("key", 40), F.lit(segments))
     built = counts.repartition(segments, place).select("key", "c").mapInArrow(run, "segment bigint, data binary")
+    path = scratch(counts.sparkSession, "lm-filter")
+    stored = store(built, path)
     if bits > max_bits:
-        path = scratch(counts.sparkSession, "lm-filter")
-        built.write.parquet(path)
         return Spread(segments, hashes, path)
     data = np.zeros(segments * SEGMENT // 8, np.uint8)
-    for s, part in built.groupBy("segment").agg(F.max("data")).toLocalIterator():
+    for s, part in stored.toLocalIterator():  # each segment is one row
         data[s * SEGMENT // 8 : (s + 1) * SEGMENT // 8] = np.frombuffer(part, np.uint8)
     return Filter(segments, hashes, data)
 
@@ -228,9 +228,7 @@ class Model:
 
 def train(docs: DataFrame, *, head: int = HEAD, **options) -> tuple[Model, DataFrame]:
     """The model of ``docs(text, held_out)`` and the stored counts of all words; ``options`` are those of ``build_filter``."""
-    spark, path = docs.sparkSession, scratch(docs.sparkSession, "lm-counts")
-    count(docs).write.parquet(path)
-    counts = spark.read.schema("key bigint, c bigint").parquet(path)
+    counts = store(count(docs), scratch(docs.sparkSession, "lm-counts"))
     words = counts.where("key % 2 = 0")
     n, v = words.agg(F.sum("c"), F.count(F.lit(1))).first()
     most = words.orderBy(F.desc("c"), "key").limit(head).toArrow() if v > head else words.toArrow()
@@ -272,7 +270,6 @@ _READ = "n_tokens bigint, known bigint, base double, rare array<bigint>, levels
 
 def read(docs: DataFrame, model: Model, shared) -> DataFrame:
     """``read_slice`` of all ``docs(doc_id, text, held_out)``, stored, with a number ``row`` for each row."""
-    spark, path = docs.sparkSession, scratch(docs.sparkSession, "lm-levels")
     schema = f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, held_out boolean, {_READ}"
 
     def told(ids, texts, held_out, model: Model) -> tuple[list[pa.Array], list[str]]:
@@ -295,21 +292,19 @@ def read(docs: DataFrame, model: Model, shared) -> DataFrame:
 
         texts = _chunks(docs)
         rows = texts.groupBy("chunk").cogroup(ask(texts, model.filter).groupBy("chunk")).applyInArrow(joined, schema)
-    rows.withColumn("row", F.monotonically_increasing_id()).write.parquet(path)
-    return spark.read.schema(f"{schema}, row bigint").parquet(path)
+    return store(rows.withColumn("row", F.monotonically_increasing_id()), scratch(docs.sparkSession, "lm-levels"))
 
 
 def _chunks(docs: DataFrame) -> DataFrame:
     """``docs`` stored with the number of a chunk of about a slice's bytes."""
-    path, schema = scratch(docs.sparkSession, "lm-chunks"), f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, text string, held_out boolean, chunk bigint"
+    schema = f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, text string, held_out boolean, chunk bigint"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         first = TaskContext.get().partitionId() << 33
         for n, b in enumerate(slices(batches, 1)):
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(np.full(b.num_rows, first + n))], ["doc_id", "text", "held_out", "chunk"])
 
-    docs.select("doc_id", "text", "held_out").mapInArrow(run, schema).write.parquet(path)
-    return docs.sparkSession.read.schema(schema).parquet(path)
+    return store(docs.select("doc_id", "text", "held_out").mapInArrow(run, schema), scratch(docs.sparkSession, "lm-chunks"))
 
 
 def ask(texts: DataFrame, filter: Spread) -> DataFrame:

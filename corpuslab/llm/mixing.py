@@ -14,7 +14,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import scratch
+from .common import scratch, store
 
 MOST = 3
 #: Sources whose rows come to the driver at most.
@@ -127,9 +127,7 @@ def take(docs: DataFrame, *, weights: tuple[float, ...] = WEIGHTS, most: int = M
     row = F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row")
     h = F.xxhash64("doc_id", F.lit(seed))
     docs = docs.select(row, "doc_id", "source", "size", h.alias("h"), F.pmod(h, F.lit(BUCKETS)).cast("int").alias("b"))
-    path = scratch(spark, "mix-lengths")
-    docs.groupBy("source", "size", "b").agg(F.count(F.lit(1)).alias("n")).write.parquet(path)
-    counts = spark.read.parquet(path)
+    counts = store(docs.groupBy("source", "size", "b").agg(F.count(F.lit(1)).alias("n")), scratch(spark, "mix-lengths"))
     targets = plan_targets(counts.groupBy("source").agg(F.sum(F.col("size") * F.col("n")).cast("long").alias("source_size")), weights, most)
     by_length = counts.groupBy("source", "size").agg(F.sum("n").alias("n"))
     joined = by_length.join(targets, by_length["source"].eqNullSafe(targets["source"])).drop(targets["source"])

@@ -22,7 +22,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import ensure_checkpoint_dir, scratch, slices, utf8
+from .common import ensure_checkpoint_dir, scratch, slices, store, utf8
 from .components import SALTS, components, look_up, roots_of
 
 SHINGLE, THRESHOLD, SEED = 4, 4, 42
@@ -195,9 +195,7 @@ def duplicate_classes(docs: DataFrame, *, most: int = LOAD) -> tuple[DataFrame,
 
 def _written(df: DataFrame, name: str) -> DataFrame:
     """``df`` as a table in the shared folder: computed once, and safe from lost executors."""
-    path = scratch(df.sparkSession, name)
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    return store(df, scratch(df.sparkSession, name))
 
 
 def near_duplicates(docs: DataFrame) -> DataFrame:

@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import Words, scratch, slices
+from .common import Words, scratch, slices, store
 from .rangecoder import pack_block, unpack_block
 
 #: Ids that a block is closed at; a document is never cut.
@@ -239,7 +239,7 @@ def write(docs: DataFrame, path: str, vocab_path: str, *, end: int = END_ID, blo
 
     coded = docs.select(F.col("doc_id").cast("long"), "text", F.xxhash64("text")).mapInArrow(tokens, "doc_id bigint, h bigint, part int, ids binary")
     dealt = coded.repartitionById(len(bounds) + 1, "part").sortWithinPartitions("part", F.col("doc_id").asc_nulls_first(), "h").select("doc_id", "part", "ids")
-    dealt.mapInArrow(blocks, "part int, block bigint, ids bigint, data binary").write.option("compression", "none").parquet(path)
+    store(dealt.mapInArrow(blocks, "part int, block bigint, ids bigint, data binary"), path, compression="none")
 
 
 def read(spark: SparkSession, path: str) -> DataFrame:

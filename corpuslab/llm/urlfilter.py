@@ -18,7 +18,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.functions import pandas_udf
 
-from .common import mix, scratch
+from .common import mix, scratch, store
 
 MAX_BITS = 1 << 30
 #: Parts that a host's rows are dealt to where membership comes by a join.
@@ -145,9 +145,8 @@ def build_cascade(universe: DataFrame, *, max_levels: int = 64, max_bits: int =
     The universe lies in a shared table while levels are built; each level's mistakes are found in
     the workers, and only counts and bitmaps reach the driver.
     """
-    spark, path = universe.sparkSession, scratch(universe.sparkSession, "cascade-universe")
-    universe.select("listed", *[h.alias(n) for h, n in zip(_hashes(F.col("key")), ("one", "two"))]).write.parquet(path)
-    universe = spark.read.schema("listed boolean, one bigint, two bigint").parquet(path)
+    spark = universe.sparkSession
+    universe = store(universe.select("listed", *[h.alias(n) for h, n in zip(_hashes(F.col("key")), ("one", "two"))]), scratch(spark, "cascade-universe"))
     n, listed = universe.agg(F.count(F.lit(1)), F.count_if("listed")).first()
     levels: list[Level] = []
     holds, other, size, others = universe.where("listed"), universe.where("not listed"), listed, n - listed
@@ -156,9 +155,7 @@ def build_cascade(universe: DataFrame, *, max_levels: int = 64, max_bits: int =
         if sum(x.bits for x in levels) + level_size(size, rate)[0] > max_bits:
             return None
         levels.append(build_level(holds, size, rate, len(levels)))
-        path = scratch(spark, "cascade-level")
-        _let_through(other, levels[-1]).write.parquet(path)
-        mistaken = spark.read.schema("one bigint, two bigint").parquet(path)
+        mistaken = store(_let_through(other, levels[-1]), scratch(spark, "cascade-level"))
         holds, other, size, others = mistaken, holds, mistaken.count(), size
     if size:
         raise RuntimeError("cascade did not end")
