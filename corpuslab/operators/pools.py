@@ -90,7 +90,8 @@ def mixture_plan(weighted: DataFrame, total: float, size: str = "tokens") -> Dat
 
 def sample_mixture(docs: DataFrame, plan: DataFrame, key: str, seed: str = "mix") -> DataFrame:
     """Every document floor(epochs) times, and once more for the md5 share that is left; ``epoch`` numbers the copies. No shuffle: the plan is a row for each pool."""
-    epochs = docs.join(F.broadcast(plan.select(key, "epochs")), key)
+    pools = F.broadcast(plan.select(F.col(key).alias("_pool"), "epochs"))
+    epochs = docs.join(pools, F.col(key).eqNullSafe(F.col("_pool"))).drop("_pool")  # documents without a pool are one, too
     more = (bucket(seed, F.col("doc_id")) < (F.col("epochs") - F.floor("epochs")) * F.lit(2.0**32)).cast("int")
     copies = epochs.withColumn("_n", (F.floor("epochs") + more).cast("int")).where("_n > 0")
     return copies.select("*", F.explode(F.sequence(F.lit(1), F.col("_n"))).alias("epoch")).drop("_n", "epochs")

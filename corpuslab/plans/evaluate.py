@@ -387,10 +387,12 @@ def gather_logits_equal(spark, sf_dir):
 
 @query("SELECT (SELECT count(DISTINCT label) FROM embeddings) * count(*) AS naive_rows, (SELECT count(DISTINCT label) FROM embeddings) * count(*) FILTER (vec_id % 10 = 9) AS gathered_rows FROM embeddings")
 def gather_row_counts(spark, sf_dir):
-    emb = load(spark, sf_dir, "embeddings").select("vec_id", "label")
-    labels = emb.agg(F.countDistinct("label").alias("v"))
-    told = emb.agg(F.count(F.lit(1)).alias("n"), F.count_if(F.col("vec_id") % 10 == 9).alias("k")).crossJoin(labels)
-    return told.select((F.col("n") * F.col("v")).alias("naive_rows"), (F.col("k") * F.col("v")).alias("gathered_rows"))
+    """Rows that the naive plan and the gathered one produce, each run."""
+    emb = load(spark, sf_dir, "embeddings")
+    hidden, head = E.hidden_states(emb), E.head_rows(emb)
+    naive = E.full_logits(hidden, head).agg(F.count("logit").alias("naive_rows"))
+    less = E.gathered_logits(hidden, head, hidden.where("needed").select("seq", "pos")).agg(F.count("logit").alias("gathered_rows"))
+    return naive.crossJoin(F.broadcast(less))
 
 
 @query("""WITH each AS (SELECT label, unnest(embedding) AS x, unnest(range(1, len(embedding) + 1)) AS i FROM embeddings),
