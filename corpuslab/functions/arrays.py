@@ -13,3 +13,13 @@ def grams(items: Column, n: int, glue: str = " ") -> Column:
     for j in range(1, n):
         out = F.zip_with(out, F.slice(items, F.lit(j + 1), count), lambda a, b: F.concat_ws(glue, a, b))
     return out
+
+
+def hashed_grams(items: Column, n: int) -> Column:
+    """A 64-bit number for each run of ``n`` neighbours, in their order. Numbers are chained instead of strings, so no run is ever built as text; equal numbers are candidates, not yet equal runs."""
+    count = F.greatest(F.size(items) - (n - 1), F.lit(0))
+    each = F.transform(items, lambda x: F.xxhash64(x))
+    out = F.slice(each, F.lit(1), count)
+    for j in range(1, n):
+        out = F.zip_with(out, F.slice(each, F.lit(j + 1), count), lambda a, b: F.xxhash64(a, b))
+    return out

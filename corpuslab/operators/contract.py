@@ -97,20 +97,21 @@ RESPONDERS = ("oracle", "always_call", "never_call", "undertrained", "safety_hea
 
 
 def fixture_responder(tagged: DataFrame, kind: str) -> DataFrame:
-    """Observations of a fixture system over ``tagged`` turns with manifests; pure expressions of md5, not measurements of any model."""
+    """Observations of a fixture system over ``tagged`` turns with manifests; pure expressions of md5, not measurements of any model. ``random`` calls any declared tool or none, each as likely."""
     h = bucket("resp", F.col("conv_id"), F.col("turn"))
     tools = F.create_map(*[F.lit(x) for kv in TOOL_OF.items() for x in kv])
     right = F.when(F.col("condition") == "A", F.element_at(tools, F.col("task")))
     lang = F.when(F.col("conv_id") % 2 == 0, "en").otherwise("lrl")
+    names = F.coalesce(F.transform("manifest", lambda m: m["name"]), F.array().cast("array<string>"))
     answers = {
         "oracle": right,
         "always_call": F.when(h % 7 == 0, "open_portal").otherwise(F.coalesce(F.element_at(tools, F.col("task")), F.lit("list_news"))),
         "never_call": F.lit(None).cast("string"),
         "undertrained": F.when((F.col("condition") == "A") & (F.col("task") == "units"), F.lit(None).cast("string")).when((F.col("condition") == "C") & (lang == "lrl") & (h % 5 == 0), "read_weather").otherwise(right),
+        "random": F.get(names, (h % (F.size(names) + 1)).cast("int") - 1),
         "safety_heavy": F.when((F.col("condition") == "A") & (h % 3 == 0), F.lit(None).cast("string")).otherwise(right),
     }
-    declared = F.coalesce(F.transform("manifest", lambda m: m["name"]), F.array().cast("array<string>"))
-    return tagged.select((F.col("conv_id") * 1000 + F.col("turn")).alias("probe"), "condition", "task", lang.alias("lang"), declared.alias("declared"), answers[kind].alias("called"))
+    return tagged.select((F.col("conv_id") * 1000 + F.col("turn")).alias("probe"), "condition", "task", lang.alias("lang"), names.alias("declared"), answers[kind].alias("called"))
 
 
 def acceptance_replay(spark: SparkSession) -> DataFrame:
@@ -133,6 +134,18 @@ def tradeoff_front(metrics: DataFrame) -> DataFrame:
     return a.join(b, no_worse & better, "left_anti")
 
 
+def objective_correlation(metrics: DataFrame, one: str = "refusal_gap", two: str = "tool_rate") -> DataFrame:
+    """Correlation of values and of ranks (ties share their mean rank) of two measures over a small table of checkpoints; positive where a smaller gap goes with fewer calls."""
+    from pyspark.sql import Window
+
+    def place(c: str) -> Column:
+        by = F.rank().over(Window.partitionBy(F.lit(0)).orderBy(c))
+        return by + (F.count(F.lit(1)).over(Window.partitionBy(c)) - 1) / 2
+
+    told = metrics.select(F.col(one).alias("a"), F.col(two).alias("b"), place(one).alias("ra"), place(two).alias("rb"))
+    return told.agg(F.count(F.lit(1)).alias("n"), F.round(F.corr("a", "b"), 6).alias("pearson"), F.round(F.corr("ra", "rb"), 6).alias("spearman"))
+
+
 def tradeoff_metrics(spark: SparkSession) -> DataFrame:
     """Invented values of the shape of the published sweep."""
     rows = [("v1", 1e-5, 0.40, 0.90), ("v1", 3e-5, 0.42, 0.92), ("v2", 1e-5, 0.10, 0.62), ("v2", 3e-5, 0.06, 0.55), ("v2", 1e-4, 0.08, 0.50), ("v3", 1e-5, 0.12, 0.80), ("v3", 3e-5, 0.09, 0.84), ("v3", 1e-4, 0.15, 0.70)]

@@ -112,10 +112,11 @@ def throughput(events: DataFrame, window: str = "1 hour") -> DataFrame:
     return by.agg(F.count(F.lit(1)).alias("n"), F.round(F.sum("value"), 4).alias("units")).select(F.col("w.start").alias("start"), "n", "units")
 
 
-def slow_steps(steps: DataFrame, k: int = 10, ratio: float = 0.5, *, order: list[str], by: list[str], rate: str = "value") -> DataFrame:
-    """Steps whose rate is below ``ratio`` of the mean of the ``k`` before: a silent fall-back to a slow path."""
+def slow_steps(steps: DataFrame, k: int = 10, ratio: float = 0.5, *, order: list[str], by: list[str], rate: str = "value", centre: str = "mean") -> DataFrame:
+    """Steps whose rate is below ``ratio`` of the mean (or lower median) of the ``k`` before: a silent fall-back to a slow path."""
     before = Window.partitionBy(*by).orderBy(*order).rowsBetween(-k, -1)
-    trailing = steps.withColumn("trailing", F.avg(rate).over(before)).withColumn("_n", F.count(rate).over(before))
+    middle = F.percentile_approx(rate, 0.5, 1_000_000) if centre == "median" else F.avg(rate)
+    trailing = steps.withColumn("trailing", middle.over(before)).withColumn("_n", F.count(rate).over(before))
     return trailing.where((F.col("_n") == k) & (F.col(rate) < ratio * F.col("trailing"))).drop("_n")
 
 

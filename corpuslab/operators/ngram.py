@@ -34,21 +34,26 @@ def train(df: DataFrame, order: int, by: list[str] | None = None, text: str = "t
 
 
 class AddK:
-    """(c(h, w) + k) / (c(h) + k (V + 1)) over one table of counts."""
+    """(c(h, w) + k) / (c(h) + k (V + 1)) over one table of counts; with ``by``, a model for each of that column's values, all in one plan."""
 
-    def __init__(self, counts: DataFrame, k: float = 1.0):
-        self.counts, self.k = counts, k
-        self.contexts = counts.groupBy("context").agg(F.sum("cnt").alias("ch"))
-        self.vocabulary = counts.select("token").distinct().count()
+    def __init__(self, counts: DataFrame, k: float = 1.0, by: str | None = None):
+        self.counts, self.k, self.keys = counts, k, [by] if by else []
+        self.contexts = counts.groupBy(*self.keys, "context").agg(F.sum("cnt").alias("ch"))
+        if by:  # a row for each value
+            self.vocabulary = counts.select(by, "token").distinct().groupBy(by).agg(F.count(F.lit(1)).alias("_v"))
+        else:
+            self.vocabulary = counts.select("token").distinct().count()
 
     def probs(self, needed: DataFrame) -> DataFrame:
-        """``needed`` with ``logp``. Only needed pairs are looked up: counts are semi-joined with them before the join."""
-        pairs = needed.select("context", "token").distinct()
-        here = self.counts.join(pairs, ["context", "token"], "left_semi")
-        heads = self.contexts.join(pairs.select("context").distinct(), "context", "left_semi")
-        told = needed.join(here.select("context", "token", "cnt"), ["context", "token"], "left").join(heads, "context", "left")
-        p = (F.coalesce("cnt", F.lit(0)) + self.k) / (F.coalesce("ch", F.lit(0)) + self.k * (self.vocabulary + 1))
-        return told.withColumn("logp", F.log(p)).drop("cnt", "ch")
+        """``needed`` with ``logp``. Only needed pairs are looked up: counts are semi-joined with them before the join. A value of ``by`` without counts has no probability."""
+        pair, head = [*self.keys, "context", "token"], [*self.keys, "context"]
+        pairs = needed.select(*pair).distinct()
+        here = self.counts.join(pairs, pair, "left_semi")
+        heads = self.contexts.join(pairs.select(*head).distinct(), head, "left_semi")
+        told = needed.join(here.select(*pair, "cnt"), pair, "left").join(heads, head, "left")
+        told = told.join(self.vocabulary, self.keys, "left") if self.keys else told.withColumn("_v", F.lit(self.vocabulary))
+        p = (F.coalesce("cnt", F.lit(0)) + self.k) / (F.coalesce("ch", F.lit(0)) + self.k * (F.col("_v") + 1))
+        return told.withColumn("logp", F.log(p)).drop("cnt", "ch", "_v")
 
 
 class Interpolated:
@@ -89,6 +94,12 @@ def score(df: DataFrame, model, order: int, keys: list[str], text: str = "text")
     return scored.groupBy(*keys).agg(F.sum("logp").alias("ll"), F.count(F.lit(1)).alias("n_tokens"))
 
 
+def score_groups(df: DataFrame, model, order: int, by: list[str], text: str = "text") -> DataFrame:
+    """``score`` of whole groups. Occurrences are counted first, so the model is asked once for each group's distinct n-gram and a frequent context is no hot key of occurrences."""
+    asked = train(df, order, by, text).withColumnRenamed("cnt", "times")
+    return model.probs(asked).groupBy(*by).agg(F.sum(F.col("times") * F.col("logp")).alias("ll"), F.sum("times").alias("n_tokens"))
+
+
 def bits_per_byte(nll: Column, n_bytes: Column) -> Column:
     return nll / (F.lit(math.log(2)) * n_bytes)
 
@@ -105,6 +116,13 @@ def loss_report(scored: DataFrame, by: list[str]) -> DataFrame:
     )
 
 
+def tokenizer_invariance(scored: DataFrame, by: list[str], units: dict[str, Column]) -> DataFrame:
+    """One model's loss over ``scored(ll, n_bytes, ...)`` under several ways to count tokens: nats for each unit follow the unit, bits per byte don't move."""
+    sums = scored.groupBy(*by).agg(F.sum("ll").alias("ll"), F.sum("n_bytes").alias("_b"), *[F.sum(c).alias(u) for u, c in units.items()])
+    rows = sums.unpivot([*by, "ll", "_b"], list(units), "unit", "n_units")
+    return rows.select(*by, "unit", "n_units", F.round(-F.col("ll") / F.col("n_units"), 6).alias("nats_per_unit"), F.round(bits_per_byte(-F.col("ll"), F.col("_b")), 6).alias("bits_per_byte"))
+
+
 def assert_same_script(report: DataFrame, script: str = "script") -> DataFrame:
     """The report; ends the query if it would rank bits per byte across scripts."""
     several = report.agg(F.countDistinct(script).alias("_k"))

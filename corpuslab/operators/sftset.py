@@ -97,11 +97,11 @@ def _segment(kind: str, text: Column, trainable: bool) -> Column:
     return F.struct(F.lit(kind).alias("kind"), text.alias("text"), F.lit(trainable).alias("trainable"))
 
 
-def segments(manifests: DataFrame, answers: DataFrame) -> DataFrame:
-    """``conv_id``, ``turn`` and ``segments``: manifest and user masked, the assistant's part trained. Turns without an answer are left out, but for B's."""
+def segments(manifests: DataFrame, answers: DataFrame, lang: Column | None = None) -> DataFrame:
+    """``conv_id``, ``turn`` and ``segments``: manifest and user masked, the assistant's part trained. Turns without an answer are left out, but for B's, whose answer is the declining turn of ``lang``."""
     told = manifests.join(answers, ["conv_id", "turn"], "left")
     call = F.concat(F.lit("<call>"), F.col("tool"))
-    answer = F.when(F.col("condition") == "A", call).when(F.col("condition") == "B", F.lit(DECLINE["en"])).otherwise(F.col("answer"))
+    answer = F.when(F.col("condition") == "A", call).when(F.col("condition") == "B", decline_turn(F.lit("en") if lang is None else lang)).otherwise(F.col("answer"))
     parts = F.array(
         F.when(F.col("manifest").isNotNull(), _segment("manifest", F.to_json("manifest"), False)),
         _segment("user", F.col("text"), False),
@@ -135,9 +135,14 @@ def manifest_leaks(sft: DataFrame) -> DataFrame:
     return sft.where(leaks)
 
 
-def mixture_report(sft: DataFrame) -> DataFrame:
-    """Volume by task and condition with all totals, which shows thin categories."""
-    return sft.cube("task", "condition").agg(F.count(F.lit(1)).alias("n"), F.grouping_id().cast("int").alias("level"))
+def turn_lang(conv_id: Column) -> Column:
+    """The fixture language of a conversation: the languages of the declining turns, in turn."""
+    return F.element_at(F.array(*map(F.lit, DECLINE)), (F.pmod(conv_id, F.lit(len(DECLINE))) + 1).cast("int"))
+
+
+def mixture_report(sft: DataFrame, axes: tuple[str, ...] = ("task", "condition")) -> DataFrame:
+    """Volume by task and condition (and any further axis) with all totals, which shows thin categories."""
+    return sft.cube(*axes).agg(F.count(F.lit(1)).alias("n"), F.grouping_id().cast("int").alias("level"))
 
 
 def build_set(conv: DataFrame, version: str, *, safety: DataFrame | None = None, share: float = 0.1) -> DataFrame:

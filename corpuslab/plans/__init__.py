@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import importlib
 
-MODULES = ("tokenizer", "hardware", "corpus", "instruct", "evaluate", "relational", "streams")
+MODULES = ("tokenizer", "hardware", "corpus", "instruct", "evaluate", "generalise", "relational", "streams")
 
 
 def load():

@@ -170,16 +170,20 @@ n AS (SELECT c, w, count(*) AS n FROM b WHERE NOT h GROUP BY ALL), m AS (SELECT
 s AS (SELECT b.doc_id, b.lang, ln((coalesce(n.n, 0) + 0.1::double) / (coalesce(m.m, 0) + 0.1::double * (v.v + 1))) AS lp FROM b LEFT JOIN n ON b.c = n.c AND b.w = n.w LEFT JOIN m ON b.c = m.c, v WHERE b.h)"""
 
 
-def _scored(spark, sf_dir):
+def _loss(spark, sf_dir, **sizes):
+    """Held-out loss by language, ``ll`` and ``n_tokens``, with sums of ``sizes`` over the texts that have words."""
     docs = pools.split_holdout(_docs(spark, sf_dir).select("doc_id", "lang", "text"))
-    model = ngram.AddK(ngram.train(docs.where("not held_out"), 2), 0.1)
-    return docs, ngram.score(docs.where("held_out"), model, 2, ["doc_id", "lang"])
+    held = docs.where("held_out")
+    loss = ngram.score_groups(held, ngram.AddK(ngram.train(docs.where("not held_out"), 2), 0.1), 2, ["lang"])
+    if not sizes:
+        return loss
+    words = held.where(F.col("text").rlike(r"\S"))
+    return loss.join(words.groupBy("lang").agg(*[F.sum(c).alias(k) for k, c in sizes.items()]), "lang")
 
 
 @query(f"{_LM} SELECT lang, count(*) AS tokens, round(-sum(lp) / count(*), 6) AS nats_per_token FROM s GROUP BY lang")
 def lm_holdout_nll_addk(spark, sf_dir):
-    _, scored = _scored(spark, sf_dir)
-    return scored.groupBy("lang").agg(F.sum("n_tokens").alias("tokens"), F.round(-F.sum("ll") / F.sum("n_tokens"), 6).alias("nats_per_token"))
+    return _loss(spark, sf_dir).select("lang", F.col("n_tokens").alias("tokens"), F.round(-F.col("ll") / F.col("n_tokens"), 6).alias("nats_per_token"))
 
 
 _SMOOTHED = rf"""WITH d AS (SELECT {_T} AS t, {_H} AS h FROM documents),
@@ -216,25 +220,21 @@ def lm_smoothing(spark, sf_dir):
 
 @query(f"{_LM}, l AS (SELECT doc_id, lang, sum(lp) AS ll FROM s GROUP BY ALL) SELECT l.lang, round(-sum(ll) / (ln(2) * sum(strlen(text))), 6) AS bits_per_byte FROM l JOIN documents USING (doc_id) GROUP BY l.lang")
 def bpb_by_lang(spark, sf_dir):
-    docs, scored = _scored(spark, sf_dir)
-    told = scored.join(docs.select("doc_id", F.octet_length("text").alias("n_bytes")), "doc_id")
-    return told.groupBy("lang").agg(F.round(ngram.bits_per_byte(-F.sum("ll"), F.sum("n_bytes")), 6).alias("bits_per_byte"))
+    told = _loss(spark, sf_dir, n_bytes=F.octet_length("text"))
+    return told.select("lang", F.round(ngram.bits_per_byte(-F.col("ll"), F.col("n_bytes")), 6).alias("bits_per_byte"))
 
 
 @query(f"""{_LM}, l AS (SELECT doc_id, lang, sum(lp) AS ll FROM s GROUP BY ALL), j AS (SELECT l.lang, sum(ll) AS ll, sum(strlen(text)) AS b, sum(strlen({V.sql_abugida('text')})) AS m FROM l JOIN documents USING (doc_id) GROUP BY l.lang)
 SELECT lang, round(-ll / (ln(2) * b), 6) AS latin, round(-ll / (ln(2) * m), 6) AS marked, round(m::double / b, 6) AS byte_ratio FROM j""")
 def bpb_script_effect(spark, sf_dir):
     """One loss over two scripts: bits per byte fall by exactly the ratio of bytes."""
-    docs, scored = _scored(spark, sf_dir)
-    told = scored.join(docs.select("doc_id", F.octet_length("text").alias("b"), F.octet_length(V.abugida_view(F.col("text"))).alias("m")), "doc_id")
-    by = told.groupBy("lang").agg(F.sum("ll").alias("ll"), F.sum("b").alias("b"), F.sum("m").alias("m"))
+    by = _loss(spark, sf_dir, b=F.octet_length("text"), m=F.octet_length(V.abugida_view(F.col("text"))))
     return by.select("lang", F.round(ngram.bits_per_byte(-F.col("ll"), F.col("b")), 6).alias("latin"), F.round(ngram.bits_per_byte(-F.col("ll"), F.col("m")), 6).alias("marked"), F.round(F.col("m") / F.col("b"), 6).alias("byte_ratio"))
 
 
 @query(rf"""{_LM}, l AS (SELECT doc_id, lang, sum(lp) AS ll, count(*) AS n FROM s GROUP BY ALL), j AS (SELECT l.lang, sum(ll) AS ll, sum(n) AS n, sum(strlen(text)) AS b, sum(length(text)) AS c, sum({_W}) AS w FROM l JOIN documents USING (doc_id) GROUP BY l.lang)
 SELECT lang, round(-ll / (ln(2) * b), 6) AS bits_per_byte, round(-ll / ln(2) / c, 6) AS bits_per_char, round(-ll / n, 6) AS nats_per_token, round(-ll / w, 6) AS nats_per_word, round(exp(-ll / n), 2) AS perplexity FROM j""")
 def loss_report(spark, sf_dir):
-    docs, scored = _scored(spark, sf_dir)
     t = F.col("text")
-    told = scored.join(docs.select("doc_id", F.length(t).alias("n_chars"), F.octet_length(t).alias("n_bytes"), F.regexp_count(t, F.lit(r"\S+")).alias("n_words")), "doc_id")
+    told = _loss(spark, sf_dir, n_chars=F.length(t), n_bytes=F.octet_length(t), n_words=F.regexp_count(t, F.lit(r"\S+")))
     return ngram.loss_report(told, ["lang"])

@@ -36,10 +36,11 @@ def mcq_shots(spark, sf_dir):
 
 
 def _models(spark, sf_dir, order: int = 2, ratio: int = 8):
-    """English counts over all documents; the other side's over every ``ratio``-th, in the marked script: less of it, as published."""
-    docs = load(spark, sf_dir, "documents").select("doc_id", "text")
-    less = docs.where(V.bucket("lrl", F.col("doc_id")) % ratio == 0).select("doc_id", V.abugida_view(F.col("text")).alias("text"))
-    return {"EN": ngram.AddK(ngram.train(docs, order), 0.01), "LRL": ngram.AddK(ngram.train(less, order), 0.01)}
+    """One model by language: English counts over all documents; the other side's over every ``ratio``-th, in the marked script: less of it, as published."""
+    t, told = F.col("text"), F.struct(F.lit("EN").alias("lang"), F.col("text").alias("text"))
+    less = F.when(V.bucket("lrl", F.col("doc_id")) % ratio == 0, F.struct(F.lit("LRL").alias("lang"), V.abugida_view(t).alias("text")))
+    docs = load(spark, sf_dir, "documents").select(F.explode(F.array_compact(F.array(told, less))).alias("_x")).select("_x.*")
+    return ngram.AddK(ngram.train(docs, order, ["lang"]), 0.01, "lang")
 
 
 def _scores(spark, sf_dir, formats=("text", "letter"), shots: int = 0, order: int = 2):
