@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 
@@ -15,11 +15,13 @@ def grams(items: Column, n: int, glue: str = " ") -> Column:
     return out
 
 
+def once(df: DataFrame, *keep: str, **columns: Column) -> DataFrame:
+    """``keep`` and computed ``columns``, each computed once a row: the step between stops the optimizer from writing a costly expression out at each of its later uses."""
+    held = F.explode(F.array(F.struct(*[c.alias(k) for k, c in columns.items()]))).alias("_once")
+    return df.select(*keep, held).select(*keep, *[F.col(f"_once.{k}").alias(k) for k in columns])
+
+
 def hashed_grams(items: Column, n: int) -> Column:
-    """A 64-bit number for each run of ``n`` neighbours, in their order. Numbers are chained instead of strings, so no run is ever built as text; equal numbers are candidates, not yet equal runs."""
+    """A 64-bit number for each run of ``n`` neighbours, in their order; no run is built as text. Equal numbers are candidates, not yet equal runs. ``items`` should be a column that ``once`` made."""
     count = F.greatest(F.size(items) - (n - 1), F.lit(0))
-    each = F.transform(items, lambda x: F.xxhash64(x))
-    out = F.slice(each, F.lit(1), count)
-    for j in range(1, n):
-        out = F.zip_with(out, F.slice(each, F.lit(j + 1), count), lambda a, b: F.xxhash64(a, b))
-    return out
+    return F.transform(F.slice(items, F.lit(1), count), lambda x, i: F.xxhash64(x, *[F.get(items, i + j) for j in range(1, n)]))

@@ -7,7 +7,7 @@ import math
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.arrays import grams
+from ..functions.arrays import grams, once
 
 START, END = "<s>", "</s>"
 
@@ -19,7 +19,8 @@ def tokens(text: Column) -> Column:
 
 def spans(df: DataFrame, order: int, keys: list[str], text: str = "text") -> DataFrame:
     """``keys``, ``pos``, ``context`` (the order-1 words before, joined) and ``token``: one row for each position."""
-    padded = F.concat(F.array_repeat(F.lit(START), order - 1), tokens(F.col(text)))
+    df = once(df, *keys, _t=F.concat(F.array_repeat(F.lit(START), order - 1), tokens(F.col(text))))
+    padded = F.col("_t")
     last = F.slice(padded, F.lit(order), F.greatest(F.size(padded) - (order - 1), F.lit(0)))
     if order == 1:
         return df.select(*keys, F.posexplode(last).alias("pos", "token")).select(*keys, "pos", F.lit("").alias("context"), "token")
