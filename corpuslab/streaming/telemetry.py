@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -58,6 +59,54 @@ def contract_monitor(observations: DataFrame, window: str = "1 hour", late: str
     return by.select(F.col("w.start").alias("start"), "condition", "passed", "n", F.round(low, 6).alias("low"))
 
 
+AUTOMATON = "user_id long, begin timestamp, end timestamp, events long, outcome string"
+
+
+def drains(events: DataFrame, within: str = "30 minutes", late: str = "1 hour"):
+    """Drain and restart as a stateful automaton for each user, on a stream of events.
+
+    A fault starts a drain; the first other event within the time restarts (``restarted``), and its lack ends the drain at the limit
+    (``expired``). State is one open drain for each user and goes with it; a timer in event time ends drains that no event ends. Events
+    that one batch brings are taken in their order; a row later than the watermark has no part.
+    """
+    from pyspark.sql.streaming.state import GroupStateTimeout
+
+    limit = pd.Timedelta(within)
+
+    def row(user, begin, end, n, outcome):
+        return (user, begin, end, n, outcome)
+
+    def step(key, batches, state):
+        (user,) = key
+        out, open_ = [], None
+        if state.exists:
+            begin, n = state.get
+            open_ = (pd.Timestamp(begin, unit="us"), n)
+        if state.hasTimedOut:
+            out.append(row(user, open_[0], open_[0] + limit, open_[1], "expired"))
+            open_ = None
+        else:
+            rows = pd.concat(list(batches)).sort_values(["ts", "event_id"])
+            for ts, kind in zip(rows["ts"], rows["event_type"]):
+                if open_ and ts > open_[0] + limit:
+                    out.append(row(user, open_[0], open_[0] + limit, open_[1], "expired"))
+                    open_ = None
+                if kind == "error":
+                    open_ = (open_[0], open_[1] + 1) if open_ else (ts, 1)
+                elif open_:
+                    out.append(row(user, open_[0], ts, open_[1], "restarted"))
+                    open_ = None
+        if open_:
+            state.update((open_[0].value // 1000, open_[1]))
+            state.setTimeoutTimestamp(max((open_[0] + limit).value // 1_000_000, state.getCurrentWatermarkMs() + 1))
+        elif state.exists:
+            state.remove()
+        yield pd.DataFrame(out, columns=["user_id", "begin", "end", "events", "outcome"])
+
+    told = events.select("user_id", "ts", "event_id", "event_type").withWatermark("ts", late)
+    return told.groupBy("user_id").applyInPandasWithState(step, AUTOMATON, "begin long, n long", "append", GroupStateTimeout.EventTimeTimeout)
+
+
 def pool_counters(stream: DataFrame, path: str, checkpoint: str):
     """Incremental pool counters: each micro-batch overwrites its own partition, so a repeated batch counts once."""
 
