@@ -176,6 +176,25 @@ def test_contamination_finds_passages_inside_words(spark):
     assert got == sorted((i, d) for i, p in enumerate(passages) for d, t in enumerate(texts) if t and p in t)
 
 
+def test_ngram_overlap_against_loop(spark):
+    rng = random.Random(3)
+    texts = [" ".join(rng.choice("abc") for _ in range(rng.randint(0, 14))) for _ in range(30)] + [None, "  A  b\ta "]
+    bench = spark.createDataFrame(list(enumerate(texts[20:])), "item_id int, text string")
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id int, text string")
+    of = lambda t, n: {tuple((t or "").lower().split()[i : i + n]) for i in range(len((t or "").split()) - n + 1)}
+    for n in (1, 3, 5):
+        want = sorted((i, d, len(of(a, n) & of(b, n))) for i, a in enumerate(texts[20:]) for d, b in enumerate(texts) if of(a, n) & of(b, n))
+        assert sorted(tuple(r) for r in evaluation.ngram_overlap(bench, docs, n).collect()) == want
+
+
+def test_verdicts_of_many_pairs(spark):
+    rows = [(m, *r) for m in ("one", "two") for r in map(tuple, evaluation.published_pairs(spark).collect())] + [("one", "THIRD", "text", 900, 0.387), ("one", "THIRD", "letter", 900, 0.25)]
+    grid = spark.createDataFrame(rows, "model string, lang string, format string, n long, acc double")
+    got = {(r.model, r.lang, r.format): r.verdict for r in evaluation.diagnose_all(grid).collect()}
+    pair = {"letter": "format_artifact", "text": "comprehension_with_gap"}
+    assert got == {(m, "LRL", f): v for m in ("one", "two") for f, v in pair.items()} | {("one", "THIRD", "letter"): "format_artifact", ("one", "THIRD", "text"): "comprehension"}
+
+
 def test_language_models_sum_to_one(spark):
     df = spark.createDataFrame([(1, "a b a c a b"), (2, "b a b")], "doc_id long, text string")
     two = ngram.train(df, 2)
@@ -252,7 +271,7 @@ def test_streams_equal_their_batch_twins(spark, sf, tmp_path):
     assert spark.read.parquet(str(tmp_path / "pools")).agg(F.sum("docs")).first()[0] == docs.count()
 
 
-SAMPLE = ("tok_fragmentation_abugida", "tok_pack_sequences", "hw_param_table", "pool_rollup", "mix_sample", "bpb_by_lang", "sft_manifests", "ctr_responders", "mcq_accnorm_unigram", "dom_ngram_overlap", "mt_target_script_rate", "gather_logits_equal", "join_asof_event", "st_session")
+SAMPLE = ("dom_kl_divergence", "sft_mixture_by_lang", "cloze_last_word", "hw_slow_windows_median", "ctr_responder_random", "tok_fragmentation_abugida", "tok_pack_sequences", "hw_param_table", "pool_rollup", "mix_sample", "bpb_by_lang", "sft_manifests", "ctr_responders", "mcq_accnorm_unigram", "dom_ngram_overlap", "mt_target_script_rate", "gather_logits_equal", "join_asof_event", "st_session")
 
 
 @pytest.mark.parametrize("name", SAMPLE)
