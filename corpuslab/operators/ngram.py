@@ -7,7 +7,8 @@ import math
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.arrays import grams, once
+from ..functions.arrays import grams, hashed_grams, once
+from ..tables import cleaned
 
 START, END = "<s>", "</s>"
 
@@ -101,6 +102,29 @@ def score_groups(df: DataFrame, model, order: int, by: list[str], text: str = "t
     return model.probs(asked).groupBy(*by).agg(F.sum(F.col("times") * F.col("logp")).alias("ll"), F.sum("times").alias("n_tokens"))
 
 
+def split_loss(df: DataFrame, order: int, k: float, by: str, text: str = "text", slices: int = 2) -> dict:
+    """Log probability of the ``held_out`` rows of each value of ``by`` under an add-``k`` model of the others' contexts of that value, with one vocabulary.
+
+    The sum of log (c(h, w) + k) - log (c(h) + k (V + 1)) falls into a sum over distinct n-grams and one over distinct contexts, so nothing is
+    joined: one aggregation for each holds both sides' counts. N-grams run in ``slices`` parts of their keys (64-bit numbers), contexts in half as many, one after
+    the other, so that disk holds the keys of one part alone. Only sums by ``by`` come to the driver. ``order`` is 2 at least.
+    """
+    words = once(df, by, "held_out", _t=F.concat(F.array_repeat(F.lit(START), order - 1), tokens(F.col(text))))
+    seen = words.where("not held_out").select(F.explode(F.array_distinct(F.slice("_t", order, F.greatest(F.size("_t"), F.lit(1))))).alias("w"))
+    with cleaned(df.sparkSession):
+        vocabulary = seen.distinct().count()
+        out: dict = {}
+        for width, add, sign, parts in ((order, k, 1.0, slices), (order - 1, k * (vocabulary + 1), -1.0, max(1, slices // 2))):
+            first = F.slice(hashed_grams(F.col("_t"), width), F.lit(1), F.greatest(F.size("_t") - (order - 1), F.lit(0)))
+            for part in range(parts):
+                keys = once(words, by, "held_out", _g=F.filter(first, lambda x: F.pmod(x, F.lit(parts)) == part))  # noqa: B023
+                keys = keys.select(by, "held_out", F.explode("_g").alias("g"))
+                counts = keys.groupBy(by, "g").agg(F.count_if(~F.col("held_out")).alias("n"), F.count_if("held_out").alias("times")).where("times > 0")
+                for value, ll in counts.groupBy(by).agg(F.sum(F.col("times") * F.log(F.col("n") + F.lit(add)))).collect():
+                    out[value] = out.get(value, 0.0) + sign * ll
+    return out
+
+
 def bits_per_byte(nll: Column, n_bytes: Column) -> Column:
     return nll / (F.lit(math.log(2)) * n_bytes)
 

@@ -208,6 +208,38 @@ def test_language_models_sum_to_one(spark):
         ngram.assert_same_script(spark.createDataFrame([("latin", 1.0), ("marked", 0.5)], "script string, bpb double")).collect()
 
 
+def test_split_loss_against_a_loop(spark):
+    rng = random.Random(5)
+    rows = [(rng.choice(["en", "es", None]), i % 4 == 0, " ".join(rng.choice(["a", "B", "c", "<s>"]) for _ in range(rng.randint(0, 9)))) for i in range(60)] + [("en", True, None), ("fr", True, "zz")]
+    df = spark.createDataFrame(rows, "lang string, held_out boolean, text string")
+    n, m, words = Counter(), Counter(), set()
+    grams = [(lang, h, ["<s>", "<s>", *t.lower().split()]) for lang, h, t in rows if t]
+    for lang, h, t in grams:
+        for i in range(2, len(t)):
+            if not h:
+                n[lang, *t[i - 2 : i + 1]] += 1
+                m[lang, *t[i - 2 : i]] += 1
+                words.add(t[i])
+    want = Counter()
+    for lang, h, t in grams:
+        for i in range(2, len(t)):
+            if h:
+                want[lang] += math.log((n[lang, *t[i - 2 : i + 1]] + 0.1) / (m[lang, *t[i - 2 : i]] + 0.1 * (len(words) + 1)))
+    for slices in (1, 3):
+        got = ngram.split_loss(df, 3, 0.1, "lang", slices=slices)
+        assert set(got) == set(want) and all(math.isclose(got[k], want[k], rel_tol=1e-9) for k in want)
+
+
+def test_trigram_loss_where_a_text_has_marked_letters(spark, sf, tmp_path):
+    docs = load(spark, sf, "documents").limit(60)
+    docs.withColumn("text", F.when(F.col("doc_id") % 5 == 0, F.concat(V.abugida_view(F.col("text")), F.lit(" <s> "), "text")).otherwise(F.col("text"))).write.parquet(f"{tmp_path}/documents.parquet")
+    registry, con = plans.load(), duckdb.connect()
+    con.sql(f"CREATE VIEW documents AS SELECT * FROM '{tmp_path}/documents.parquet/*.parquet'")
+    want = con.sql(registry.SQL["bpb_trigram_by_lang"]).fetchall()
+    got = registry.QUERIES["bpb_trigram_by_lang"](spark, str(tmp_path)).collect()
+    assert got and sorted((r.lang, r.view, round(r.bits_per_byte, 5)) for r in got) == sorted((a, b, round(c, 5)) for a, b, c in want)
+
+
 def test_instruction_set_invariants(spark, sf):
     conv = load(spark, sf, "conversations")
     made = sftset.synthesize_manifest(sftset.tag_turns(conv)).collect()
