@@ -11,6 +11,7 @@ from functools import cached_property
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql.functions import pandas_udf
@@ -117,86 +118,168 @@ def train_on(pieces: dict[bytes, float], merges: int, least: float = 1.0) -> Mer
     return Merges(tuple(done))
 
 
-def train_bpe(hist: DataFrame, vocab_size: int, mode: str = "exact", *, head: int = 200_000, pairs_per_round: int = 16, fraction: float = 0.1) -> Merges:
+def train_bpe(hist: DataFrame, vocab_size: int, mode: str = "exact", *, head: int = 200_000, pairs_per_round: int = 64, fraction: float = 0.1) -> Merges:
     """Merges from ``hist(piece, cnt)``.
 
     ``exact`` trains on all pieces: on the driver while there are ``head`` distinct ones at most, else as ``batched`` does, with the same
-    merges; ``sampled`` does so with an md5 share of all pieces; ``batched`` leaves all pieces in the cluster and takes several pairs a round.
+    merges; ``sampled`` does so with an md5 share of all pieces; ``batched`` leaves all pieces in the cluster and looks ``pairs_per_round`` merges ahead.
     """
     if vocab_size > LIMIT:
         raise ValueError("ids must fit 16 bits")
     if mode == "batched":
-        return _train_batched(hist, vocab_size - BASE, pairs_per_round)
+        shared_folder(hist.sparkSession)
+        return _train_batched(hist.checkpoint(), vocab_size - BASE, pairs_per_round)
     if mode == "sampled":
         hist = hist.where(bucket("bpe", F.col("piece")) < int(fraction * 2**32))
+    shared_folder(hist.sparkSession)
+    hist = hist.checkpoint()
     rows = hist.limit(head + 1).collect()
     if len(rows) > head:
         return _train_batched(hist, vocab_size - BASE, pairs_per_round)
     return train_on({r["piece"].encode(): r["cnt"] for r in rows}, vocab_size - BASE)
 
 
-def _rewriter(pairs: tuple[tuple[int, int], ...], first: int):
-    """A column function that joins the pairs, in order, into ids from ``first`` on."""
-
-    @pandas_udf("array<int>")
-    def rewrite(ids: pd.Series) -> pd.Series:
-        def one(x):
-            x = list(x)
-            for i, p in enumerate(pairs):
-                if p[0] in x:
-                    x = _join(x, p, first + i)
-            return x
+class Flat:
+    """Pieces laid end to end as ids with links to their neighbours, so that a merge costs one look at all ids, whatever the number of pieces.
 
-        return ids.map(one)
+    A merged neighbour's place becomes -2, places outside of pieces are -1.
+    """
 
-    return rewrite
+    def __init__(self, pieces: list[bytes], weights: np.ndarray | None = None):
+        sizes = np.fromiter(map(len, pieces), np.int64, len(pieces))
+        self.starts = np.cumsum(sizes + 1) - sizes
+        self.ids = np.full(int(sizes.sum()) + len(pieces) + 1, -1, np.int32)
+        inside = np.ones(len(self.ids), bool)
+        inside[0] = inside[self.starts + sizes] = False
+        self.ids[inside] = np.frombuffer(b"".join(pieces), np.uint8)
+        self.next, self.before = np.arange(1, len(self.ids) + 1, dtype=np.int32), np.arange(-1, len(self.ids) - 1, dtype=np.int32)
+        self.next[-1] = self.before[0] = 0
+        self.sizes = sizes
+        self.weights = None if weights is None else np.repeat(weights, sizes + 1)
+
+    def copy(self) -> Flat:
+        new = object.__new__(Flat)
+        new.__dict__ = self.__dict__ | {"ids": self.ids.copy(), "next": self.next.copy(), "before": self.before.copy()}
+        return new
+
+    def pairs(self, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Keys of the pairs that begin at these places, and their weights."""
+        a, b = self.ids[at].astype(np.int64), self.ids[self.next[at]].astype(np.int64)
+        good = (a >= 0) & (b >= 0)
+        return (a << 32 | b)[good], self.weights[at[good] - 1]
+
+    def merge(self, pair: tuple[int, int], new: int, told: bool = False) -> tuple[np.ndarray, np.ndarray] | None:
+        """Joins the pair, from the left, everywhere; ``told`` gives the changes of pairs' weights."""
+        at = np.flatnonzero(self.ids == pair[0])
+        at = at[self.ids[self.next[at]] == pair[1]]
+        if pair[0] == pair[1] and len(at):  # of a run each second one
+            first = np.r_[True, self.before[at[1:]] != at[:-1]]
+            run = np.flatnonzero(first)
+            at = at[(np.arange(len(at)) - np.repeat(run, np.diff(np.r_[run, len(at)]))) % 2 == 0]
+        if told:
+            lost = self.pairs(np.unique(np.r_[self.before[at], at, self.next[at]]))
+        gone = self.next[at]
+        after = self.next[gone]
+        self.ids[at], self.ids[gone] = new, -2
+        self.next[at], self.before[after] = after, at
+        if not told:
+            return None
+        made = self.pairs(np.unique(np.r_[self.before[at], at]))
+        return _summed(np.r_[lost[0], made[0]], np.r_[-lost[1], made[1]])
+
+    def counts(self) -> np.ndarray:
+        """Ids of each piece."""
+        kept = np.cumsum(self.ids >= 0)
+        return kept[self.starts + self.sizes] - kept[self.starts - 1]
+
+
+def _summed(keys: np.ndarray, values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Each key once, with the sum of its values."""
+    if not len(keys):
+        return keys, values
+    order = np.argsort(keys)
+    keys, values = keys[order], values[order]
+    first = np.flatnonzero(np.r_[True, keys[1:] != keys[:-1]])
+    return keys[first], np.add.reduceat(values, first)
+
+
+def _steps(done: list[tuple[int, int]], ahead: list[tuple[int, int]], every: bool):
+    """For the pieces of a task: changes of pairs' weights (``step``, ``pair``, ``n``) at each of the merges ``ahead``, after those ``done``; all pairs as step -1 where ``every``."""
+
+    def run(batches):
+        for batch in batches:
+            for i in range(0, batch.num_rows, 65_536):
+                part = batch.slice(i, 65_536)
+                flat = Flat([x.encode() for x in part.column(0).to_pylist()], np.asarray(part.column(1)).astype(np.int64))
+                for k, p in enumerate(done):
+                    flat.merge(p, BASE + k)
+                found = [(-1, _summed(*flat.pairs(np.flatnonzero(flat.ids >= 0))))] if every else []
+                found += [(k, flat.merge(p, BASE + len(done) + k, True)) for k, p in enumerate(ahead)]
+                yield pa.RecordBatch.from_arrays([pa.array(np.repeat([k for k, _ in found], [len(x[0]) for _, x in found]), pa.int32()), *(pa.array(np.concatenate([x[j] for _, x in found]) if found else [], pa.int64()) for j in (0, 1))], ["step", "pair", "n"])
+
+    return run
+
+
+def _heaviest(weight: dict[int, int]) -> int | None:
+    """The heaviest pair, ties to the smallest ids."""
+    top = max(weight.values(), default=0)
+    return min(p for p, w in weight.items() if w == top) if top >= 1 else None
+
+
+def _add(weight: dict[int, int], keys: Iterable[int], values: Iterable[int]) -> None:
+    for p, n in zip(keys, values):
+        if left := weight.get(p, 0) + n:
+            weight[p] = left
+        else:
+            weight.pop(p, None)
 
 
-def _train_batched(hist: DataFrame, merges: int, k: int) -> Merges:
-    """Each round counts adjacent pairs in the cluster, brings its ``k`` heaviest to the driver and rewrites all pieces.
+def _train_batched(hist: DataFrame, merges: int, k: int, guide: int = 30_000) -> Merges:
+    """The merges of ``train_on`` with all pieces in the cluster.
 
-    Of these, pairs are taken in order while they share no id with one already taken, so that the round equals as many single rounds. Pieces are checkpointed each 8 rounds.
+    Each round guesses up to ``k`` merges from the ``guide`` most frequent pieces, lets the cluster apply them to all pieces and tell how each
+    changes pairs' weights, and keeps them as far as each was the heaviest pair of all. The first is always right, so that a bad guess costs rounds alone.
     """
-    shared_folder(hist.sparkSession)
+    words = hist.where("cnt > 0 and octet_length(piece) > 1").select("piece", F.col("cnt").cast("long"))
+    top = words.orderBy(F.desc("cnt"), "piece").limit(guide).collect()
+    flat = Flat([r["piece"].encode() for r in top], np.array([r["cnt"] for r in top], np.int64))
 
-    @pandas_udf("array<int>")
-    def bytes_of(piece: pd.Series) -> pd.Series:
-        return piece.map(lambda x: list(x.encode()))
+    def told(done, ahead, every=False):
+        rows = words.mapInArrow(_steps(done, ahead, every), "step int, pair bigint, n bigint").groupBy("step", "pair").agg(F.sum("n").alias("n")).where("n <> 0").toArrow().sort_by("step")
+        step, pair, n = (rows.column(c).to_numpy() for c in ("step", "pair", "n"))
+        return lambda i: (pair[(at := slice(*np.searchsorted(step, [i, i + 1])))].tolist(), n[at].tolist())
 
-    words = hist.where("cnt > 0").select(bytes_of("piece").alias("ids"), "cnt").where(F.size("ids") > 1).checkpoint()
     done: list[tuple[int, int]] = []
-    rounds = 0
-    while len(done) < merges:
-        pairs = words.select(F.explode(F.arrays_zip(F.slice("ids", F.lit(1), F.size("ids") - 1).alias("a"), F.expr("slice(ids, 2, size(ids) - 1)").alias("b"))).alias("p"), "cnt")
-        top = pairs.groupBy(F.col("p.a").alias("a"), F.col("p.b").alias("b")).agg(F.sum("cnt").alias("n")).orderBy(F.desc("n"), "a", "b").limit(k).collect()
-        if not top:
-            break
-        used: set[int] = set()
-        now: list[tuple[int, int]] = []
-        for a, b, _ in top:
-            if {a, b} & used or len(done) + len(now) >= merges:
+    weight: dict[int, int] = {}
+    _add(weight, *told([], [], True)(-1))
+    while len(done) < merges and (pair := _heaviest(weight)) is not None:
+        guess, seen, ahead = flat.copy(), dict(weight), []
+        share = sum(weight.values()) / max(1, int(_summed(*guess.pairs(np.flatnonzero(guess.ids >= 0)))[1].sum()))
+        while pair is not None and len(ahead) < min(k, merges - len(done)):
+            ahead.append((pair >> 32, pair & 0xFFFFFFFF))
+            keys, n = guess.merge(ahead[-1], BASE + len(done) + len(ahead) - 1, True)
+            _add(seen, keys.tolist(), (n * share).astype(np.int64).tolist())
+            seen.pop(pair, None)
+            pair = _heaviest(seen)
+        change = told(done, ahead)
+        for i, p in enumerate(ahead):
+            if _heaviest(weight) != p[0] << 32 | p[1]:
                 break
-            used |= {a, b}
-            now.append((a, b))
-            if a == b:  # what it makes with itself may come before the next pair
-                break
-        first = BASE + len(done)
-
-        words = words.select(_rewriter(tuple(now), first)("ids").alias("ids"), "cnt").where(F.size("ids") > 1)
-        done += now
-        rounds += 1
-        if rounds % 8 == 0:
-            words = words.checkpoint()
+            _add(weight, *change(i))
+            flat.merge(p, BASE + len(done))
+            done.append(p)
     return Merges(tuple(done))
 
 
 def token_count(merges: Merges):
-    """A column function: number of tokens of a piece; each worker remembers pieces of its batch."""
+    """A column function: number of tokens of a piece. Joining pairs in order of rank in all pieces of a batch gives what ``encode`` gives for each."""
 
     @pandas_udf("bigint")
     def count(piece: pd.Series) -> pd.Series:
-        known = {p: len(merges.encode(p.encode())) for p in piece.unique() if p is not None}
-        return piece.map(known).fillna(0).astype("int64")
+        flat = Flat([(p or "").encode() for p in piece])
+        for i, p in enumerate(merges.pairs):
+            flat.merge(p, BASE + i)
+        return pd.Series(flat.counts())
 
     return count
 
@@ -221,13 +304,12 @@ def decode(ids: Column, merges: Merges) -> Column:
     return text(ids)
 
 
-def fertility(df: DataFrame, merges: Merges, rule, by: list[str], text: str = "text") -> DataFrame:
-    """Tokens, words and bytes by group; each distinct piece is encoded once and weighted by its count."""
+def fertility(df: DataFrame, merges: Merges, rule, by: list[str], text: str = "text", hist: DataFrame | None = None) -> DataFrame:
+    """Tokens, words and bytes by group; each group's distinct piece is encoded once and weighted by its count (``hist``, if it is there already)."""
     from ..functions.pretokenize import n_words, piece_histogram
 
-    hist = piece_histogram(df, rule, by, text)
-    distinct = hist.select("piece").distinct().withColumn("n", token_count(merges)("piece"))
-    tokens = hist.join(distinct, "piece").groupBy(*by).agg(F.sum(F.col("cnt") * F.col("n")).alias("tokens"), F.sum("cnt").alias("pieces"))
+    hist = piece_histogram(df, rule, by, text) if hist is None else hist
+    tokens = hist.groupBy(*by).agg(F.sum(F.col("cnt") * token_count(merges)("piece")).alias("tokens"), F.sum("cnt").alias("pieces"))
     sizes = df.groupBy(*by).agg(F.sum(n_words(F.col(text))).alias("words"), F.sum(F.octet_length(text)).cast("long").alias("bytes"))
     out = tokens.join(sizes, by)
     return out.withColumns({"fertility": F.round(F.col("tokens") / F.col("words"), 6), "bytes_per_token": F.round(F.col("bytes") / F.col("tokens"), 6)})

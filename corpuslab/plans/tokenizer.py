@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 from ..functions import pretokenize as P
 from ..functions import views as V
 from ..operators import bpe
-from ..tables import load
+from ..tables import load, shared_folder
 from .registry import query
 
 VIEWS = {"nfc": ("text", lambda c: c), "nfd": (V.sql_decomposed("text"), V.decomposed_view), "abugida": (V.sql_abugida("text"), V.abugida_view)}
@@ -105,10 +105,12 @@ def tok_pair_counts_round1(spark, sf_dir):
 def tok_bpe_fertility(spark, sf_dir):
     """Tokens for each word by language and rule, on the marked script, with tokenizers of the same size."""
     seen = _docs(spark, sf_dir).withColumn("text", V.abugida_view(F.col("text")))
+    shared_folder(spark)
     out = None
     for rule in _CLASS:
-        merges = bpe.train_bpe(P.piece_histogram(seen, rule), bpe.BASE + 300)
-        part = bpe.fertility(seen, merges, rule, ["lang"]).withColumn("rule", F.lit(rule))
+        hist = P.piece_histogram(seen, rule, ["lang"]).checkpoint()
+        merges = bpe.train_bpe(hist.groupBy("piece").agg(F.sum("cnt").alias("cnt")), bpe.BASE + 300)
+        part = bpe.fertility(seen, merges, rule, ["lang"], hist=hist).withColumn("rule", F.lit(rule))
         out = part if out is None else out.unionByName(part)
     return out
 
@@ -134,15 +136,15 @@ def tok_compare(spark, sf_dir):
     """Tokens for each word of several tokenizers on one text, ranked."""
     from pyspark.sql import Window
 
-    docs = _docs(spark, sf_dir)
-    words = P.n_words(F.col("text"))
-    out = docs.select(F.sum(words).alias("words"), *[F.sum(F.size(P.pretokenize(F.col("text"), r))).alias(r) for r in ("char", "byte")])
-    rows = out.unpivot(["words"], ["char", "byte"], "tokenizer", "tokens")
-    hist = P.piece_histogram(docs, "letters_marks")
-    for size in (100, 400):
-        merges = bpe.train_bpe(hist, bpe.BASE + size)
-        part = bpe.fertility(docs.withColumn("all", F.lit(1)), merges, "letters_marks", ["all"])
-        rows = rows.unionByName(part.select("words", F.lit(f"bpe_{size}").alias("tokenizer"), "tokens"))
+    shared_folder(spark)
+    docs, t = _docs(spark, sf_dir), F.col("text")
+    sums = docs.select(F.sum(P.n_words(t)).alias("words"), F.sum(F.length(t)).cast("long").alias("char"), F.sum(F.octet_length(t)).cast("long").alias("byte"))
+    rows = sums.unpivot(["words"], ["char", "byte"], "tokenizer", "tokens")
+    hist = P.piece_histogram(docs, "letters_marks").checkpoint()
+    most = bpe.train_bpe(hist, bpe.BASE + 400)
+    for size in (100, 400):  # the smaller one is the larger one's beginning
+        tokens = hist.agg(F.sum(F.col("cnt") * bpe.token_count(bpe.Merges(most.pairs[:size]))("piece")).alias("tokens"))
+        rows = rows.unionByName(sums.select("words").crossJoin(tokens).select("words", F.lit(f"bpe_{size}").alias("tokenizer"), "tokens"))
     told = rows.withColumn("fertility", F.round(F.col("tokens") / F.col("words"), 6))
     return told.withColumn("place", F.rank().over(Window.partitionBy(F.lit(0)).orderBy("fertility")))
 

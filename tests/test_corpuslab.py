@@ -3,6 +3,7 @@ import random
 from collections import Counter
 
 import duckdb
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -70,6 +71,20 @@ def test_bpe_training_against_brute_force(spark):
         bpe.train_bpe(hist, 70_000)
 
 
+def test_flat_merges_against_piecewise_ones(spark):
+    rng = random.Random(4)
+    pieces = {"".join(rng.choice("aabcé") for _ in range(rng.randint(1, 14))): rng.randint(1, 900) for _ in range(600)} | {"a" * n: n for n in range(1, 9)}
+    want = bpe.train_on({p.encode(): n for p, n in pieces.items()}, 150)
+    hist = spark.createDataFrame(list(pieces.items()), "piece string, cnt long")
+    for guide in (0, 5, 300):
+        assert bpe._train_batched(hist, 150 if guide == 300 else 25, 16, guide).pairs == want.pairs[: 150 if guide == 300 else 25]
+    got = hist.select("piece", bpe.token_count(want)("piece").alias("n")).collect()
+    assert len(got) == len(pieces) and all(r.n == len(want.encode(r.piece.encode())) for r in got)
+    flat = bpe.Flat([p.encode() for p in pieces], np.array([*pieces.values()]))
+    flat.merge((97, 97), 256, True)
+    assert flat.counts().tolist() == [len(bpe._join([*p.encode()], (97, 97), 256)) for p in pieces]
+
+
 def test_packing_keeps_every_token(spark):
     docs = spark.createDataFrame([(i, list(range(1, (i * 7) % 40 + 1))) for i in range(60)], "doc_id long, ids array<int>")
     rows = bpe.pack(docs, 16, shards=3).collect()
