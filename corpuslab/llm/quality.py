@@ -1,12 +1,12 @@
 """Quality rules: hashed n-gram log-likelihood ratio between a trusted target and the raw corpus.
 
 Two multinomials over hashed word n-grams (orders 1 and 2, ASCII lower case, ``BUCKETS`` each) are counted:
-the target over trusted labelled documents, the raw one over every document. A bucket's weight is
+the target over all trusted labelled documents but every fourth, the raw one over every document. A bucket's weight is
 log((t + K) / (e + K)), with t its target count, e the count that its raw share predicts and K a constant
 of its order that keeps rare buckets near 0. A document's score is the sum of its n-grams' weights over
 its number of words, less the median of clean documents of its language, so that it is compared
 inside its language. One threshold decides every document; medians and threshold are calibrated on
-labelled documents that the target does not hold. The base rules count words, symbols, repeated lines and windows exactly.
+all labelled documents that the target does not hold, from counts of their scores in fine steps. The base rules count words, symbols, repeated lines and windows exactly.
 """
 
 from __future__ import annotations
@@ -24,8 +24,10 @@ from .common import SPACES, Words, mix, row_sums, slices, utf8
 BUCKETS = 1 << 17
 #: K of order 1 and order 2.
 PRIORS = (4.0, 200.0)
-#: Most trusted documents that the target is fitted on, and most labelled ones for the threshold: those of smallest id hash.
-TRUSTED, CALIBRATED = 20_000, 6_000
+#: Up to so many labelled ids go to all tasks as sorted arrays; beyond it labels are joined to the texts, with the same results.
+LOCAL = 8_000_000
+#: Scores are counted in steps of one over this, for medians and threshold.
+GRID = 1 << 12
 #: What a clean document lost weighs against an unclean one kept, when the threshold is set.
 CARE = 2.0
 OTHER = "\0other"
@@ -59,46 +61,69 @@ def _langs(column: pa.Array) -> list[str]:
     return column.cast(pa.string()).fill_null("").to_pylist()
 
 
-def split_labels(labels: DataFrame, trusted: int = TRUSTED, calibrated: int = CALIBRATED) -> tuple[list[int], dict[int, bool]]:
-    """Ids to fit the target on, and other labelled ids with whether they are clean; both bounded, by id hash."""
+#: What a labelled document is for: nothing, the target, or the threshold (unclean and clean ones).
+NONE, FIT, UNCLEAN, CLEAN = 0, 1, 2, 3
+
+
+def split_labels(labels: DataFrame) -> DataFrame:
+    """``doc_id`` and ``role`` of every labelled document: three of four trusted ones fit the target; the fourth part of all, by id hash, is for the threshold."""
     clean = (F.col("quality") == 1) & (F.col("toxic") == 0)
-    each = labels.where("doc_id is not null").groupBy("doc_id").agg(F.min(F.coalesce(clean, F.lit(False))).alias("clean"))
-    each = each.withColumns({"h": F.xxhash64("doc_id"), "test": F.pmod(F.xxhash64("doc_id", F.lit(1)), F.lit(4)) == 0})
-    fit_on = each.where("clean and not test").orderBy("h", "doc_id").limit(trusted).select("doc_id").collect()
-    test = each.where("test").orderBy("h", "doc_id").limit(calibrated).select("doc_id", "clean").collect()
-    return sorted(r[0] for r in fit_on), {r[0]: r[1] for r in test}
+    each = labels.where("doc_id is not null").groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.min(F.coalesce(clean, F.lit(False))).alias("clean"))
+    test = F.pmod(F.xxhash64("doc_id", F.lit(1)), F.lit(4)) == 0
+    role = F.when(test & F.col("clean"), CLEAN).when(test, UNCLEAN).when(F.col("clean"), FIT)
+    return each.select("doc_id", role.cast("int").alias("role")).where("role is not null")
+
+
+def with_roles(docs: DataFrame, roles: DataFrame, local: int = LOCAL) -> DataFrame:
+    """Id, text, language and ``role`` of each document. No text is shuffled while there are ``local`` labelled ids at most."""
+    docs = _columns(docs)
+    if roles.count() > local:
+        return docs.join(roles, "doc_id", "left").select(*docs.columns, F.coalesce("role", F.lit(NONE)).alias("role"))
+    known = roles.toArrow()
+    ids, kinds = known.column("doc_id").to_numpy(), known.column("role").to_numpy()
+    order = np.argsort(ids)
+    ids, kinds = ids[order], kinds[order].astype(np.int8)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            asked = np.asarray(b.column(0).fill_null(np.iinfo(np.int64).min))
+            at = np.minimum(np.searchsorted(ids, asked), max(len(ids) - 1, 0))
+            role = np.where(ids[at] == asked, kinds[at], NONE) if len(ids) else np.full(len(asked), NONE)
+            role[np.asarray(b.column(0).is_null())] = NONE
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(role, pa.int32())], [*b.schema.names, "role"])
+
+    return docs.mapInArrow(run, "doc_id bigint, text string, lang string, role int")
 
 
-def count_buckets(docs: DataFrame, trusted: list[int], *, buckets: int = BUCKETS) -> DataFrame:
-    """``bucket``, ``raw`` and ``target`` counts over all documents; each task adds up its rows first."""
+def count_buckets(docs: DataFrame, *, buckets: int = BUCKETS) -> DataFrame:
+    """``bucket``, ``raw`` and ``target`` counts over all documents ``with_roles``; each task adds up its rows first."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known, raw, target = np.array(trusted, np.int64), np.zeros(2 * buckets, np.int64), np.zeros(2 * buckets, np.int64)
+        raw, target = np.zeros(2 * buckets, np.int64), np.zeros(2 * buckets, np.int64)
         for b in slices(batches, 1):
             words = Words(b.column(1), lower=True)
             bucket, row = ngram_buckets(words, buckets)
             raw += np.bincount(bucket, minlength=2 * buckets)
-            good = np.isin(np.asarray(b.column(0).fill_null(np.iinfo(np.int64).min)), known)
+            good = np.asarray(b.column(3)) == FIT
             if good.any():
                 target += np.bincount(bucket[good[row]], minlength=2 * buckets)
         used = np.flatnonzero(raw)
         yield pa.RecordBatch.from_arrays([pa.array(used), pa.array(raw[used]), pa.array(target[used])], ["bucket", "raw", "target"])
 
-    counted = _columns(docs).mapInArrow(run, "bucket bigint, raw bigint, target bigint")
-    return counted.groupBy("bucket").agg(F.sum("raw").alias("raw"), F.sum("target").alias("target"))
+    return docs.mapInArrow(run, "bucket bigint, raw bigint, target bigint").groupBy("bucket").agg(F.sum("raw").alias("raw"), F.sum("target").alias("target"))
 
 
 def _columns(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long"), "text", F.col("lang") if "lang" in docs.columns else F.lit(None).cast("string").alias("lang"))
 
 
-def fit(docs: DataFrame, labels: DataFrame, *, trusted: int = TRUSTED, calibrated: int = CALIBRATED, buckets: int = BUCKETS) -> Model:
-    """Weights of all buckets, medians and threshold. At most 2 * ``buckets`` counts and ``calibrated`` scores come to the driver.
+def fit(docs: DataFrame, labels: DataFrame, *, local: int = LOCAL, buckets: int = BUCKETS) -> Model:
+    """Weights of all buckets, medians and threshold, from all labelled documents. At most 2 * ``buckets`` counts, ``local`` ids and counts of scores come to the driver.
 
     Without trusted text all weights are 0; without labelled documents to calibrate on, the threshold is 0 too, which keeps all.
     """
-    fit_on, test = split_labels(labels, trusted, calibrated)
-    counts = count_buckets(docs, fit_on, buckets=buckets).toArrow()
+    told = with_roles(docs, split_labels(labels), local)
+    counts = count_buckets(told, buckets=buckets).toArrow()
     at = counts.column("bucket").to_numpy()
     raw, target = np.zeros(2 * buckets), np.zeros(2 * buckets)
     raw[at], target[at] = counts.column("raw").to_numpy(), counts.column("target").to_numpy()
@@ -107,40 +132,44 @@ def fit(docs: DataFrame, labels: DataFrame, *, trusted: int = TRUSTED, calibrate
         part = slice(k * buckets, (k + 1) * buckets)
         expected = raw[part] * (target[part].sum() / max(raw[part].sum(), 1.0))
         weights[part] = np.log((target[part] + prior) / (expected + prior)) if target[part].sum() else 0.0
-    return calibrate(docs, Model(weights.astype(np.float32), {}, 0.0), test)
+    return calibrate(told, Model(weights.astype(np.float32), {}, 0.0))
 
 
-def calibrate(docs: DataFrame, model: Model, test: dict[int, bool]) -> Model:
-    """The model with its languages' medians and the threshold that loses least, over the labelled documents ``test`` that have the words asked for.
+def _median(steps: np.ndarray, n: np.ndarray) -> float:
+    """Median of scores counted in ascending steps."""
+    total = np.cumsum(n)
+    lower, upper = (steps[np.searchsorted(total, k, side="right")] for k in ((total[-1] - 1) // 2, total[-1] // 2))
+    return float(lower + upper) / 2
 
-    A language with few clean ones takes the median of all.
+
+def calibrate(docs: DataFrame, model: Model) -> Model:
+    """The model with its languages' medians and the threshold that loses least, over all documents ``with_roles`` for it that have the words asked for.
+
+    A document of several rows counts once, with its least score. Scores are counted by language and kind in steps of 1 / ``GRID``. A language with few clean ones takes the median of all.
     """
-    if not test:
-        return model
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in slices(batches, 1):
             words, lang = Words(b.column(1), lower=True), _langs(b.column(2))
             enough = pa.array(words.counts >= MIN_WORDS)
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(lang), pa.array(scores(words, lang, model))], ["doc_id", "lang", "score"]).filter(enough)
-
-    found = _columns(docs).where(F.col("doc_id").isin(list(test))).mapInArrow(run, "doc_id bigint, lang string, score double")
-    rows = found.groupBy("doc_id").agg(F.min_by("lang", "score").alias("lang"), F.min("score").alias("score")).collect()
-    clean: dict[str, list[float]] = {}
-    for r in rows:
-        if test[r.doc_id]:
-            clean.setdefault(r.lang, []).append(r.score)
-    if not clean or all(test[r.doc_id] for r in rows):
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(lang), b.column(3), pa.array(scores(words, lang, model))], ["doc_id", "lang", "role", "score"]).filter(enough)
+
+    found = docs.where(F.col("role").isin(UNCLEAN, CLEAN)).mapInArrow(run, "doc_id bigint, lang string, role int, score double")
+    least = found.groupBy("doc_id", "role").agg(F.min(F.struct("score", "lang")).alias("s"))
+    rows = least.groupBy("s.lang", "role", F.round(F.col("s.score") * GRID).cast("long").alias("step")).agg(F.count(F.lit(1)).alias("n")).toPandas().sort_values("step")
+    is_clean = (rows["role"] == CLEAN).to_numpy()
+    if is_clean.all() or not is_clean.any():
         return model
-    middle = float(np.median(np.concatenate([*clean.values()])))
-    offsets = {lang: float(np.median(x)) if len(x) >= 20 else middle for lang, x in clean.items()}
-    off = np.array([r.score - offsets.get(r.lang, middle) for r in rows])
-    is_good = np.array([test[r.doc_id] for r in rows])
-    good, bad = np.sort(off[is_good]), np.sort(off[~is_good])
-    cuts = np.unique(off)
-    loss = CARE * np.searchsorted(good, cuts) / len(good) + 1 - np.searchsorted(bad, cuts) / len(bad)
+    clean = rows[is_clean]
+    by = clean.groupby("step")["n"].sum()
+    middle = _median(by.index.to_numpy(), by.to_numpy()) / GRID
+    offsets = {lang: _median(x["step"].to_numpy(), x["n"].to_numpy()) / GRID if x["n"].sum() >= 20 else middle for lang, x in clean.groupby("lang")}
+    off = rows["step"].to_numpy() / GRID - np.array([offsets.get(x, middle) for x in rows["lang"]])
+    cuts, at = np.unique(off, return_inverse=True)
+    good, bad = (np.bincount(at[k], rows["n"].to_numpy()[k], len(cuts)) for k in (is_clean, ~is_clean))
+    loss = CARE * (np.cumsum(good) - good) / good.sum() + 1 - (np.cumsum(bad) - bad) / bad.sum()
     best = int(np.argmin(loss))
-    return replace(model, offsets=offsets | {OTHER: middle}, threshold=float(cuts[best] if not best else (cuts[best] + cuts[best - 1]) / 2))
+    return replace(model, offsets=offsets | {OTHER: middle}, threshold=float(cuts[best] - 0.5 / GRID if not best else (cuts[best] + cuts[best - 1]) / 2))
 
 
 def _windows(codes: np.ndarray) -> np.ndarray:

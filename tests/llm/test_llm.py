@@ -295,6 +295,20 @@ def test_quality_base_rules_and_verdicts(spark, sf):
     assert quality.fit(docs.limit(0), labels.limit(0)).threshold == 0.0
 
 
+def test_all_labelled_documents_are_used(spark, sf):
+    from pyspark.sql import functions as F
+
+    labels = spark.range(40_000).select(F.col("id").alias("doc_id"), F.lit(1).alias("quality"), (F.col("id") % 5 == 0).cast("int").alias("toxic"))
+    roles = quality.split_labels(labels)
+    got = {r.role: r.n for r in roles.groupBy("role").agg(F.count(F.lit(1)).alias("n")).collect()}
+    assert got[quality.FIT] > 20_000 and got[quality.CLEAN] + got[quality.UNCLEAN] > 6_000
+    assert got[quality.FIT] + got[quality.CLEAN] == 32_000
+    docs, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
+    one, two = quality.fit(docs, labels), quality.fit(docs, labels, local=0)
+    assert (one.weights == two.weights).all() and one.offsets == two.offsets and one.threshold == two.threshold
+    assert quality._median(np.array([1, 4, 6]), np.array([2, 1, 1])) == 2.5 and quality._median(np.array([1, 4]), np.array([1, 2])) == 4
+
+
 def test_subset_sum_and_water_fill(spark):
     rng = random.Random(3)
     for _ in range(200):
