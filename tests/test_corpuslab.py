@@ -339,7 +339,7 @@ def test_queries_equal_their_sql(spark, sf, name):
 
 
 #: Queries that made their rows up before they read a table.
-TABLED = ("ctr_acceptance_replay", "ctr_halves")
+TABLED = ("ctr_acceptance_replay", "ctr_halves" "ctr_misses")
 
 
 @pytest.mark.parametrize("name", TABLED)
