@@ -11,7 +11,7 @@ all labelled documents that the target does not hold, from counts of their score
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass, replace
 
 import numpy as np
@@ -74,28 +74,34 @@ def split_labels(labels: DataFrame) -> DataFrame:
     return each.select("doc_id", role.cast("int").alias("role")).where("role is not null")
 
 
-def with_roles(docs: DataFrame, roles: DataFrame, local: int = LOCAL) -> DataFrame:
-    """Id, text, language and ``role`` of each document. No text is shuffled while there are ``local`` labelled ids at most."""
+#: Gives the role of each row of a batch.
+Roles = Callable[[pa.RecordBatch], np.ndarray]
+
+
+def with_roles(docs: DataFrame, roles: DataFrame, local: int = LOCAL) -> tuple[DataFrame, Roles]:
+    """Id, text and language of each document, and what tells their roles inside a task; beyond ``local`` labelled ids they are joined on as a fourth column.
+
+    No text is shuffled up to that number, and the pass that reads the texts looks the roles up itself: a pass of their own would keep a second worker for each task.
+    """
     docs = _columns(docs)
     if roles.count() > local:
-        return docs.join(roles, "doc_id", "left").select(*docs.columns, F.coalesce("role", F.lit(NONE)).alias("role"))
+        return docs.join(roles, "doc_id", "left").select(*docs.columns, F.coalesce("role", F.lit(NONE)).alias("role")), lambda b: np.asarray(b.column(3))
     known = roles.toArrow()
     ids, kinds = known.column("doc_id").to_numpy(), known.column("role").to_numpy()
     order = np.argsort(ids)
     ids, kinds = ids[order], kinds[order].astype(np.int8)
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            asked = np.asarray(b.column(0).fill_null(np.iinfo(np.int64).min))
-            at = np.minimum(np.searchsorted(ids, asked), max(len(ids) - 1, 0))
-            role = np.where(ids[at] == asked, kinds[at], NONE) if len(ids) else np.full(len(asked), NONE)
-            role[np.asarray(b.column(0).is_null())] = NONE
-            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(role, pa.int32())], [*b.schema.names, "role"])
+    def role_of(b: pa.RecordBatch) -> np.ndarray:
+        asked = np.asarray(b.column(0).fill_null(np.iinfo(np.int64).min))
+        at = np.minimum(np.searchsorted(ids, asked), max(len(ids) - 1, 0))
+        role = np.where(ids[at] == asked, kinds[at], NONE) if len(ids) else np.full(len(asked), NONE)
+        role[np.asarray(b.column(0).is_null())] = NONE
+        return role
 
-    return docs.mapInArrow(run, "doc_id bigint, text string, lang string, role int")
+    return docs, role_of
 
 
-def count_buckets(docs: DataFrame, *, buckets: int = BUCKETS) -> DataFrame:
+def count_buckets(docs: DataFrame, role_of: Roles, *, buckets: int = BUCKETS) -> DataFrame:
     """``bucket``, ``raw`` and ``target`` counts over all documents ``with_roles``; each task adds up its rows first."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -104,7 +110,7 @@ def count_buckets(docs: DataFrame, *, buckets: int = BUCKETS) -> DataFrame:
             words = Words(b.column(1), lower=True)
             bucket, row = ngram_buckets(words, buckets)
             raw += np.bincount(bucket, minlength=2 * buckets)
-            good = np.asarray(b.column(3)) == FIT
+            good = role_of(b) == FIT
             if good.any():
                 target += np.bincount(bucket[good[row]], minlength=2 * buckets)
         used = np.flatnonzero(raw)
@@ -122,8 +128,8 @@ def fit(docs: DataFrame, labels: DataFrame, *, local: int = LOCAL, buckets: int
 
     Without trusted text all weights are 0; without labelled documents to calibrate on, the threshold is 0 too, which keeps all.
     """
-    told = with_roles(docs, split_labels(labels), local)
-    counts = count_buckets(told, buckets=buckets).toArrow()
+    told, role_of = with_roles(docs, split_labels(labels), local)
+    counts = count_buckets(told, role_of, buckets=buckets).toArrow()
     at = counts.column("bucket").to_numpy()
     raw, target = np.zeros(2 * buckets), np.zeros(2 * buckets)
     raw[at], target[at] = counts.column("raw").to_numpy(), counts.column("target").to_numpy()
@@ -132,7 +138,7 @@ def fit(docs: DataFrame, labels: DataFrame, *, local: int = LOCAL, buckets: int
         part = slice(k * buckets, (k + 1) * buckets)
         expected = raw[part] * (target[part].sum() / max(raw[part].sum(), 1.0))
         weights[part] = np.log((target[part] + prior) / (expected + prior)) if target[part].sum() else 0.0
-    return calibrate(told, Model(weights.astype(np.float32), {}, 0.0))
+    return calibrate(told, role_of, Model(weights.astype(np.float32), {}, 0.0))
 
 
 def _median(steps: np.ndarray, n: np.ndarray) -> float:
@@ -142,19 +148,26 @@ def _median(steps: np.ndarray, n: np.ndarray) -> float:
     return float(lower + upper) / 2
 
 
-def calibrate(docs: DataFrame, model: Model) -> Model:
+def calibrate(docs: DataFrame, role_of: Roles, model: Model) -> Model:
     """The model with its languages' medians and the threshold that loses least, over all documents ``with_roles`` for it that have the words asked for.
 
     A document of several rows counts once, with its least score. Scores are counted by language and kind in steps of 1 / ``GRID``. A language with few clean ones takes the median of all.
     """
 
+    def labelled(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            role = role_of(b)
+            yield pa.RecordBatch.from_arrays([*b.columns[:3], pa.array(role, pa.int32())], ["doc_id", "text", "lang", "role"]).filter(pa.array((role == UNCLEAN) | (role == CLEAN)))
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in slices(batches, 1):
+        for b in slices(labelled(batches), 1):
             words, lang = Words(b.column(1), lower=True), _langs(b.column(2))
             enough = pa.array(words.counts >= MIN_WORDS)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(lang), b.column(3), pa.array(scores(words, lang, model))], ["doc_id", "lang", "role", "score"]).filter(enough)
 
-    found = docs.where(F.col("role").isin(UNCLEAN, CLEAN)).mapInArrow(run, "doc_id bigint, lang string, role int, score double")
+    if "role" in docs.columns:
+        docs = docs.where(F.col("role").isin(UNCLEAN, CLEAN))
+    found = docs.mapInArrow(run, "doc_id bigint, lang string, role int, score double")
     least = found.groupBy("doc_id", "role").agg(F.min(F.struct("score", "lang")).alias("s"))
     rows = least.groupBy("s.lang", "role", F.round(F.col("s.score") * GRID).cast("long").alias("step")).agg(F.count(F.lit(1)).alias("n")).toPandas().sort_values("step")
     is_clean = (rows["role"] == CLEAN).to_numpy()

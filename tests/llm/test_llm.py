@@ -309,6 +309,19 @@ def test_all_labelled_documents_are_used(spark, sf):
     assert quality._median(np.array([1, 4, 6]), np.array([2, 1, 1])) == 2.5 and quality._median(np.array([1, 4]), np.array([1, 2])) == 4
 
 
+def test_fit_keeps_one_python_worker_a_task(spark, sf, monkeypatch):
+    """No Python pass of the fit feeds another one of the same stage, each of which keeps a worker of its own."""
+    docs, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
+    fed, whole = [], type(docs).mapInArrow
+
+    def seen(df, *args):
+        fed.append("MapInArrow" in df._jdf.queryExecution().optimizedPlan().toString())
+        return whole(df, *args)
+
+    monkeypatch.setattr(type(docs), "mapInArrow", seen)
+    assert quality.fit(docs, labels).threshold != 0.0 and fed == [False, False]
+
+
 def test_subset_sum_and_water_fill(spark):
     rng = random.Random(3)
     for _ in range(200):
