@@ -339,10 +339,19 @@ def test_queries_equal_their_sql(spark, sf, name):
 
 
 #: Queries that made their rows up before they read a table.
-TABLED = ("ctr_acceptance_replay", "ctr_halves", "ctr_misses", "ctr_wilson", "ctr_language_divergence", "ctr_tradeoff_front", "ctr_objective_correlation")
+TABLED = ("ctr_acceptance_replay", "ctr_halves", "ctr_misses", "ctr_wilson", "ctr_language_divergence", "ctr_tradeoff_front", "ctr_objective_correlation", "ctr_exact_intervals")
 
 
 @pytest.mark.parametrize("name", TABLED)
 def test_queries_read_a_given_table(spark, sf, name):
     assert plans.load().QUERIES[name](spark, sf).inputFiles()
     test_queries_equal_their_sql(spark, sf, name)
+
+
+def test_binomial_tails_of_any_size():
+    for n in (1, 2, 8, 27, 300):
+        for k in {0, 1, n // 3, n // 2, n - 1, n, n + 1}:
+            for p in (0.001, 0.3, 0.5, 0.77, 0.999):
+                assert abs(contract._tail(k, n, p) - sum(math.comb(n, i) * p**i * (1 - p) ** (n - i) for i in range(k, n + 1))) < 1e-10
+    for n in (5_000, 4_000_000):
+        assert abs(contract._tail(n // 2 + 1, n, 0.5) + contract._tail(n // 2, n, 0.5) - 1) < 1e-6
