@@ -339,7 +339,7 @@ def test_queries_equal_their_sql(spark, sf, name):
 
 
 #: Queries that made their rows up before they read a table.
-TABLED = ("ctr_acceptance_replay", "ctr_halves", "ctr_misses", "ctr_wilson", "ctr_language_divergence", "ctr_tradeoff_front", "ctr_objective_correlation", "ctr_exact_intervals", "arith_recognition", "arith_truth")
+TABLED = ("ctr_acceptance_replay", "ctr_halves", "ctr_misses", "ctr_wilson", "ctr_language_divergence", "ctr_tradeoff_front", "ctr_objective_correlation", "ctr_exact_intervals", "arith_recognition", "arith_truth", "hw_cost")
 
 
 @pytest.mark.parametrize("name", TABLED)
