@@ -8,6 +8,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 WORD = r"\S+"
+CHUNK = r" ?\S+|\s+(?!\S)|\s+"
 #: Word classes: letters alone cut a word at every combining mark; letters with marks don't.
 CLASSES = {"letters": r"\p{L}", "letters_marks": r"\p{L}\p{M}"}
 
@@ -68,7 +69,16 @@ def rule_difference(df: DataFrame, text: str = "text") -> DataFrame:
     return df.where(pretokenize(F.col(text), "letters") != pretokenize(F.col(text), "letters_marks"))
 
 
-def piece_histogram(df: DataFrame, rule: str | PretokenRule, by: list[str] | None = None, text: str = "text") -> DataFrame:
-    """``piece`` and ``cnt`` by group; pieces are counted inside tasks before the one shuffle."""
-    pieces = df.select(*(by or []), F.explode(pretokenize(F.col(text), rule)).alias("piece"))
-    return pieces.groupBy(*(by or []), "piece").agg(F.count(F.lit(1)).alias("cnt"))
+def piece_histogram(df: DataFrame, rule: str | PretokenRule, by: list[str] | None = None, text: str = "text", count: str | None = None) -> DataFrame:
+    """``piece`` and ``cnt`` by group; pieces are counted inside tasks before the one shuffle. ``count`` names a column with the number of times that each text stands."""
+    pieces = df.select(*(by or []), *([count] if count else []), F.explode(pretokenize(F.col(text), rule)).alias("piece"))
+    return pieces.groupBy(*(by or []), "piece").agg((F.sum(count) if count else F.count(F.lit(1))).alias("cnt"))
+
+
+def chunk_histogram(df: DataFrame, by: list[str] | None = None, text: str = "text") -> DataFrame:
+    """``chunk`` and ``cnt`` by group: white space as the named rules cut it, and words with a space before them.
+
+    No piece of these rules crosses a chunk, and each chunk is cut alone as it is in its text, so one scan serves both rules and the number of words.
+    """
+    chunks = df.select(*(by or []), F.explode(F.regexp_extract_all(F.col(text), F.lit(CHUNK), F.lit(0))).alias("chunk"))
+    return chunks.groupBy(*(by or []), "chunk").agg(F.count(F.lit(1)).alias("cnt"))

@@ -4,8 +4,9 @@ from __future__ import annotations
 
 import hashlib
 import heapq
+import uuid
 from collections import Counter, defaultdict
-from collections.abc import Iterable
+from collections.abc import Iterable, Sequence
 from dataclasses import dataclass, field
 from functools import cached_property
 
@@ -18,7 +19,7 @@ from pyspark.sql.functions import pandas_udf
 from pyspark.sql.types import ArrayType, IntegerType
 
 from ..functions.views import bucket
-from ..tables import shared_folder
+from ..tables import cleaned, shared_folder
 
 BASE = 256
 LIMIT = 1 << 16
@@ -122,7 +123,7 @@ def train_bpe(hist: DataFrame, vocab_size: int, mode: str = "exact", *, head: in
     """Merges from ``hist(piece, cnt)``.
 
     ``exact`` trains on all pieces: on the driver while there are ``head`` distinct ones at most, else as ``batched`` does, with the same
-    merges; ``sampled`` does so with an md5 share of all pieces; ``batched`` leaves all pieces in the cluster and looks ``pairs_per_round`` merges ahead.
+    merges; ``sampled`` does so with an md5 share of all pieces; ``batched`` leaves all pieces in the cluster and begins with the ``pairs_per_round`` heaviest pairs.
     """
     if vocab_size > LIMIT:
         raise ValueError("ids must fit 16 bits")
@@ -133,59 +134,117 @@ def train_bpe(hist: DataFrame, vocab_size: int, mode: str = "exact", *, head: in
         hist = hist.where(bucket("bpe", F.col("piece")) < int(fraction * 2**32))
     shared_folder(hist.sparkSession)
     hist = hist.checkpoint()
-    rows = hist.limit(head + 1).collect()
-    if len(rows) > head:
+    if hist.count() > head:
         return _train_batched(hist, vocab_size - BASE, pairs_per_round)
-    return train_on({r["piece"].encode(): r["cnt"] for r in rows}, vocab_size - BASE)
+    rows = hist.where("cnt > 0").select(F.col("piece").cast("binary"), F.col("cnt").cast("long")).toArrow().combine_chunks()
+    return Merges(tuple(_train_flat(Flat.read(rows.column("piece"), rows.column("cnt").to_numpy()), vocab_size - BASE)))
 
 
 class Flat:
-    """Pieces laid end to end as ids with links to their neighbours, so that a merge costs one look at all ids, whatever the number of pieces.
+    """Pieces laid end to end as ids with links to their neighbours, so that a merge costs a look at the places where its pair can stand.
 
     A merged neighbour's place becomes -2, places outside of pieces are -1.
     """
 
     def __init__(self, pieces: list[bytes], weights: np.ndarray | None = None):
-        sizes = np.fromiter(map(len, pieces), np.int64, len(pieces))
+        self._lay(np.frombuffer(b"".join(pieces), np.uint8), np.fromiter(map(len, pieces), np.int64, len(pieces)), weights)
+
+    @classmethod
+    def read(cls, column: pa.Array | pa.ChunkedArray, weights: np.ndarray | None = None, width: int = 1) -> Flat:
+        """Pieces of a column of strings or bytes; ids take ``width`` bytes each."""
+        column = column.combine_chunks() if isinstance(column, pa.ChunkedArray) else column
+        flat, raw = object.__new__(cls), column.cast(pa.large_binary())
+        bounds = np.frombuffer(raw.buffers()[1], np.int64)[raw.offset : raw.offset + len(raw) + 1] if len(raw) else np.zeros(1, np.int64)
+        data = np.frombuffer(raw.buffers()[2] or b"", np.uint8)[bounds[0] : bounds[-1]]
+        flat._lay(data if width == 1 else data.view("<u2"), np.diff(bounds) // width, weights)
+        return flat
+
+    def _lay(self, data: np.ndarray, sizes: np.ndarray, weights: np.ndarray | None) -> None:
         self.starts = np.cumsum(sizes + 1) - sizes
-        self.ids = np.full(int(sizes.sum()) + len(pieces) + 1, -1, np.int32)
+        self.ids = np.full(len(data) + len(sizes) + 1, -1, np.int32)
         inside = np.ones(len(self.ids), bool)
         inside[0] = inside[self.starts + sizes] = False
-        self.ids[inside] = np.frombuffer(b"".join(pieces), np.uint8)
+        self.ids[inside] = data
         self.next, self.before = np.arange(1, len(self.ids) + 1, dtype=np.int32), np.arange(-1, len(self.ids) - 1, dtype=np.int32)
         self.next[-1] = self.before[0] = 0
         self.sizes = sizes
         self.weights = None if weights is None else np.repeat(weights, sizes + 1)
 
-    def copy(self) -> Flat:
-        new = object.__new__(Flat)
-        new.__dict__ = self.__dict__ | {"ids": self.ids.copy(), "next": self.next.copy(), "before": self.before.copy()}
-        return new
-
     def pairs(self, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Keys of the pairs that begin at these places, and their weights."""
-        a, b = self.ids[at].astype(np.int64), self.ids[self.next[at]].astype(np.int64)
+        """Those of the places where a pair begins, and the pairs' keys."""
+        a, b = self.ids[at], self.ids[self.next[at]]
         good = (a >= 0) & (b >= 0)
-        return (a << 32 | b)[good], self.weights[at[good] - 1]
-
-    def merge(self, pair: tuple[int, int], new: int, told: bool = False) -> tuple[np.ndarray, np.ndarray] | None:
-        """Joins the pair, from the left, everywhere; ``told`` gives the changes of pairs' weights."""
-        at = np.flatnonzero(self.ids == pair[0])
+        return at[good], a[good].astype(np.int64) << 32 | b[good]
+
+    def grouped(self, at: np.ndarray) -> tuple[list[int], list[int], list[np.ndarray]]:
+        """Pairs that begin at these places: keys, weights, and the places of each in their order."""
+        at, keys = self.pairs(at)
+        if not len(at):
+            return [], [], []
+        order = np.argsort(keys, kind="stable")
+        keys, at = keys[order], at[order]
+        first = np.flatnonzero(np.r_[True, keys[1:] != keys[:-1]])
+        return keys[first].tolist(), np.add.reduceat(self.weights[at - 1], first).tolist(), np.split(at, first[1:])
+
+    def standing(self, at: np.ndarray, pair: tuple[int, int]) -> np.ndarray:
+        """Those of the places, in their order, where the pair is to be joined from the left."""
+        at = at[self.ids[at] == pair[0]]
         at = at[self.ids[self.next[at]] == pair[1]]
         if pair[0] == pair[1] and len(at):  # of a run each second one
             first = np.r_[True, self.before[at[1:]] != at[:-1]]
             run = np.flatnonzero(first)
             at = at[(np.arange(len(at)) - np.repeat(run, np.diff(np.r_[run, len(at)]))) % 2 == 0]
-        if told:
-            lost = self.pairs(np.unique(np.r_[self.before[at], at, self.next[at]]))
+        return at
+
+    def join(self, at: np.ndarray, new: int) -> None:
         gone = self.next[at]
         after = self.next[gone]
         self.ids[at], self.ids[gone] = new, -2
         self.next[at], self.before[after] = after, at
+
+    def merge(self, pair: tuple[int, int], new: int, told: bool = False) -> tuple[np.ndarray, np.ndarray] | None:
+        """Joins the pair, from the left, everywhere; ``told`` gives the changes of pairs' weights."""
+        at = self.standing(np.flatnonzero(self.ids == pair[0]), pair)
+        if told:
+            lost, gone = self.pairs(np.unique(np.r_[self.before[at], at, self.next[at]]))
+        self.join(at, new)
         if not told:
             return None
-        made = self.pairs(np.unique(np.r_[self.before[at], at]))
-        return _summed(np.r_[lost[0], made[0]], np.r_[-lost[1], made[1]])
+        made, come = self.pairs(np.unique(np.r_[self.before[at], at]))
+        return _summed(np.r_[gone, come], np.r_[-self.weights[lost - 1], self.weights[made - 1]])
+
+    def merge_all(self, pairs: Sequence[tuple[int, int]], first: int) -> None:
+        """Joins the pairs in turn to ``first`` and the ids after it. A pair's places are all known once the later of its two ids is made."""
+        if not len(pairs):
+            return
+        keys = np.array([a << 32 | b for a, b in pairs], np.int64)
+        rank = np.argsort(keys)
+        keys = keys[rank]
+        left, right = (np.zeros(first + len(pairs) + 2, bool) for _ in "ab")
+        left[[a for a, _ in pairs]] = right[[b for _, b in pairs]] = True
+        places: dict[int, np.ndarray] = {}
+
+        def look(at: np.ndarray) -> None:
+            at = at[left[self.ids[at]]]
+            at = at[right[self.ids[self.next[at]]]]
+            at, found = self.pairs(at)
+            i = np.minimum(np.searchsorted(keys, found), len(keys) - 1)
+            hit = keys[i] == found
+            at, i = at[hit], rank[i[hit]]
+            if len(at):
+                order = np.argsort(i, kind="stable")
+                at, i = at[order], i[order]
+                cut = np.flatnonzero(np.r_[True, i[1:] != i[:-1]])
+                places.update(zip(i[cut].tolist(), np.split(at, cut[1:])))
+
+        look(np.arange(len(self.ids), dtype=np.int32))
+        for i, pair in enumerate(pairs):
+            if i not in places:
+                continue
+            at = self.standing(places.pop(i), pair)
+            self.join(at, first + i)
+            if left[first + i] or right[first + i]:
+                look(np.unique(np.r_[self.before[at], at]))
 
     def counts(self) -> np.ndarray:
         """Ids of each piece."""
@@ -203,82 +262,165 @@ def _summed(keys: np.ndarray, values: np.ndarray) -> tuple[np.ndarray, np.ndarra
     return keys[first], np.add.reduceat(values, first)
 
 
-def _steps(done: list[tuple[int, int]], ahead: list[tuple[int, int]], every: bool):
-    """For the pieces of a task: changes of pairs' weights (``step``, ``pair``, ``n``) at each of the merges ``ahead``, after those ``done``; all pairs as step -1 where ``every``."""
+def _train_flat(flat: Flat, merges: int, first: int = BASE, least: int = 1) -> list[tuple[int, int]]:
+    """The merges of ``train_on`` while the heaviest pair weighs ``least``; each looks at its own places and their neighbours alone."""
+    keys, n, at = flat.grouped(np.arange(len(flat.ids), dtype=np.int32))
+    weight, places = dict(zip(keys, n)), dict(zip(keys, at))
+    heap = [(-n, p) for p, n in weight.items()]
+    heapq.heapify(heap)
+    done: list[tuple[int, int]] = []
+    while heap and len(done) < merges:
+        n, key = heapq.heappop(heap)
+        if weight.get(key) != -n:
+            continue
+        if -n < least:
+            break
+        pair, new = (key >> 32, key & 0xFFFFFFFF), first + len(done)
+        done.append(pair)
+        at = flat.standing(places[key], pair)
+        lost, less, _ = flat.grouped(np.unique(np.r_[flat.before[at], at, flat.next[at]]))
+        flat.join(at, new)
+        for p, x in zip(lost, less):
+            if left := weight[p] - x:
+                weight[p] = left
+                if left >= least:
+                    heapq.heappush(heap, (-left, p))
+            else:
+                del weight[p], places[p]
+        for p, x, found in zip(*flat.grouped(np.unique(np.r_[flat.before[at], at]))):
+            if x >= least:
+                weight[p], places[p] = x, found
+                heapq.heappush(heap, (-x, p))
+            else:
+                weight[p], places[p] = x, found[:0]
+    return done
+
+
+def _binary(ids: np.ndarray, sizes: np.ndarray) -> pa.Array:
+    """Ids of pieces that lie end to end, each piece as 16-bit integers."""
+    bounds = np.r_[0, np.cumsum(sizes)] * 2
+    return pa.Array.from_buffers(pa.large_binary(), len(sizes), [None, pa.py_buffer(bounds.astype(np.int64)), pa.py_buffer(ids.astype("<u2"))]).cast(pa.binary())
+
+
+_ROWS = "ids binary, cnt bigint, pair array<bigint>, n array<bigint>"
+
+
+def _merged(pairs: list[tuple[int, int]], first: int, width: int):
+    """For the pieces of a task: what of them has more than one id after the merges, then rows with the weights of the pairs in that."""
 
     def run(batches):
+        lists, seen, held = pa.list_(pa.int64()), [], 0
+        names = ["ids", "cnt", "pair", "n"]
         for batch in batches:
-            for i in range(0, batch.num_rows, 65_536):
-                part = batch.slice(i, 65_536)
-                flat = Flat([x.encode() for x in part.column(0).to_pylist()], np.asarray(part.column(1)).astype(np.int64))
-                for k, p in enumerate(done):
-                    flat.merge(p, BASE + k)
-                found = [(-1, _summed(*flat.pairs(np.flatnonzero(flat.ids >= 0))))] if every else []
-                found += [(k, flat.merge(p, BASE + len(done) + k, True)) for k, p in enumerate(ahead)]
-                yield pa.RecordBatch.from_arrays([pa.array(np.repeat([k for k, _ in found], [len(x[0]) for _, x in found]), pa.int32()), *(pa.array(np.concatenate([x[j] for _, x in found]) if found else [], pa.int64()) for j in (0, 1))], ["step", "pair", "n"])
+            if not batch.num_rows:
+                continue
+            n = batch.column(1).to_numpy()
+            flat = Flat.read(batch.column(0), n, width)
+            flat.merge_all(pairs, first)
+            at, keys = flat.pairs(np.arange(len(flat.ids), dtype=np.int32))
+            seen.append(_summed(keys, flat.weights[at - 1]))
+            held += len(seen[-1][0])
+            if held > 1_000_000:
+                seen = [_summed(*(np.concatenate(x) for x in zip(*seen)))]
+                held = len(seen[0][0]) // 2
+            sizes = flat.counts()
+            long = sizes > 1
+            ids = flat.ids[flat.ids >= 0][np.repeat(long, sizes)]
+            none = pa.nulls(int(long.sum()), lists)
+            yield pa.RecordBatch.from_arrays([_binary(ids, sizes[long]), pa.array(n[long], pa.int64()), none, none], names)
+        if seen:
+            keys, n = _summed(*(np.concatenate(x) for x in zip(*seen)))
+            for i in range(0, len(keys), 65_536):
+                yield pa.RecordBatch.from_arrays([pa.nulls(1, pa.binary()), pa.nulls(1, pa.int64()), *(pa.array([x[i : i + 65_536]], lists) for x in (keys, n))], names)
 
     return run
 
 
-def _heaviest(weight: dict[int, int]) -> int | None:
-    """The heaviest pair, ties to the smallest ids."""
-    top = max(weight.values(), default=0)
-    return min(p for p, w in weight.items() if w == top) if top >= 1 else None
+def _runs(heavy: list[int]):
+    """For the pieces of a task: their runs of ids that follow one another in pairs of these keys, each with its weight."""
+    keys = np.sort(np.array(heavy, np.int64))
 
+    def run(batches):
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            flat = Flat.read(batch.column(0), batch.column(1).to_numpy(), 2)
+            at, found = flat.pairs(np.arange(len(flat.ids), dtype=np.int32))
+            at = at[keys[np.minimum(np.searchsorted(keys, found), len(keys) - 1)] == found]
+            tied, go = np.zeros(len(flat.ids), bool), np.zeros(len(flat.ids), bool)
+            tied[at] = go[at] = go[at + 1] = True
+            go = np.flatnonzero(go)
+            first = np.flatnonzero(~tied[go - 1])
+            if len(first):
+                rows = pa.table({"ids": _binary(flat.ids[go], np.diff(np.r_[first, len(go)])), "cnt": flat.weights[go[first] - 1]})
+                yield from rows.group_by("ids").aggregate([("cnt", "sum")]).rename_columns(["ids", "cnt"]).to_batches()
 
-def _add(weight: dict[int, int], keys: Iterable[int], values: Iterable[int]) -> None:
-    for p, n in zip(keys, values):
-        if left := weight.get(p, 0) + n:
-            weight[p] = left
-        else:
-            weight.pop(p, None)
+    return run
 
 
-def _train_batched(hist: DataFrame, merges: int, k: int, guide: int = 30_000) -> Merges:
+def _train_batched(hist: DataFrame, merges: int, k: int, guide: int = 2_000_000) -> Merges:
     """The merges of ``train_on`` with all pieces in the cluster.
 
-    Each round guesses up to ``k`` merges from the ``guide`` most frequent pieces, lets the cluster apply them to all pieces and tell how each
-    changes pairs' weights, and keeps them as far as each was the heaviest pair of all. The first is always right, so that a bad guess costs rounds alone.
+    A pair's weight never grows, and ids that will be joined stand in a pair that weighs as much already. So the merges down to a weight are
+    those of the runs of ids in pairs of at least that weight. A round takes the ``k`` heaviest pairs of all, collects these runs with their
+    summed weights, trains on them down to the lightest of the pairs, and joins what it found in all pieces. ``k`` follows the runs' size:
+    fewer pairs where all runs hold over ``guide`` ids (one pair is always taken), more where they hold far less.
     """
-    words = hist.where("cnt > 0 and octet_length(piece) > 1").select("piece", F.col("cnt").cast("long"))
-    top = words.orderBy(F.desc("cnt"), "piece").limit(guide).collect()
-    flat = Flat([r["piece"].encode() for r in top], np.array([r["cnt"] for r in top], np.int64))
-
-    def told(done, ahead, every=False):
-        rows = words.mapInArrow(_steps(done, ahead, every), "step int, pair bigint, n bigint").groupBy("step", "pair").agg(F.sum("n").alias("n")).where("n <> 0").toArrow().sort_by("step")
-        step, pair, n = (rows.column(c).to_numpy() for c in ("step", "pair", "n"))
-        return lambda i: (pair[(at := slice(*np.searchsorted(step, [i, i + 1])))].tolist(), n[at].tolist())
-
+    spark = hist.sparkSession
+    pieces, width, folder = hist.where("cnt > 0 and octet_length(piece) > 1").select(F.col("piece").cast("binary").alias("ids"), F.col("cnt").cast("long").alias("cnt")), 1, None
     done: list[tuple[int, int]] = []
-    weight: dict[int, int] = {}
-    _add(weight, *told([], [], True)(-1))
-    while len(done) < merges and (pair := _heaviest(weight)) is not None:
-        guess, seen, ahead = flat.copy(), dict(weight), []
-        share = sum(weight.values()) / max(1, int(_summed(*guess.pairs(np.flatnonzero(guess.ids >= 0)))[1].sum()))
-        while pair is not None and len(ahead) < min(k, merges - len(done)):
-            ahead.append((pair >> 32, pair & 0xFFFFFFFF))
-            keys, n = guess.merge(ahead[-1], BASE + len(done) + len(ahead) - 1, True)
-            _add(seen, keys.tolist(), (n * share).astype(np.int64).tolist())
-            seen.pop(pair, None)
-            pair = _heaviest(seen)
-        change = told(done, ahead)
-        for i, p in enumerate(ahead):
-            if _heaviest(weight) != p[0] << 32 | p[1]:
-                break
-            _add(weight, *change(i))
-            flat.merge(p, BASE + len(done))
-            done.append(p)
+    new: list[tuple[int, int]] = []
+    k = max(1, k)
+    try:
+        while len(done) < merges:
+            last, folder = folder, _folder(spark)
+            pieces.mapInArrow(_merged(new, BASE + len(done) - len(new), width), _ROWS).write.parquet(f"{folder}/pieces")
+            _drop(spark, last)
+            rows, width = spark.read.schema(_ROWS).parquet(f"{folder}/pieces"), 2
+            pieces = rows.where("ids is not null").select("ids", "cnt")
+            pairs = rows.where("pair is not null").select(F.explode(F.arrays_zip("pair", "n")).alias("x")).groupBy("x.pair").agg(F.sum("x.n").alias("n"))
+            while True:
+                top = pairs.orderBy(F.desc("n"), "pair").limit(k + 1).collect()
+                if not top:
+                    return Merges(tuple(done))
+                least = top[k].n + 1 if len(top) > k else 1
+                if least > top[0].n:  # more than k heaviest ones
+                    least = top[0].n
+                    top = pairs.where(F.col("n") == least).collect()
+                path = f"{folder}/runs-{k}"
+                with cleaned(spark):
+                    pieces.mapInArrow(_runs([r.pair for r in top if r.n >= least]), "ids binary, cnt bigint").groupBy("ids").agg(F.sum("cnt").alias("cnt")).write.parquet(path)
+                runs = spark.read.schema("ids binary, cnt bigint").parquet(path)
+                size = runs.agg(F.sum(F.octet_length("ids"))).first()[0] // 2
+                if size <= guide or k == 1:
+                    break
+                k = max(1, k // 4)
+            found = runs.toArrow()
+            new = _train_flat(Flat.read(found.column("ids"), found.column("cnt").to_numpy(), 2), merges - len(done), BASE + len(done), least)
+            done += new
+            k *= 4 if size * 8 <= guide else 2 if size * 2 <= guide else 1
+    finally:
+        _drop(spark, folder)
     return Merges(tuple(done))
 
 
+def _folder(spark: SparkSession) -> str:
+    return f"{shared_folder(spark)}/bpe-{uuid.uuid4().hex}"
+
+
+def _drop(spark: SparkSession, folder: str | None) -> None:
+    if folder:
+        path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(folder)
+        path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+
+
 def token_count(merges: Merges):
     """A column function: number of tokens of a piece. Joining pairs in order of rank in all pieces of a batch gives what ``encode`` gives for each."""
 
     @pandas_udf("bigint")
     def count(piece: pd.Series) -> pd.Series:
         flat = Flat([(p or "").encode() for p in piece])
-        for i, p in enumerate(merges.pairs):
-            flat.merge(p, BASE + i)
+        flat.merge_all(merges.pairs, BASE)
         return pd.Series(flat.counts())
 
     return count
@@ -318,18 +460,19 @@ def fertility(df: DataFrame, merges: Merges, rule, by: list[str], text: str = "t
 def mixture_sweep(df: DataFrame, sides: Column, shares: list[float], rules: list[str], vocab_size: int, *, text: str = "text", head: int = 200_000) -> DataFrame:
     """Fertility of the lower-resource side when a tokenizer is trained at each share of it, under each rule.
 
-    ``sides`` is true for that side. One histogram of all pieces by side and rule serves all shares: a mixture only weights its counts
-    (in whole 10^-15 of the mixture). ``head`` is as in ``train_bpe``; floor and fertility are summed up in the cluster.
+    ``sides`` is true for that side. One histogram of chunks by side serves both rules, one of pieces by side and rule all shares: a mixture only
+    weights its counts (in whole 10^-15 of the mixture). ``head`` is as in ``train_bpe``; floor and fertility are summed up in the cluster.
     Output: rule, share, merges, fertility, floor, slack (fertility / floor - 1).
     """
-    from ..functions.pretokenize import n_words, piece_histogram
+    from ..functions.pretokenize import chunk_histogram, n_words, piece_histogram
 
     shared_folder(df.sparkSession)
-    df = df.withColumn("_lrl", sides)
-    words = df.where("_lrl").agg(F.sum(n_words(F.col(text)))).first()[0] or 0
+    with cleaned(df.sparkSession):
+        chunks = chunk_histogram(df.withColumn("_lrl", sides), ["_lrl"], text).checkpoint()
+    words = chunks.where("_lrl").agg(F.sum(F.col("cnt") * n_words(F.col("chunk")))).first()[0] or 0
     rows = []
     for rule in rules:
-        hist = piece_histogram(df, rule, ["_lrl"], text).checkpoint()
+        hist = piece_histogram(chunks, rule, ["_lrl"], "chunk", "cnt").checkpoint()
         totals = {r["_lrl"]: max(1, r["n"]) for r in hist.groupBy("_lrl").agg(F.sum("cnt").alias("n")).collect()}
         own = hist.where("_lrl")
         floor = (own.where(~F.col("piece").rlike(r"^\s+$")).agg(F.sum("cnt")).first()[0] or 0) / max(words, 1)

@@ -85,6 +85,27 @@ def test_flat_merges_against_piecewise_ones(spark):
     assert flat.counts().tolist() == [len(bpe._join([*p.encode()], (97, 97), 256)) for p in pieces]
 
 
+def test_training_in_the_cluster_takes_few_looks(spark, monkeypatch):
+    rng = random.Random(5)
+    pieces = {"".join(rng.choice("aaabcdé") for _ in range(rng.randint(1, 12))): rng.randint(1, 400) for _ in range(1500)} | {"a" * n: 7 * n for n in range(1, 12)}
+    hist = spark.createDataFrame(list(pieces.items()), "piece string, cnt long")
+    looks, there = [], type(hist).mapInArrow
+    monkeypatch.setattr(type(hist), "mapInArrow", lambda self, *a, **b: (looks.append(1), there(self, *a, **b))[1])
+    assert bpe._train_batched(hist, 200, 16).pairs == bpe.train_on({p.encode(): n for p, n in pieces.items()}, 200).pairs
+    assert len(looks) <= 8
+
+
+def test_chunks_give_the_same_pieces(spark):
+    rng = random.Random(6)
+    texts = ["".join(rng.choice(["a", "É", "\u0e01\u0e31", "\u0301", " ", " ", "\t", "\n", "'s", "'", "12", "٣", "-", "\u00a0", "🙂"]) for _ in range(rng.randint(0, 40))) for _ in range(300)] + [None]
+    df = spark.createDataFrame([(i % 2, t) for i, t in enumerate(texts)], "side int, text string")
+    chunks = P.chunk_histogram(df, ["side"])
+    for rule in ("letters", "letters_marks"):
+        got = P.piece_histogram(chunks, rule, ["side"], "chunk", "cnt")
+        assert Counter(got.collect()) == Counter(P.piece_histogram(df, rule, ["side"]).collect())
+    assert chunks.agg(F.sum(F.col("cnt") * P.n_words(F.col("chunk")))).first()[0] == df.agg(F.sum(P.n_words(F.col("text")))).first()[0]
+
+
 def test_packing_keeps_every_token(spark):
     docs = spark.createDataFrame([(i, list(range(1, (i * 7) % 40 + 1))) for i in range(60)], "doc_id long, ids array<int>")
     rows = bpe.pack(docs, 16, shards=3).collect()
